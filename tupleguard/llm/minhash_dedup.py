@@ -5,15 +5,18 @@ document: ``2 * SIDE * GROUP`` minhashes in all. Every pair (left group, right g
 of ``SIDE * SIDE`` tables, so ``SIDE**2`` bands of ``2 * GROUP`` rows cost only the square root
 of the minhash work that independent bands would. Two sets of similarity ``s`` share a table
 unless no left group or no right group agrees: miss probability below
-``2 * (1 - s**GROUP) ** SIDE`` (1e-5 at s = 0.8 with the defaults).
+``2 * (1 - s**GROUP) ** SIDE`` (7e-5 at s = 0.8 with the defaults, 4e-8 at s = 0.9).
 
 Search, without emitting all pairs of a group:
  1. documents with equal shingle sets form one class (pre-aggregated; copies go no further);
- 2. in every table bucket each class is paired with the bucket's leader only; the distinct
-    pairs are verified on full sets and contracted to components;
- 3. buckets that still hold several components are searched for pairs across components whose
-    sketches agree enough (each pair in the first table that both share); these are verified
-    too, and the final components follow. Large buckets are dealt out in pairs of blocks.
+ 2. every table bucket is covered by leaders: a member whose sketch is near its bucket's leader
+    is served; unserved members elect the next leader, until none is left unserved. Jaccard
+    distance is a metric, so a partner (distance at most 0.2) of a served member is no farther
+    from that leader than ``1 - NEAR + 0.2``: the leader's family, all bucket members within
+    that distance, holds every link of the bucket's members;
+ 3. families join on full sets, breadth first over unvisited members, and emit only a spanning
+    forest of the verified links. Large families are dealt out in pairs of blocks of bounded
+    size. Connected components of the forest are the groups.
 
 Rows are kept whole: nothing is capped, sampled or dropped. Defined cases: null text, blank
 text and text without words have an empty set, n_shingles 0, and link with nothing; repeated
@@ -25,32 +28,32 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, functions as F
+from pyspark.sql import DataFrame, Window, functions as F
 
 from . import textkit as tk
 from .components import components
 from .state import keep
 
-SIDE, GROUP = 12, 2
-#: Minhashes in a document's signature.
-WIDTH = 2 * SIDE * GROUP
-#: Share of signature places that must agree before a cross-component pair is verified:
-#: 0.8 less 4.5 standard deviations of the estimate.
-SKETCH_LEAST = 0.8 - 4.5 * (0.16 / WIDTH) ** 0.5
-#: Bucket members compared in one task row.
-BLOCK = 1024
+SIDE, GROUP = 10, 2
+#: Minhashes that key tables, and all minhashes of the sketch.
+WIDTH, SKETCH = 2 * SIDE * GROUP, 128
+#: Share of sketch places by which a member is served by a leader, and by which it belongs to
+#: the leader's family: NEAR less 0.2, each less 2.3 standard deviations of the estimate.
+NEAR, FAMILY = 0.6, 0.2
+#: Shingles of a block, about.
+BLOCK = 1 << 20
 
-_A = tk.mix(np.arange(1, WIDTH + 1, dtype=np.uint64) * np.uint64(0x632BE59BD9B4E019)) | np.uint64(1)
-_B = tk.mix(np.arange(1, WIDTH + 1, dtype=np.uint64) * np.uint64(0x9FB21C651E98DF25))
+_A = tk.mix(np.arange(1, SKETCH + 1, dtype=np.uint64) * np.uint64(0x632BE59BD9B4E019)) | np.uint64(1)
+_B = tk.mix(np.arange(1, SKETCH + 1, dtype=np.uint64) * np.uint64(0x9FB21C651E98DF25))
 
 SIGNED = "doc_id long, n_shingles long, set_lo long, set_hi long, groups array<int>, sketch binary"
 
 
 def _min_rows(values: np.ndarray, ptr: np.ndarray) -> np.ndarray:
-    """Minhashes (rows x WIDTH, 32 bit) of rows that all have values."""
-    out = np.empty((len(ptr) - 1, WIDTH), np.uint32)
+    """Minhashes (rows x SKETCH, 32 bit) of rows that all have values."""
+    out = np.empty((len(ptr) - 1, SKETCH), np.uint32)
     starts = ptr[:-1]
-    for i in range(WIDTH):
+    for i in range(SKETCH):
         out[:, i] = np.minimum.reduceat(((values * _A[i] + _B[i]) >> np.uint64(32)).astype(np.uint32), starts)
     return out
 
@@ -74,7 +77,7 @@ def _sign(k: int):
                     lo[full] = np.add.reduceat(tk.mix(sets + np.uint64(0x1234567)), fp[:-1]).view(np.int64)
                     hi[full] = np.add.reduceat(tk.mix(sets ^ np.uint64(0xABCDEF0123)), fp[:-1]).view(np.int64)
                     mins = _min_rows(sets, fp)
-                    pairs = mins.reshape(len(full), 2 * SIDE, GROUP).astype(np.uint64)
+                    pairs = mins[:, :WIDTH].reshape(len(full), 2 * SIDE, GROUP).astype(np.uint64)
                     g = tk.mix((pairs[:, :, 0] << np.uint64(32)) | pairs[:, :, 1])
                     for extra in range(2, GROUP):
                         g = tk.mix(g ^ pairs[:, :, extra])
@@ -115,55 +118,50 @@ def _sets(k: int):
     return run
 
 
-def verify(pairs: DataFrame, docs: DataFrame, k: int, percent: int) -> DataFrame:
-    """Those pairs (a, b) of ids whose full shingle sets satisfy
-    ``100 * |intersection| >= percent * |union|``; kept in the shared folder."""
-    pairs = keep(pairs, "near-pairs")
-    wanted = pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct()
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(wanted, "doc_id", "left_semi")
-    sets = keep(texts.mapInArrow(_sets(k), "doc_id long, shingles array<long>").dropDuplicates(["doc_id"]), "near-sets")
-    left = sets.select(F.col("doc_id").alias("a"), F.col("shingles").alias("sa"))
-    right = sets.select(F.col("doc_id").alias("b"), F.col("shingles").alias("sb"))
-    common = F.size(F.array_intersect("sa", "sb")).cast("long")
-    both = pairs.join(left, "a").join(right, "b").select("a", "b", common.alias("n"), (F.size("sa") + F.size("sb")).cast("long").alias("total"))
-    return keep(both.where(F.lit(100) * F.col("n") >= F.lit(percent) * (F.col("total") - F.col("n"))).select("a", "b"), "near-links")
-
+def _agree(batches):
+    """Share of sketch places that agree."""
+    for b in batches:
+        x, y = (np.frombuffer(b"".join(b.column(c).to_pylist()), np.uint8).reshape(b.num_rows, -1) for c in ("sa", "sb"))
+        sim = (x == y).mean(axis=1) if b.num_rows else np.zeros(0)
+        yield pa.RecordBatch.from_arrays([b.column("lead"), b.column("id"), pa.array(sim)], names=["lead", "id", "sim"])
 
-def _fits(percent: int):
-    """Sizes that leave the similarity possible."""
-    return F.lit(100) * F.least("na", "nb") >= F.lit(percent) * F.greatest("na", "nb")
 
-
-def _cross(least: float, percent: int):
-    """Pairs across components in one block pair of one bucket."""
+def _family_links(percent: int):
+    """A spanning forest of the verified links of one family, or of two blocks of it."""
 
     def run(key, table):
-        place = table.column("place").to_numpy()
-        ids, comp = table.column("id").to_numpy(), table.column("comp").to_numpy()
-        size = table.column("n").to_numpy().astype(np.float64)
-        side = table.column("side").to_numpy()
-        sk = np.frombuffer(b"".join(table.column("sketch").to_pylist()), np.uint8).reshape(len(ids), -1)
-        gr = np.asarray(table.column("groups").combine_chunks().flatten()).reshape(len(ids), -1)
-        left = np.flatnonzero(side != 1)
-        right = np.flatnonzero(side != 0)
+        ids, side = table.column("id").to_numpy(), table.column("side").to_numpy()
+        lists = table.column("shingles").combine_chunks()
+        flat = np.asarray(lists.flatten())
+        ptr = np.concatenate(([0], np.cumsum(np.asarray(lists.value_lengths()))))
+        size = np.diff(ptr)
+        _, codes = np.unique(flat, return_inverse=True)
+        mark = np.zeros(len(flat) + 1, bool)
+        free = np.ones(len(ids), bool)
         out_a, out_b = [], []
-        i0, j0 = int(place[0]) // SIDE, int(place[0]) % SIDE
-        for x in left:
-            y = right[(comp[right] != comp[x])]
-            if side[x] == 2:
-                y = y[y > x]
-            if not len(y):
-                continue
-            y = y[100 * np.minimum(size[x], size[y]) >= percent * np.maximum(size[x], size[y])]
-            y = y[(sk[y] == sk[x]).mean(axis=1) >= least]
-            if not len(y):
+        for start in np.flatnonzero(side != 1):
+            if not free[start]:
                 continue
-            # only in the first table that the two share
-            same = gr[y] == gr[x]
-            y = y[(same[:, :SIDE].argmax(axis=1) == i0) & (same[:, SIDE:].argmax(axis=1) == j0)]
-            if len(y):
-                out_a.append(np.minimum(ids[x], ids[y]))
-                out_b.append(np.maximum(ids[x], ids[y]))
+            free[start] = False
+            queue = [int(start)]
+            while queue:
+                v = queue.pop()
+                to = free if side[v] == 2 else free & (side != side[v])
+                rest = np.flatnonzero(to)
+                rest = rest[100 * np.minimum(size[rest], size[v]) >= percent * np.maximum(size[rest], size[v])]
+                if not len(rest):
+                    continue
+                own = codes[ptr[v] : ptr[v + 1]]
+                mark[own] = True
+                n = size[rest]
+                at = np.repeat(ptr[rest] - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))
+                common = np.add.reduceat(mark[codes[at]].astype(np.int64), np.cumsum(n) - n)
+                mark[own] = False
+                new = rest[100 * common >= percent * (n + size[v] - common)]
+                free[new] = False
+                out_a.append(np.full(len(new), ids[v]))
+                out_b.append(ids[new])
+                queue.extend(new.tolist())
         cat = lambda v: np.concatenate(v) if v else np.zeros(0, np.int64)
         return pa.table({"a": cat(out_a), "b": cat(out_b)})
 
@@ -176,33 +174,51 @@ def classes_of(signed: DataFrame) -> DataFrame:
     return full.groupBy("set_lo", "set_hi", "n_shingles").agg(F.min("doc_id").alias("id"), F.first("groups").alias("groups"), F.first("sketch").alias("sketch"))
 
 
+def families(classes: DataFrame) -> DataFrame:
+    """``(lead, id)``: the members of every leader's family, the leader included."""
+    spark = classes.sparkSession
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    # the table's number stands in the low bits of its keys
+    keys = F.expr(f"transform(sequence(0, {SIDE * SIDE - 1}), p -> (xxhash64(p, groups[cast(p / {SIDE} as int)], groups[{SIDE} + p % {SIDE}]) & ~1023L) | p)")
+    spread = classes.select("id", "groups").repartition(parts, "id").select(F.explode(keys).alias("key"), "id")
+    bucket = Window.partitionBy("key")
+    rows = spread.select("key", "id", F.min("id").over(bucket).alias("lead"), F.count(F.lit(1)).over(bucket).alias("members")).where("members > 1")
+    rows = keep(rows, "near-rows")
+    sketches = classes.select("id", "sketch")
+    open_ = rows.select("key", "id", "lead")
+    pairs = rows.where("id <> lead").select("lead", "id").distinct()
+    known: DataFrame | None = None
+    while True:
+        both = pairs.join(sketches.withColumnRenamed("sketch", "sb"), "id").join(sketches.select(F.col("id").alias("lead"), F.col("sketch").alias("sa")), "lead")
+        found = keep(both.select("lead", "id", "sa", "sb").mapInArrow(_agree, "lead long, id long, sim double").where(F.col("sim") >= FAMILY), "near-sims")
+        served = found.where(F.col("sim") >= NEAR).select("lead", "id")
+        known = found.select("lead", "id") if known is None else known.union(found.select("lead", "id"))
+        left = open_.where("id <> lead").join(served, ["lead", "id"], "left_anti").select("key", "id")
+        left = left.select("key", "id", F.min("id").over(bucket).alias("lead"), F.count(F.lit(1)).over(bucket).alias("n")).where("n > 1").drop("n")
+        open_ = keep(left, "near-open")
+        if not open_.limit(1).count():
+            break
+        fresh = open_.where("id = lead").select("key", "lead")
+        pairs = rows.select("key", "id").join(fresh, "key").where("id <> lead").select("lead", "id").distinct().join(known, ["lead", "id"], "left_anti")
+    known = known.distinct()
+    return keep(known.union(known.select("lead", F.col("lead"))).toDF("lead", "id").distinct(), "near-families")
+
+
 def class_links(docs: DataFrame, classes: DataFrame, k: int, percent: int) -> DataFrame:
     """Verified links between class representatives that connect every component."""
-    # bucket of each table: both groups, table number in the low bits
-    places = F.expr(f"transform(sequence(0, {SIDE * SIDE - 1}), p -> named_struct('place', cast(p as int), 'key', xxhash64(p, groups[cast(p / {SIDE} as int)], groups[{SIDE} + p % {SIDE}])))")
-    spread = classes.select("id", F.col("n_shingles").alias("n"), F.inline(places))
-    # the leader of a bucket, by an order of its own so that tables have unlike leaders
-    leader = spread.groupBy("key").agg(F.min_by(F.struct("id", "n"), F.xxhash64("id", "key")).alias("lead"), F.count(F.lit(1)).alias("members"))
-    busy = keep(leader.where("members > 1").select("key", "lead", "members"), "near-buckets")
-    members = keep(spread.join(busy, "key").select("key", "place", "id", "n", "members", F.col("lead.id").alias("lid"), F.col("lead.n").alias("ln")), "near-members")
-    star = members.where("id <> lid").select(F.least("id", "lid").alias("a"), F.greatest("id", "lid").alias("b"), F.col("n").alias("na"), F.col("ln").alias("nb")).where(_fits(percent)).select("a", "b").distinct()
-    first = verify(star, docs, k, percent)
-    found = components(first)
-    # buckets of three or more that still hold several components
-    placed = members.where("members > 2").join(found.withColumnRenamed("component", "comp"), "id", "left").select("key", "place", "id", "n", F.coalesce("comp", "id").alias("comp"))
-    mixed = placed.groupBy("key").agg(F.min("comp").alias("c0"), F.max("comp").alias("c1"), F.count(F.lit(1)).alias("members")).where("c0 < c1").select("key", "members")
-    rest = placed.join(mixed, "key")
-    blocks = F.ceil(F.col("members") / BLOCK).cast("int")
-    rest = rest.withColumn("blocks", blocks).withColumn("block", F.expr("cast(pmod(xxhash64(comp), blocks) as int)"))
-    rest = rest.withColumn("other", F.explode(F.expr("sequence(0, blocks - 1)")))
-    rest = rest.select(
-        "key", F.least("block", "other").alias("x"), F.greatest("block", "other").alias("y"), "place", "id", "n", "comp",
+    member = families(classes)
+    wanted = member.select(F.col("id").alias("doc_id")).distinct()
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(wanted, "doc_id", "left_semi")
+    sets = keep(texts.mapInArrow(_sets(k), "doc_id long, shingles array<long>").dropDuplicates(["doc_id"]).withColumnRenamed("doc_id", "id"), "near-sets")
+    sized = member.join(classes.select("id", "n_shingles"), "id")
+    room = sized.groupBy("lead").agg(F.ceil(F.sum("n_shingles") / BLOCK).cast("int").alias("blocks"))
+    work = member.join(room, "lead").withColumn("block", F.expr("cast(pmod(xxhash64(id), blocks) as int)"))
+    work = work.withColumn("other", F.explode(F.expr("sequence(0, blocks - 1)")))
+    work = work.select(
+        "lead", F.least("block", "other").alias("x"), F.greatest("block", "other").alias("y"), "id",
         F.expr("case when block = other then 2 when block < other then 0 else 1 end").alias("side"),
-    )
-    rest = rest.join(classes.select("id", "groups", "sketch"), "id")
-    more = rest.groupBy("key", "x", "y").applyInArrow(_cross(SKETCH_LEAST, percent), "a long, b long").distinct()
-    second = verify(more, docs, k, percent)
-    return first.union(second)
+    ).join(sets, "id")
+    return keep(work.groupBy("lead", "x", "y").applyInArrow(_family_links(percent), "a long, b long").distinct(), "near-links")
 
 
 def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
