@@ -10,10 +10,11 @@ unless no left group or no right group agrees: miss probability below
 Search, without emitting all pairs of a group:
  1. documents with equal shingle sets form one class (pre-aggregated; copies go no further);
  2. every table bucket is covered by leaders: a member whose sketch is near its bucket's leader
-    is served; unserved members elect the next leader, until none is left unserved. Jaccard
+    is served; unserved members elect a second leader, and so on for ``ROUNDS`` rounds. Jaccard
     distance is a metric, so a partner (distance at most 0.2) of a served member is no farther
     from that leader than ``1 - NEAR + 0.2``: the leader's family, all bucket members within
-    that distance, holds every link of the bucket's members;
+    that distance, holds every link of the members that it serves. The members that no leader
+    serves form one more family of their bucket;
  3. families join on full sets, breadth first over unvisited members, and emit only a spanning
     forest of the verified links. Large families are dealt out in pairs of blocks of bounded
     size. Connected components of the forest are the groups.
@@ -40,6 +41,8 @@ WIDTH, SKETCH = 2 * SIDE * GROUP, 128
 #: Share of sketch places by which a member is served by a leader, and by which it belongs to
 #: the leader's family: NEAR less 0.2, each less 2.3 standard deviations of the estimate.
 NEAR, FAMILY = 0.6, 0.2
+#: Leaders that a bucket elects at most.
+ROUNDS = 2
 #: Shingles of a block, about.
 BLOCK = 1 << 20
 
@@ -175,7 +178,8 @@ def classes_of(signed: DataFrame) -> DataFrame:
 
 
 def families(classes: DataFrame) -> DataFrame:
-    """``(lead, id)``: the members of every leader's family, the leader included."""
+    """``(kind, lead, id)``: the members of every family: of a leader (kind 0, the leader included),
+    or of a bucket's unserved members (kind 1, ``lead`` is the bucket's key)."""
     spark = classes.sparkSession
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     # the table's number stands in the low bits of its keys
@@ -188,7 +192,7 @@ def families(classes: DataFrame) -> DataFrame:
     open_ = rows.select("key", "id", "lead")
     pairs = rows.where("id <> lead").select("lead", "id").distinct()
     known: DataFrame | None = None
-    while True:
+    for round_ in range(ROUNDS):
         both = pairs.join(sketches.withColumnRenamed("sketch", "sb"), "id").join(sketches.select(F.col("id").alias("lead"), F.col("sketch").alias("sa")), "lead")
         found = keep(both.select("lead", "id", "sa", "sb").mapInArrow(_agree, "lead long, id long, sim double").where(F.col("sim") >= FAMILY), "near-sims")
         served = found.where(F.col("sim") >= NEAR).select("lead", "id")
@@ -196,12 +200,14 @@ def families(classes: DataFrame) -> DataFrame:
         left = open_.where("id <> lead").join(served, ["lead", "id"], "left_anti").select("key", "id")
         left = left.select("key", "id", F.min("id").over(bucket).alias("lead"), F.count(F.lit(1)).over(bucket).alias("n")).where("n > 1").drop("n")
         open_ = keep(left, "near-open")
-        if not open_.limit(1).count():
+        if round_ == ROUNDS - 1:
             break
         fresh = open_.where("id = lead").select("key", "lead")
         pairs = rows.select("key", "id").join(fresh, "key").where("id <> lead").select("lead", "id").distinct().join(known, ["lead", "id"], "left_anti")
     known = known.distinct()
-    return keep(known.union(known.select("lead", F.col("lead"))).toDF("lead", "id").distinct(), "near-families")
+    led = known.union(known.select("lead", F.col("lead"))).toDF("lead", "id").distinct()
+    rest = open_.select(F.lit(1).alias("kind"), F.col("key").alias("lead"), "id")
+    return keep(led.select(F.lit(0).alias("kind"), "lead", "id").union(rest), "near-families")
 
 
 def class_links(docs: DataFrame, classes: DataFrame, k: int, percent: int) -> DataFrame:
@@ -211,14 +217,14 @@ def class_links(docs: DataFrame, classes: DataFrame, k: int, percent: int) -> Da
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(wanted, "doc_id", "left_semi")
     sets = keep(texts.mapInArrow(_sets(k), "doc_id long, shingles array<long>").dropDuplicates(["doc_id"]).withColumnRenamed("doc_id", "id"), "near-sets")
     sized = member.join(classes.select("id", "n_shingles"), "id")
-    room = sized.groupBy("lead").agg(F.ceil(F.sum("n_shingles") / BLOCK).cast("int").alias("blocks"))
-    work = member.join(room, "lead").withColumn("block", F.expr("cast(pmod(xxhash64(id), blocks) as int)"))
+    room = sized.groupBy("kind", "lead").agg(F.ceil(F.sum("n_shingles") / BLOCK).cast("int").alias("blocks"))
+    work = member.join(room, ["kind", "lead"]).withColumn("block", F.expr("cast(pmod(xxhash64(id), blocks) as int)"))
     work = work.withColumn("other", F.explode(F.expr("sequence(0, blocks - 1)")))
     work = work.select(
-        "lead", F.least("block", "other").alias("x"), F.greatest("block", "other").alias("y"), "id",
+        "kind", "lead", F.least("block", "other").alias("x"), F.greatest("block", "other").alias("y"), "id",
         F.expr("case when block = other then 2 when block < other then 0 else 1 end").alias("side"),
     ).join(sets, "id")
-    return keep(work.groupBy("lead", "x", "y").applyInArrow(_family_links(percent), "a long, b long").distinct(), "near-links")
+    return keep(work.groupBy("kind", "lead", "x", "y").applyInArrow(_family_links(percent), "a long, b long").distinct(), "near-links")
 
 
 def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
