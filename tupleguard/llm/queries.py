@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from . import language_id, minhash_dedup, packing, textkit, vector_dedup, warc
+from . import decontaminate, language_id, minhash_dedup, packing, quality, textkit, vector_dedup, warc
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -16,6 +16,15 @@ def op1_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(_table(spark, sf_dir, "documents"), capacity=1024)
 
 
+def op2_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The quality score of every document, learned where crc32 mod 5 is not 0."""
+    docs = _table(spark, sf_dir, "documents")
+    held = textkit.crc_mod("doc_id", 5) == 0
+    model = quality.fit(docs, _table(spark, sf_dir, "labels"), where=~held)
+    out = quality.score(docs, model)
+    return out.select("doc_id", held.alias("held_out"), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"))
+
+
 def op4_vector_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Links of all vectors of a label at cosine 0.93, and their components."""
     return vector_dedup.vector_groups(_table(spark, sf_dir, "embeddings"), cosine=0.93)
@@ -42,6 +51,11 @@ def op7_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", held.alias("held_out"), "lang_pred", F.col("lang_score").alias("score"))
 
 
+def op10_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Which documents hold a benchmark item, with tolerance for substituted words."""
+    return decontaminate.scan(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"))
+
+
 OP4_SQL = r"""
 WITH RECURSIVE ok AS (
   SELECT vec_id, label, list_transform(embedding, lambda v: CAST(v AS DOUBLE)) AS e FROM embeddings
@@ -86,9 +100,11 @@ SELECT page_id, CAST(octet_length(encode(h)) AS BIGINT) AS payload_bytes, digest
 
 QUERIES = {
     "op1_packing": op1_packing,
+    "op2_quality": op2_quality,
     "op4_vector_dedup": op4_vector_dedup,
     "op5_minhash_dedup": op5_minhash_dedup,
     "op6_warc": op6_warc,
     "op7_language_id": op7_language_id,
+    "op10_decontaminate": op10_decontaminate,
 }
 ORACLES = {"op4_vector_dedup": OP4_SQL, "op5_minhash_dedup": OP5_SQL, "op6_warc": OP6_SQL}
