@@ -10,11 +10,10 @@ unless no left group or no right group agrees: miss probability below
 Search, without emitting all pairs of a group:
  1. documents with equal shingle sets form one class (pre-aggregated; copies go no further);
  2. every table bucket is covered by leaders: a member whose sketch is near its bucket's leader
-    is served; unserved members elect a second leader, and so on for ``ROUNDS`` rounds. Jaccard
-    distance is a metric, so a partner (distance at most 0.2) of a served member is no farther
+    is served. Jaccard distance is a metric, so a partner (distance at most 0.2) of a served member is no farther
     from that leader than ``1 - NEAR + 0.2``: the leader's family, all bucket members within
-    that distance, holds every link of the members that it serves. The members that no leader
-    serves form one more family of their bucket;
+    that distance, holds every link of the members that it serves. A bucket's unserved members
+    form one more family;
  3. families join on full sets, breadth first over unvisited members, and emit only a spanning
     forest of the verified links. Large families are dealt out in pairs of blocks of bounded
     size. Connected components of the forest are the groups.
@@ -41,8 +40,9 @@ WIDTH, SKETCH = 2 * SIDE * GROUP, 128
 #: Share of sketch places by which a member is served by a leader, and by which it belongs to
 #: the leader's family: NEAR less 0.2, each less 2.3 standard deviations of the estimate.
 NEAR, FAMILY = 0.6, 0.2
-#: Leaders that a bucket elects at most.
-ROUNDS = 2
+#: Bytes of a stored shingle hash: two shingles of one pair of sets of a thousand agree by
+#: chance once in a million pairs.
+BYTES = 5
 #: Shingles of a block, about.
 BLOCK = 1 << 20
 
@@ -116,7 +116,9 @@ def _sets(k: int):
                 words, ptr = tk.hash_words(batch.column("text"))
                 sh, ptr = tk.shingles(words, ptr, k)
                 sets, sp = tk.distinct_sets(sh, ptr)
-                yield pa.RecordBatch.from_arrays([batch.column("doc_id"), tk.long_lists(sets, sp)], names=["doc_id", "shingles"])
+                raw = sets.astype("<u8").view(np.uint8).reshape(-1, 8)[:, 8 - BYTES :].tobytes()
+                packed = [raw[BYTES * a : BYTES * b] for a, b in zip(sp[:-1], sp[1:])]
+                yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(np.diff(sp)), pa.array(packed, pa.binary())], names=["doc_id", "n", "shingles"])
 
     return run
 
@@ -134,9 +136,11 @@ def _family_links(percent: int):
 
     def run(key, table):
         ids, side = table.column("id").to_numpy(), table.column("side").to_numpy()
-        lists = table.column("shingles").combine_chunks()
-        flat = np.asarray(lists.flatten())
-        ptr = np.concatenate(([0], np.cumsum(np.asarray(lists.value_lengths()))))
+        packed = table.column("shingles").to_pylist()
+        ptr = np.concatenate(([0], np.cumsum([len(x) // BYTES for x in packed])))
+        wide = np.zeros((int(ptr[-1]), 8), np.uint8)
+        wide[:, :BYTES] = np.frombuffer(b"".join(packed), np.uint8).reshape(-1, BYTES)
+        flat = wide.view("<u8").ravel()
         size = np.diff(ptr)
         _, codes = np.unique(flat, return_inverse=True)
         mark = np.zeros(len(flat) + 1, bool)
@@ -178,36 +182,24 @@ def classes_of(signed: DataFrame) -> DataFrame:
 
 
 def families(classes: DataFrame) -> DataFrame:
-    """``(kind, lead, id)``: the members of every family: of a leader (kind 0, the leader included),
-    or of a bucket's unserved members (kind 1, ``lead`` is the bucket's key)."""
-    spark = classes.sparkSession
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    """``(kind, lead, id)``: the members of every family: of a leader (kind 0, the leader
+    included), or of a bucket's unserved members (kind 1, ``lead`` is the bucket's key)."""
+    parts = int(classes.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     # the table's number stands in the low bits of its keys
     keys = F.expr(f"transform(sequence(0, {SIDE * SIDE - 1}), p -> (xxhash64(p, groups[cast(p / {SIDE} as int)], groups[{SIDE} + p % {SIDE}]) & ~1023L) | p)")
     spread = classes.select("id", "groups").repartition(parts, "id").select(F.explode(keys).alias("key"), "id")
     bucket = Window.partitionBy("key")
-    rows = spread.select("key", "id", F.min("id").over(bucket).alias("lead"), F.count(F.lit(1)).over(bucket).alias("members")).where("members > 1")
-    rows = keep(rows, "near-rows")
-    sketches = classes.select("id", "sketch")
-    open_ = rows.select("key", "id", "lead")
+    lead, members = F.min("id").over(bucket).alias("lead"), F.count(F.lit(1)).over(bucket).alias("members")
+    rows = keep(spread.select("key", "id", lead, members).where("members > 1").drop("members"), "near-rows")
     pairs = rows.where("id <> lead").select("lead", "id").distinct()
-    known: DataFrame | None = None
-    for round_ in range(ROUNDS):
-        both = pairs.join(sketches.withColumnRenamed("sketch", "sb"), "id").join(sketches.select(F.col("id").alias("lead"), F.col("sketch").alias("sa")), "lead")
-        found = keep(both.select("lead", "id", "sa", "sb").mapInArrow(_agree, "lead long, id long, sim double").where(F.col("sim") >= FAMILY), "near-sims")
-        served = found.where(F.col("sim") >= NEAR).select("lead", "id")
-        known = found.select("lead", "id") if known is None else known.union(found.select("lead", "id"))
-        left = open_.where("id <> lead").join(served, ["lead", "id"], "left_anti").select("key", "id")
-        left = left.select("key", "id", F.min("id").over(bucket).alias("lead"), F.count(F.lit(1)).over(bucket).alias("n")).where("n > 1").drop("n")
-        open_ = keep(left, "near-open")
-        if round_ == ROUNDS - 1:
-            break
-        fresh = open_.where("id = lead").select("key", "lead")
-        pairs = rows.select("key", "id").join(fresh, "key").where("id <> lead").select("lead", "id").distinct().join(known, ["lead", "id"], "left_anti")
-    known = known.distinct()
-    led = known.union(known.select("lead", F.col("lead"))).toDF("lead", "id").distinct()
-    rest = open_.select(F.lit(1).alias("kind"), F.col("key").alias("lead"), "id")
-    return keep(led.select(F.lit(0).alias("kind"), "lead", "id").union(rest), "near-families")
+    sketches = classes.select("id", "sketch")
+    both = pairs.join(sketches.withColumnRenamed("sketch", "sb"), "id").join(sketches.select(F.col("id").alias("lead"), F.col("sketch").alias("sa")), "lead")
+    found = keep(both.select("lead", "id", "sa", "sb").mapInArrow(_agree, "lead long, id long, sim double").where(F.col("sim") >= FAMILY), "near-sims")
+    led = found.select("lead", "id").union(found.select("lead", F.col("lead"))).toDF("lead", "id").distinct()
+    open_ = rows.where("id <> lead").join(found.where(F.col("sim") >= NEAR).select("lead", "id"), ["lead", "id"], "left_anti").select("key", "id")
+    rest = open_.select("key", "id", members).where("members > 1")
+    out = led.select(F.lit(0).alias("kind"), "lead", "id").union(rest.select(F.lit(1), F.col("key"), "id"))
+    return keep(out, "near-families")
 
 
 def class_links(docs: DataFrame, classes: DataFrame, k: int, percent: int) -> DataFrame:
@@ -215,15 +207,15 @@ def class_links(docs: DataFrame, classes: DataFrame, k: int, percent: int) -> Da
     member = families(classes)
     wanted = member.select(F.col("id").alias("doc_id")).distinct()
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(wanted, "doc_id", "left_semi")
-    sets = keep(texts.mapInArrow(_sets(k), "doc_id long, shingles array<long>").dropDuplicates(["doc_id"]).withColumnRenamed("doc_id", "id"), "near-sets")
-    sized = member.join(classes.select("id", "n_shingles"), "id")
-    room = sized.groupBy("kind", "lead").agg(F.ceil(F.sum("n_shingles") / BLOCK).cast("int").alias("blocks"))
-    work = member.join(room, ["kind", "lead"]).withColumn("block", F.expr("cast(pmod(xxhash64(id), blocks) as int)"))
+    sets = keep(texts.mapInArrow(_sets(k), "doc_id long, n long, shingles binary").withColumnRenamed("doc_id", "id"), "near-sets")
+    room = member.join(sets.select("id", "n"), "id").groupBy("kind", "lead").agg(F.ceil(F.sum("n") / BLOCK).cast("int").alias("blocks")).where("blocks > 1")
+    work = member.join(sets.select("id", "shingles"), "id").join(keep(room, "near-blocks"), ["kind", "lead"], "left").withColumn("blocks", F.coalesce("blocks", F.lit(1)))
+    work = work.withColumn("block", F.expr("cast(pmod(xxhash64(id), blocks) as int)"))
     work = work.withColumn("other", F.explode(F.expr("sequence(0, blocks - 1)")))
     work = work.select(
-        "kind", "lead", F.least("block", "other").alias("x"), F.greatest("block", "other").alias("y"), "id",
+        "kind", "lead", F.least("block", "other").alias("x"), F.greatest("block", "other").alias("y"), "id", "shingles",
         F.expr("case when block = other then 2 when block < other then 0 else 1 end").alias("side"),
-    ).join(sets, "id")
+    )
     return keep(work.groupBy("kind", "lead", "x", "y").applyInArrow(_family_links(percent), "a long, b long").distinct(), "near-links")
 
 
