@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from . import decontaminate, language_id, minhash_dedup, packing, quality, textkit, vector_dedup, warc
+from . import decontaminate, language_id, minhash_dedup, packing, pii, quality, textkit, token_counts, vector_dedup, warc
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -25,6 +25,11 @@ def op2_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", held.alias("held_out"), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"))
 
 
+def op3_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Greedy word-piece lengths of every document."""
+    return token_counts.token_counts(_table(spark, sf_dir, "documents"))
+
+
 def op4_vector_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Links of all vectors of a label at cosine 0.93, and their components."""
     return vector_dedup.vector_groups(_table(spark, sf_dir, "embeddings"), cosine=0.93)
@@ -51,6 +56,12 @@ def op7_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", held.alias("held_out"), "lang_pred", F.col("lang_score").alias("score"))
 
 
+def op8_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every document with its personal data replaced by surrogates."""
+    docs = _table(spark, sf_dir, "documents")
+    return pii.replace(docs.select("doc_id", "text"), key=b"production key")
+
+
 def op10_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Which documents hold a benchmark item, with tolerance for substituted words."""
     return decontaminate.scan(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"))
@@ -101,10 +112,12 @@ SELECT page_id, CAST(octet_length(encode(h)) AS BIGINT) AS payload_bytes, digest
 QUERIES = {
     "op1_packing": op1_packing,
     "op2_quality": op2_quality,
+    "op3_token_counts": op3_token_counts,
     "op4_vector_dedup": op4_vector_dedup,
     "op5_minhash_dedup": op5_minhash_dedup,
     "op6_warc": op6_warc,
     "op7_language_id": op7_language_id,
+    "op8_pii": op8_pii,
     "op10_decontaminate": op10_decontaminate,
 }
 ORACLES = {"op4_vector_dedup": OP4_SQL, "op5_minhash_dedup": OP5_SQL, "op6_warc": OP6_SQL}
