@@ -35,9 +35,19 @@ def remove(spark: SparkSession, path: str) -> None:
     p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
 
 
+#: Files of a kept table, at most, for each core of the cluster.
+FILES_A_CORE = 8
+
+
+def packed(df: DataFrame) -> DataFrame:
+    """``df`` in a number of partitions that follows the cluster: small shuffle partitions are
+    written one after another into one file, without another shuffle."""
+    return df.coalesce(FILES_A_CORE * df.sparkSession.sparkContext.defaultParallelism)
+
+
 def keep(df: DataFrame, name: str = "stage") -> DataFrame:
     """The rows written to the shared folder and read again: lineage ends here, and the loss of
     an executor costs nothing but the tasks that it was running."""
     path = shared_path(df.sparkSession, name)
-    df.write.parquet(path)
+    packed(df).write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)

@@ -31,10 +31,12 @@ from urllib.parse import quote
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from .state import keep, shared_path
+from .state import packed, shared_path
 
 #: Bytes of a read range.
 RANGE = 8 << 20
+#: Tasks that read, at most.
+RANGES = 100_000
 #: Bytes fetched at once.
 FETCH = 1 << 20
 MAGIC = b"\x1f\x8b\x08"
@@ -107,7 +109,8 @@ def _write(folder: str):
 
 
 def write_archives(pages: DataFrame, folder: str, payload: str = "html", least: int = 0) -> DataFrame:
-    """Writes the archives and returns their manifest ``(file, size)``, kept in the shared folder.
+    """Writes the archives and returns their manifest ``(file, size)``: a row per file, of which
+    there are as many as writing tasks; the driver holds it as it holds any commit's file list.
 
     Payloads of fewer than ``least`` bytes are never replaced by revisits."""
     rows = pages.select(
@@ -117,7 +120,9 @@ def write_archives(pages: DataFrame, folder: str, payload: str = "html", least:
     joined = rows.join(first, "digest")
     repeat = (F.octet_length("payload") >= least) & (F.coalesce(F.col("page_id") != F.col("first_id"), F.col("first_id").isNotNull()))
     joined = joined.select("page_id", "url", "payload", F.when(repeat, F.col("first_id")).alias("refers_to"))
-    return keep(joined.mapInArrow(_write(folder), "file string, size long"), "warc-manifest")
+    shape = "file string, size long"
+    written = packed(joined).mapInArrow(_write(folder), shape).collect()
+    return pages.sparkSession.createDataFrame(written, shape)
 
 
 class _Window:
@@ -254,7 +259,8 @@ def read_archives(spark: SparkSession, folder: str, manifest: DataFrame, span: i
     """All records of the manifest's files, read by byte ranges of ``span``."""
     ranges = manifest.select("file", "size", F.explode(F.expr(f"sequence(0L, greatest(size - 1, 0L), {span}L)")).alias("start"))
     ranges = ranges.select("file", "size", "start", F.least(F.col("start") + span, "size").alias("stop"))
-    ranges = ranges.repartition(F.xxhash64("file", "start"))
+    spans = manifest.agg(F.sum(F.ceil(F.col("size") / span))).first()[0]
+    ranges = ranges.repartition(min(max(1, int(spans or 1)), RANGES), F.xxhash64("file", "start"))
     return ranges.mapInArrow(_read(folder, with_payload), RECORD)
 
 
