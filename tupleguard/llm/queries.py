@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from . import decontaminate, language_id, minhash_dedup, packing, pii, quality, textkit, token_counts, vector_dedup, warc
+from . import decontaminate, kneser_ney, language_id, minhash_dedup, packing, pii, quality, textkit, token_counts, vector_dedup, warc
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -62,6 +62,14 @@ def op8_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.replace(docs.select("doc_id", "text"), key=b"production key")
 
 
+def op9_kneser_ney(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Scores of every document by a bigram model of those whose crc32 mod 7 is not 2."""
+    docs = _table(spark, sf_dir, "documents")
+    held = textkit.crc_mod("doc_id", 7) == 2
+    out = kneser_ney.score(docs, kneser_ney.fit(docs, ~held))
+    return out.withColumn("held_out", held)
+
+
 def op10_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Which documents hold a benchmark item, with tolerance for substituted words."""
     return decontaminate.scan(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"))
@@ -118,6 +126,7 @@ QUERIES = {
     "op6_warc": op6_warc,
     "op7_language_id": op7_language_id,
     "op8_pii": op8_pii,
+    "op9_kneser_ney": op9_kneser_ney,
     "op10_decontaminate": op10_decontaminate,
 }
 ORACLES = {"op4_vector_dedup": OP4_SQL, "op5_minhash_dedup": OP5_SQL, "op6_warc": OP6_SQL}
