@@ -32,7 +32,7 @@ from pyspark.sql import DataFrame, Window, functions as F
 
 from . import textkit as tk
 from .components import components
-from .state import keep
+from .state import keep, packed
 
 SIDE, GROUP = 10, 2
 #: Minhashes that key tables, and all minhashes of the sketch.
@@ -207,7 +207,7 @@ def class_links(docs: DataFrame, classes: DataFrame, k: int, percent: int) -> Da
     member = families(classes)
     wanted = member.select(F.col("id").alias("doc_id")).distinct()
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(wanted, "doc_id", "left_semi")
-    sets = keep(texts.mapInArrow(_sets(k), "doc_id long, n long, shingles binary").withColumnRenamed("doc_id", "id"), "near-sets")
+    sets = keep(texts.mapInArrow(_sets(k), "doc_id long, n long, shingles binary").withColumnRenamed("doc_id", "id"), "near-sets", 8)
     room = member.join(sets.select("id", "n"), "id").groupBy("kind", "lead").agg(F.ceil(F.sum("n") / BLOCK).cast("int").alias("blocks")).where("blocks > 1")
     work = member.join(sets.select("id", "shingles"), "id").join(keep(room, "near-blocks"), ["kind", "lead"], "left").withColumn("blocks", F.coalesce("blocks", F.lit(1)))
     work = work.withColumn("block", F.expr("cast(pmod(xxhash64(id), blocks) as int)"))
@@ -221,13 +221,14 @@ def class_links(docs: DataFrame, classes: DataFrame, k: int, percent: int) -> Da
 
 def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     """``(doc_id, n_shingles, class_id, component_id, kept)``, a row per row of ``docs``."""
-    signed = keep(signatures(docs, k), "near-signed")
+    signed = keep(signatures(docs, k), "near-signed", None)
     classes = keep(classes_of(signed), "near-classes")
     found = components(class_links(docs, classes, k, percent))
     roots = classes.select("set_lo", "set_hi", "n_shingles", F.col("id").alias("class_id")).join(found.withColumnRenamed("id", "class_id"), "class_id", "left")
     roots = roots.select("set_lo", "set_hi", "n_shingles", "class_id", F.coalesce("component", "class_id").alias("component"))
     out = signed.select("doc_id", "n_shingles", "set_lo", "set_hi").join(roots, ["set_lo", "set_hi", "n_shingles"], "left")
     own = F.when((F.col("n_shingles") > 0) & F.col("doc_id").isNotNull(), F.col("component")).otherwise(F.col("doc_id"))
+    out = packed(out)
     return out.select("doc_id", "n_shingles", F.coalesce("class_id", "doc_id").alias("class_id"), own.alias("component_id"), F.coalesce(own == F.col("doc_id"), F.lit(False)).alias("kept"))
 
 

@@ -169,7 +169,7 @@ def pack(items: DataFrame, capacity: int = 1024, part: int = PART, rounds: int =
     """Pieces with ``sequence_id``, ``offset`` and the certificate of their partition:
     ``round``, ``bins``, ``bound``, ``gap``."""
     cols = ["doc_id", "piece", "start", "length", "ids_crc32"]
-    todo = keep(items.select(*cols), "pack-pieces")
+    todo = keep(items.select(*cols), "pack-pieces", None)
     n = todo.count()
     total = None
     done: DataFrame | None = None

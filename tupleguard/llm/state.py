@@ -35,19 +35,21 @@ def remove(spark: SparkSession, path: str) -> None:
     p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
 
 
-#: Files of a kept table, at most, for each core of the cluster.
-FILES_A_CORE = 8
+#: Files of a kept table of narrow rows, at most, for each core of the cluster. Creating a file
+#: costs an executor a call to the file system (a forked process on some); tables of whole
+#: texts keep the partitions that they have.
+FILES_A_CORE = 2
 
 
-def packed(df: DataFrame) -> DataFrame:
+def packed(df: DataFrame, a_core: int = FILES_A_CORE) -> DataFrame:
     """``df`` in a number of partitions that follows the cluster: small shuffle partitions are
     written one after another into one file, without another shuffle."""
-    return df.coalesce(FILES_A_CORE * df.sparkSession.sparkContext.defaultParallelism)
+    return df.coalesce(a_core * df.sparkSession.sparkContext.defaultParallelism)
 
 
-def keep(df: DataFrame, name: str = "stage") -> DataFrame:
+def keep(df: DataFrame, name: str = "stage", a_core: int | None = FILES_A_CORE) -> DataFrame:
     """The rows written to the shared folder and read again: lineage ends here, and the loss of
     an executor costs nothing but the tasks that it was running."""
     path = shared_path(df.sparkSession, name)
-    packed(df).write.parquet(path)
+    (df if a_core is None else packed(df, a_core)).write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)

@@ -121,7 +121,7 @@ def write_archives(pages: DataFrame, folder: str, payload: str = "html", least:
     repeat = (F.octet_length("payload") >= least) & (F.coalesce(F.col("page_id") != F.col("first_id"), F.col("first_id").isNotNull()))
     joined = joined.select("page_id", "url", "payload", F.when(repeat, F.col("first_id")).alias("refers_to"))
     shape = "file string, size long"
-    written = packed(joined).mapInArrow(_write(folder), shape).collect()
+    written = packed(joined, 8).mapInArrow(_write(folder), shape).collect()
     return pages.sparkSession.createDataFrame(written, shape)
 
 
