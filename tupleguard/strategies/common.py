@@ -41,21 +41,28 @@ def leaf_name(query: QueryPlan, dims: dict):
 
     def name(n):
         if isinstance(n, E.Attr):
-            return f"{n.parts[0][2:]}.{E.quote(n.name)}" if n.parts[0].startswith("d:") else E.quote(n.name)
+            return dimension_column(n.parts[0] + "." + n.name) if n.parts[0].startswith("d:") else E.quote(n.name)
         return None
 
     return name
 
 
+def dimension_column(attr: str) -> str:
+    """The hidden name of ``d:<alias>.<column>`` beside its leaf's columns."""
+    alias, _, column = attr[2:].partition(".")
+    return E.quote(f"__tg_d_{alias}_{column}".lower())
+
+
 def join_dimensions(query: QueryPlan, plan, instance: int, dims: dict):
     """The leaf joined with the keyed dimensions that hang on it."""
     b = query.bridge
     for alias, (at, d) in dims.items():
         if at != instance:
             continue
-        dim = query.spark.table(d.table).alias(alias)
+        table = query.spark.table(d.table)
+        dim = table.toDF(*[f"__tg_d_{alias}_{c}".lower() for c in table.columns])
         cond = E.parse(d.on)
-        text = E.render(cond, lambda n, a=alias: (f"{a}.{E.quote(n.name)}" if n.qualifier and n.qualifier.lower() == a else E.quote(n.name)) if isinstance(n, E.Attr) else None)
+        text = E.render(cond, lambda n, a=alias: (dimension_column(f"d:{a}.{n.name}") if n.qualifier and n.qualifier.lower() == a else E.quote(n.name)) if isinstance(n, E.Attr) else None)
         plan = b.join(plan, dim._jdf.queryExecution().analyzed(), "left", b.sql(text))
     return plan
 
@@ -167,4 +174,4 @@ def mask_present(mask: str | None):
     return present
 
 
-__all__ = ["Annotated", "all_components", "check_dimensions", "join_dimensions", "keyed_dimensions", "leaf_name", "mask_present", "policy_values", "strip_one", "verdicts"]
+__all__ = ["Annotated", "all_components", "check_dimensions", "dimension_column", "join_dimensions", "keyed_dimensions", "leaf_name", "mask_present", "policy_values", "strip_one", "verdicts"]

@@ -14,7 +14,7 @@ from .. import expr as E
 from ..algebra import merge_sql
 from ..errors import NonMonotonePlan, UnsupportedPlan
 from ..plan import Bound, QueryPlan
-from .common import Annotated, all_components, join_dimensions, keyed_dimensions, leaf_name, mask_present, policy_values, strip_one
+from .common import Annotated, all_components, dimension_column, join_dimensions, keyed_dimensions, leaf_name, mask_present, policy_values, strip_one
 
 
 @dataclass
@@ -111,7 +111,7 @@ class Annotator:
                     single.add(key)
         for attr in sorted(self.raw_needs.get(i, ())):
             raw[i, attr] = self.b.fresh("v")
-            text = f"{attr[2:]}" if attr.startswith("d:") else E.quote(attr)
+            text = dimension_column(attr) if attr.startswith("d:") else E.quote(attr)
             more.append(self.b.named(text, raw[i, attr]))
         mask = None
         if self.mask:
@@ -241,7 +241,7 @@ class Annotator:
 
     def on_Aggregate(self, node, up):
         st = self.visit(self.b.children(node)[0], up + 1)
-        if not st.present:
+        if not st.present and not self.sumlike:
             return State(self.b.with_children(node, [st.plan]))
         if self.holistic and any(w & st.present for _, w in self.holistic.values()):
             raise UnsupportedPlan("inline", "an aggregate without constant-size annotation")
@@ -257,7 +257,7 @@ class Annotator:
 
     def on_Union(self, node, up):
         kids = [self.visit(c, up + 1) for c in self.b.children(node)]
-        if not any(k.present for k in kids):
+        if not any(k.present or k.mult for k in kids):
             return State(self.b.with_children(node, [k.plan for k in kids]))
         if any(k.raw for k in kids):
             raise UnsupportedPlan("inline", "an argument over several relations across a union")

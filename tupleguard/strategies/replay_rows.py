@@ -11,7 +11,7 @@ from .. import expr as E
 from ..algebra import direct_sql
 from ..errors import NonMonotonePlan, UnsupportedPlan
 from ..plan import Bound, QueryPlan, instances_of
-from .common import Annotated, join_dimensions, keyed_dimensions, strip_one
+from .common import Annotated, dimension_column, join_dimensions, keyed_dimensions, strip_one
 
 
 @dataclass
@@ -94,7 +94,7 @@ class Widener:
             wanted |= set(self.q.instances[i].columns)
         for attr in sorted(wanted):
             raw[i, attr] = self.b.fresh("v")
-            more.append(self.b.named(attr[2:] if attr.startswith("d:") else E.quote(attr), raw[i, attr]))
+            more.append(self.b.named(dimension_column(attr) if attr.startswith("d:") else E.quote(attr), raw[i, attr]))
         return Wide(self.b.project(plan, more, base), raw, {i: rid}, [rid])
 
     def on_SubqueryAlias(self, node):
