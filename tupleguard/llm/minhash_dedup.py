@@ -190,7 +190,7 @@ def families(classes: DataFrame) -> DataFrame:
     spread = classes.select("id", "groups").repartition(parts, "id").select(F.explode(keys).alias("key"), "id")
     bucket = Window.partitionBy("key")
     lead, members = F.min("id").over(bucket).alias("lead"), F.count(F.lit(1)).over(bucket).alias("members")
-    rows = keep(spread.select("key", "id", lead, members).where("members > 1").drop("members"), "near-rows")
+    rows = keep(spread.select("key", "id", lead, members).where("members > 1").drop("members"), "near-rows", 8)
     pairs = rows.where("id <> lead").select("lead", "id").distinct()
     sketches = classes.select("id", "sketch")
     both = pairs.join(sketches.withColumnRenamed("sketch", "sb"), "id").join(sketches.select(F.col("id").alias("lead"), F.col("sketch").alias("sa")), "lead")
@@ -206,7 +206,8 @@ def class_links(docs: DataFrame, classes: DataFrame, k: int, percent: int) -> Da
     """Verified links between class representatives that connect every component."""
     member = families(classes)
     wanted = member.select(F.col("id").alias("doc_id")).distinct()
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(wanted, "doc_id", "left_semi")
+    # one plan at every size: the texts are shuffled, and the ids of a partition are hashed
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(wanted.hint("shuffle_hash"), "doc_id", "left_semi")
     sets = keep(texts.mapInArrow(_sets(k), "doc_id long, n long, shingles binary").withColumnRenamed("doc_id", "id"), "near-sets", 8)
     room = member.join(sets.select("id", "n"), "id").groupBy("kind", "lead").agg(F.ceil(F.sum("n") / BLOCK).cast("int").alias("blocks")).where("blocks > 1")
     work = member.join(sets.select("id", "shingles"), "id").join(keep(room, "near-blocks"), ["kind", "lead"], "left").withColumn("blocks", F.coalesce("blocks", F.lit(1)))
