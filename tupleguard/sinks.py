@@ -36,10 +36,10 @@ class VersionedTable:
         return p.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()), p
 
     def current(self) -> list[str]:
-        fs, p = self._fs(f"{self.root}/_current")
+        fs, p = self._fs(f"{self.root}/CURRENT")
         if not fs.exists(p):
             return []
-        rows = self.spark.read.text(f"{self.root}/_current").collect()
+        rows = self.spark.read.text(f"{self.root}/CURRENT").collect()
         return [r[0] for r in rows if r[0]]
 
     def stage(self, df: DataFrame) -> str:
@@ -48,11 +48,11 @@ class VersionedTable:
         return version
 
     def publish(self, versions: list[str]) -> None:
-        fs, new = self._fs(f"{self.root}/_next-{uuid.uuid4().hex}")
+        fs, new = self._fs(f"{self.root}/NEXT-{uuid.uuid4().hex}")
         out = fs.create(new)
         out.write(bytearray(("\n".join(versions) + "\n").encode()))
         out.close()
-        _, old = self._fs(f"{self.root}/_current")
+        _, old = self._fs(f"{self.root}/CURRENT")
         fs.delete(old, False)
         fs.rename(new, old)
 
