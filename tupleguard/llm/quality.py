@@ -115,9 +115,10 @@ class FactorisationMachine:
         return 1 / (1 + np.exp(-np.clip(self.margin(places, values, ptr), -30, 30)))
 
 
-def train(places, values, ptr, y, epochs: int = 12, rate: float = 0.05, decay: float = 1e-4, seed: int = 7) -> FactorisationMachine:
-    """Adaptive-gradient descent on the logistic loss."""
+def train(places, values, ptr, y, epochs: int | None = None, rate: float = 0.1, decay: float = 1e-4, seed: int = 7) -> FactorisationMachine:
+    """Adaptive-gradient descent on the logistic loss; small samples get more epochs."""
     rows = len(y)
+    epochs = epochs or max(20, min(150, 64_000 // max(1, rows)))
     if not rows:
         return FactorisationMachine(0.0)
     share = float(np.mean(y))
