@@ -147,8 +147,11 @@ class _Analysis:
         return E.Op("and", (*(self.unique(b) for b in bare), out)) if bare else out
 
     def only_free(self, n: E.Node) -> bool:
+        """Whether dimension rows alone decide the part; a negation is of the existence below it."""
+        if E.has_aggregate(n) or any(isinstance(x, E.Op) and x.op == "not" for x in E.walk(n)):
+            return False
         kinds = self.kinds(n)
-        return "free" in kinds and kinds <= {"free", "session"} and not E.has_aggregate(n)
+        return "free" in kinds and kinds <= {"free", "session"}
 
     def exists(self, n: E.Node) -> E.Node:
         key = f"exists:{len(self.form.exists)}"
