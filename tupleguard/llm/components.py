@@ -25,7 +25,6 @@ def components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
         offer = edges.join(labels.withColumnRenamed("id", "v"), "v").groupBy("u").agg(F.min("label").alias("offer"))
         seen = labels.join(offer, labels["id"] == offer["u"]).select("id", "label", F.least("label", "offer").alias("best"))
         hooked = seen.select(F.col("id"), F.col("best")).union(seen.select("label", "best")).toDF("id", "best").groupBy("id").agg(F.min("best").alias("hook"))
-        hooked = keep(hooked, "cc-hooks")
         jump = hooked.select(F.col("id").alias("hook"), F.col("hook").alias("jump"))
         moved = labels.join(hooked, "id").join(jump, "hook", "left").select("id", F.col("label").alias("old"), F.least("hook", F.coalesce("jump", "hook")).alias("label"))
         moved = keep(moved, "cc-labels")

@@ -32,7 +32,7 @@ from pyspark.sql import DataFrame, Window, functions as F
 
 from . import textkit as tk
 from .components import components
-from .state import keep, packed
+from .state import hold, keep, packed
 
 SIDE, GROUP = 10, 2
 #: Minhashes that key tables, and all minhashes of the sketch.
@@ -190,7 +190,7 @@ def families(classes: DataFrame) -> DataFrame:
     spread = classes.select("id", "groups").repartition(parts, "id").select(F.explode(keys).alias("key"), "id")
     bucket = Window.partitionBy("key")
     lead, members = F.min("id").over(bucket).alias("lead"), F.count(F.lit(1)).over(bucket).alias("members")
-    rows = keep(spread.select("key", "id", lead, members).where("members > 1").drop("members"), "near-rows", 8)
+    rows = hold(spread.select("key", "id", lead, members).where("members > 1").drop("members"))
     pairs = rows.where("id <> lead").select("lead", "id").distinct()
     sketches = classes.select("id", "sketch")
     both = pairs.join(sketches.withColumnRenamed("sketch", "sb"), "id").join(sketches.select(F.col("id").alias("lead"), F.col("sketch").alias("sa")), "lead")
@@ -208,7 +208,7 @@ def class_links(docs: DataFrame, classes: DataFrame, k: int, percent: int) -> Da
     wanted = member.select(F.col("id").alias("doc_id")).distinct()
     # one plan at every size: the texts are shuffled, and the ids of a partition are hashed
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(wanted.hint("shuffle_hash"), "doc_id", "left_semi")
-    sets = keep(texts.mapInArrow(_sets(k), "doc_id long, n long, shingles binary").withColumnRenamed("doc_id", "id"), "near-sets", 8)
+    sets = hold(texts.mapInArrow(_sets(k), "doc_id long, n long, shingles binary").withColumnRenamed("doc_id", "id"))
     room = member.join(sets.select("id", "n"), "id").groupBy("kind", "lead").agg(F.ceil(F.sum("n") / BLOCK).cast("int").alias("blocks")).where("blocks > 1")
     work = member.join(sets.select("id", "shingles"), "id").join(keep(room, "near-blocks"), ["kind", "lead"], "left").withColumn("blocks", F.coalesce("blocks", F.lit(1)))
     work = work.withColumn("block", F.expr("cast(pmod(xxhash64(id), blocks) as int)"))
@@ -222,7 +222,7 @@ def class_links(docs: DataFrame, classes: DataFrame, k: int, percent: int) -> Da
 
 def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     """``(doc_id, n_shingles, class_id, component_id, kept)``, a row per row of ``docs``."""
-    signed = keep(signatures(docs, k), "near-signed", None)
+    signed = hold(signatures(docs, k))
     classes = keep(classes_of(signed), "near-classes")
     found = components(class_links(docs, classes, k, percent))
     roots = classes.select("set_lo", "set_hi", "n_shingles", F.col("id").alias("class_id")).join(found.withColumnRenamed("id", "class_id"), "class_id", "left")

@@ -176,7 +176,7 @@ def pack(items: DataFrame, capacity: int = 1024, part: int = PART, rounds: int =
     for r in range(rounds + 1):
         parts = max(1, -(-n // part))
         dealt = todo.withColumn("part", F.expr(f"cast(pmod(xxhash64(doc_id, piece, start, {r}), {parts}) as int)"))
-        packed = keep(dealt.groupBy("part").applyInArrow(_pack(capacity), PACKED), "pack-round")
+        packed = keep(dealt.groupBy("part").applyInArrow(_pack(capacity), PACKED), "pack-round", 4)
         packed = packed.withColumn("round", F.lit(r))
         facts = packed.groupBy("part").agg(F.first("bins").alias("bins"), F.first("bound").alias("bound")).agg(
             F.sum("bins").alias("bins"), F.sum(F.expr("bins - bound")).alias("gap"), F.count_if(F.expr("bins > bound")).alias("open")

@@ -9,6 +9,7 @@ import os
 import tempfile
 import uuid
 
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 
 
@@ -38,7 +39,7 @@ def remove(spark: SparkSession, path: str) -> None:
 #: Files of a kept table of narrow rows, at most, for each core of the cluster. Creating a file
 #: costs an executor a call to the file system (a forked process on some); tables of whole
 #: texts keep the partitions that they have.
-FILES_A_CORE = 2
+FILES_A_CORE = 1
 
 
 def packed(df: DataFrame, a_core: int = FILES_A_CORE) -> DataFrame:
@@ -53,3 +54,9 @@ def keep(df: DataFrame, name: str = "stage", a_core: int | None = FILES_A_CORE)
     path = shared_path(df.sparkSession, name)
     (df if a_core is None else packed(df, a_core)).write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def hold(df: DataFrame) -> DataFrame:
+    """The rows in the executors' block stores, on disk, for several readers. Lineage stays: the
+    blocks of a lost executor are computed again. For wide tables that one function reads."""
+    return df.persist(StorageLevel.DISK_ONLY)
