@@ -118,17 +118,20 @@ def finalize_sql(agg: Agg, cols: list[str]) -> str:
     if k in VARIANCE:
         n, s, ss = cols
         pop = k.endswith("pop")
-        var = f"(greatest({ss} - {s} * {s} / {n}, 0D) / {n if pop else f'nullif({n} - 1, 0)'})"
+        left = f"if({ss} - {s} * {s} / {n} <= 1e-12D * {ss}, 0D, {ss} - {s} * {s} / {n})"
+        var = f"({left} / {n if pop else f'nullif({n} - 1, 0)'})"
         var = f"case when {n} > 0 then {var} end"
         return f"sqrt({var})" if k.startswith("stddev") else var
     if k in PAIRS:
         n, su, sv, suu, svv, suv = cols
-        co = f"({suv} - {su} * {sv} / {n})"
+        co = f"if(abs({suv} - {su} * {sv} / {n}) <= 1e-12D * abs({suv}), 0D, {suv} - {su} * {sv} / {n})"
         if k == "covar_pop":
             return f"case when {n} > 0 then {co} / {n} end"
         if k == "covar_samp":
             return f"case when {n} > 1 then {co} / ({n} - 1) end"
-        xx, yy = f"({suu} - {su} * {su} / {n})", f"({svv} - {sv} * {sv} / {n})"
+        # what rounding leaves of a constant side is no spread
+        spread = lambda ss, x: f"if({ss} - {x} * {x} / {n} <= 1e-12D * {ss}, 0D, {ss} - {x} * {x} / {n})"
+        xx, yy = spread(suu, su), spread(svv, sv)
         if k == "corr":
             return f"case when {n} > 1 then {co} / nullif(sqrt({xx} * {yy}), 0D) end"
         return f"case when {n} > 1 then {co} / nullif({yy}, 0D) end"
@@ -143,6 +146,11 @@ def direct_sql(agg: Agg, args: list[str]) -> str:
         return f"count(distinct {args[0]})"
     if agg.kind == "count" and not args:
         return "count(1)"
+    if agg.kind in ("corr", "regr_slope"):
+        # spelled out, as the built-in ones divide by zero where a side is constant
+        u, v = (f"case when {args[1 - i]} is not null then double({args[i]}) end" for i in (0, 1))
+        below = f"stddev_pop({u}) * stddev_pop({v})" if agg.kind == "corr" else f"var_pop({v})"
+        return f"covar_pop({args[0]}, {args[1]}) / nullif({below}, 0D)"
     if (own := custom(agg.kind)) is not None:
         lift, plus, fin, _ = own
         return fin.replace("{x}", merge_sql(plus, lift.replace("{x}", args[0])))

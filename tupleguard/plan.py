@@ -109,6 +109,11 @@ class QueryPlan:
     # -- checks
     def check_monotone(self, left_only: bool = False) -> None:
         def look(node):
+            if self.instance_table(node):
+                return
+            names, inner = self.names(node)
+            if names and self.bridge.kind(inner) in ("LogicalRDD", "ExternalRDD"):
+                return  # a named in-memory relation is a scan
             k = self.bridge.kind(node)
             if k in _REJECT:
                 raise NonMonotonePlan(_REJECT[k])
@@ -140,10 +145,13 @@ class QueryPlan:
         return self.bridge._has(self.plan, kinds)
 
     def needs_mask(self) -> bool:
-        """Whether applicability differs between output tuples."""
+        """Whether applicability differs between output tuples: unions, outer joins, and
+        aggregates without keys, whose one row may have no derivation at all."""
 
         def look(node):
             k = self.bridge.kind(node)
+            if k == "Aggregate" and node.groupingExpressions().size() == 0:
+                return True
             if k == "Union" or (k == "Join" and self.bridge.kind(node.joinType()) in ("LeftOuter", "RightOuter", "FullOuter")):
                 return True
             return any(look(c) for c in self.bridge.children(node))
