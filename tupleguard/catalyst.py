@@ -16,6 +16,9 @@ class Bridge:
         self.logical = self.jvm.org.apache.spark.sql.catalyst.plans.logical
         self.utils = self.jvm.org.apache.spark.sql.classic.ExpressionUtils
         self._n = 0
+        # plan nodes are walked several times: their children and kinds are fetched once
+        self._kids: dict[str, list] = {}
+        self._kinds: dict[str, str] = {}
 
     def fresh(self, stem: str) -> str:
         self._n += 1
@@ -29,12 +32,17 @@ class Bridge:
     def items(seq) -> list:
         return [seq.apply(i) for i in range(seq.size())]
 
-    @staticmethod
-    def kind(node) -> str:
-        return node.getClass().getSimpleName().rstrip("$")
+    def kind(self, node) -> str:
+        at = node._target_id
+        if at not in self._kinds:
+            self._kinds[at] = node.getClass().getSimpleName().rstrip("$")
+        return self._kinds[at]
 
     def children(self, node) -> list:
-        return self.items(node.children())
+        at = node._target_id
+        if at not in self._kids:
+            self._kids[at] = [node, self.items(node.children())]
+        return self._kids[at][1]
 
     def output(self, node) -> list:
         return self.items(node.output())
@@ -111,14 +119,29 @@ class Bridge:
         return self.kind(plan) in kinds or any(self._has(c, kinds) for c in self.children(plan))
 
     def _has_subquery(self, plan) -> bool:
+        # the plan's text names subquery expressions; only then are expressions walked
+        if not self._mentions(plan, ("exists#", "list#", "lateral-subquery#")):
+            return False
+        return self._subquery_below(plan)
+
+    def _subquery_below(self, plan) -> bool:
         own = any(self._expr_has(e) for e in self.items(plan.expressions()))
-        return own or any(self._has_subquery(c) for c in self.children(plan))
+        return own or any(self._subquery_below(c) for c in self.children(plan))
 
     def _expr_has(self, e) -> bool:
         return self.kind(e) in ("Exists", "InSubquery", "ListQuery", "LateralSubquery") or any(self._expr_has(c) for c in self.items(e.children()))
 
     def scalar_subqueries(self, plan) -> bool:
+        return self._mentions(plan, ("scalar-subquery#",)) and self._scalar_below(plan)
+
+    @staticmethod
+    def _mentions(plan, marks: tuple) -> bool:
+        """Whether the plan's text holds a mark, or was cut so that it might."""
+        text = plan.toString()
+        return "more fields" in text or any(m in text for m in marks)
+
+    def _scalar_below(self, plan) -> bool:
         def look(e):
             return self.kind(e) == "ScalarSubquery" or any(look(c) for c in self.items(e.children()))
 
-        return any(look(e) for e in self.items(plan.expressions())) or any(self.scalar_subqueries(c) for c in self.children(plan))
+        return any(look(e) for e in self.items(plan.expressions())) or any(self._scalar_below(c) for c in self.children(plan))

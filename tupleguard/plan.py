@@ -68,11 +68,18 @@ class QueryPlan:
         self.plan = self.bridge.analyzed(df)
         self.wanted = {t.lower().rsplit(".", 1)[-1] for t in tables}
         self.instances: list[Instance] = []
+        self._names: dict[str, tuple] = {}
         self._find(self.plan)
 
     # -- instances
     def names(self, node) -> tuple[list[str], object]:
         """The names above a node, outermost first, and the node below them."""
+        at = node._target_id
+        if at not in self._names:
+            self._names[at] = self._read_names(node)
+        return self._names[at]
+
+    def _read_names(self, node) -> tuple[list[str], object]:
         b, out = self.bridge, []
         while b.kind(node) in ("SubqueryAlias", "View"):
             if b.kind(node) == "SubqueryAlias":

@@ -171,7 +171,7 @@ class Annotator:
             new[mask] = " | ".join(f"coalesce({m}, 0L)" for m in (a.mask, b.mask) if m)
         st = self.add(st, new)
         st.cols, st.mult, st.mask = cols, mult, mask
-        return self.spanning(self.drop_stale(st))
+        return self.spanning(self.drop_stale(st) if new else st)
 
     def drop_stale(self, st: State) -> State:
         """Forgets columns that were replaced."""
