@@ -148,7 +148,6 @@ def _join_block(cosine: float):
 
 def vector_groups(vectors: DataFrame, cosine: float = 0.93, vec: str = "embedding") -> DataFrame:
     """``(vec_id, n_links, component_id, kept)``, a row per row of ``vectors``."""
-    spark = vectors.sparkSession
     rows = vectors.select(F.col("vec_id").cast("long").alias("id"), F.col("label"), F.col(vec).cast("array<double>").alias("vec"))
     usable = F.expr(
         "id is not null and label is not null and vec is not null and size(vec) > 0"
@@ -189,5 +188,4 @@ def vector_groups(vectors: DataFrame, cosine: float = 0.93, vec: str = "embeddin
     member = member.select("id", "class_id", "copies")
     out = member.join(counts.withColumnRenamed("id", "class_id"), "class_id", "left").join(comp, "id", "left")
     component = F.coalesce("component", "id")
-    del spark
     return out.select(F.col("id").alias("vec_id"), F.coalesce(F.coalesce("n", F.lit(0)) + F.col("copies") - 1, F.lit(0)).alias("n_links"), component.alias("component_id"), F.coalesce(component == F.col("id"), F.lit(False)).alias("kept"))
