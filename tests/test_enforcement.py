@@ -248,3 +248,61 @@ def test_streams(tables, tmp_path):
     q = s.writeStream.format("memory").queryName("moved").outputMode("append").trigger(availableNow=True).option("checkpointLocation", str(tmp_path / "cp2")).start()
     q.awaitTermination(120)
     assert sorted((r["id"], r["seq"], r["accepted"]) for r in tables.table("moved").collect()) == [(1, 1, True), (1, 2, True), (1, 3, False), (2, 1, False)]
+
+
+def test_experiments_run_small(tables):
+    got = experiments.overhead_by_query(tables, ("q1", "q4"), ("inline", "two_pass", "replay_rows", "replay_ids"), 1)
+    assert {(r["query"], r["strategy"]) for r in got if "unsupported" in r} == {("q4", "replay_ids")}
+    by = {(r["query"], r["strategy"]): r for r in got}
+    assert by["q1", "replay_rows"]["widest_rows"] >= by["q1", "inline"]["widest_rows"]
+    assert len(experiments.engine_axes(tables, ("q6",), 1)) == 12
+    assert {r["kind"] for r in experiments.microbenchmarks(tables, (1000,), (10,), 1)} == {"simple", "join", "grouped_10"}
+    assert len(experiments.width_grid(tables, (2, 8), (2,), 500, 1)) == 4
+    assert [r["sources"] for r in experiments.source_scaling(tables, (1, 3), 1)] == [1, 3]
+
+
+def test_sources_of_other_formats_and_guarded_sessions(tables, tmp_path):
+    from tupleguard.sources import GuardedSession, read
+
+    small = tables.table("orders").select("o_orderkey", "o_orderstatus", "o_totalprice")
+    for fmt, opts in (("csv", {"header": "true", "inferSchema": "true"}), ("json", {}), ("orc", {}), ("parquet", {})):
+        path = str(tmp_path / fmt)
+        small.write.format(fmt).options(**{k: v for k, v in opts.items() if k == "header"}).save(path)
+        read(tables, "bills", path, fmt, **opts)
+        pol = FlowPolicy("p", "max(bills.o_totalprice) < 400000", (SourceRef("bills"),))
+        for s in STRATEGIES if fmt == "parquet" else STRATEGIES[:3]:
+            assert Guard(tables, [pol]).query("select o_orderstatus, o_orderkey from bills", strategy=s).count() == small.where("o_totalprice < 400000").count()
+        session = GuardedSession(Guard(tables, [pol]))
+        assert session.table("bills").count() == session.sql("select * from bills").count() == small.where("o_totalprice < 400000").count()
+
+
+def test_functions_and_custom_semirings(tables):
+    from tupleguard.algebra import register_semiring
+    from tupleguard.functions import capped_set, cents, mask_covers, unique_value
+
+    register_semiring("product_log", "ln(double({x}))", "sum", "exp({x})", sumlike=True)
+    sql = "select l_suppkey, count(*) as n from lineitem where l_quantity < 4 group by l_suppkey"
+    assert every(tables, sql, FlowPolicy("p", "product_log(l_quantity) < 1000000000000", (L,)), ("inline", "two_pass", "replay_rows"))
+    one = tables.table("lineitem").groupBy("l_returnflag").agg(unique_value("l_returnflag").alias("u"), F.size(capped_set("l_suppkey", 2)).alias("c"), F.sum(cents("l_extendedprice")).alias("s")).collect()
+    assert all(r["u"] and r["c"] == 3 and r["s"] > 0 for r in one)
+    assert tables.range(1).select(mask_covers(F.lit(5), 4)).first()[0]
+
+
+def test_approximate_and_holistic_aggregates_need_the_bag(tables):
+    sql = "select l_suppkey, count(*) as n from lineitem group by l_suppkey"
+    for body in ("approx_count_distinct(l_partkey) > 100", "median(l_quantity) <= 25", "percentile(l_quantity, 0.9) > 40"):
+        pol = FlowPolicy("p", body, (L,))
+        assert rows(Guard(tables, [pol]).query(sql)) == rows(Guard(tables, [pol]).query(sql, strategy="replay_rows"))
+
+
+def test_micro_batches(tables, tmp_path):
+    from tupleguard.streaming import micro_batch_guard
+
+    src = str(tmp_path / "in")
+    tables.table("orders").select("o_orderkey", "o_custkey", "o_totalprice").write.parquet(src)
+    stream = tables.readStream.schema("o_orderkey long, o_custkey long, o_totalprice double").parquet(src)
+    pol = FlowPolicy("p", "max(fresh.o_totalprice) < 300000", (SourceRef("fresh"),))
+    seen = []
+    q = stream.writeStream.foreachBatch(micro_batch_guard(Guard(tables, [pol]), "fresh", "select o_custkey, count(*) as n from fresh group by o_custkey", lambda df, i: seen.append(df.count()))).trigger(availableNow=True).option("checkpointLocation", str(tmp_path / "cp")).start()
+    q.awaitTermination(120)
+    assert sum(seen) == tables.table("orders").groupBy("o_custkey").agg(F.max("o_totalprice").alias("m")).where("m < 300000").count()

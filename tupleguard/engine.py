@@ -64,8 +64,7 @@ class Guard:
             form = constraint.analyze(p, self._columns(query))
             if missing:
                 # a required source that the query doesn't read: every row fails
-                gone = constraint.ConstraintForm(form.residual.__class__("false") if False else constraint.E.Lit("false"))
-                b = Bound(p, gone, {})
+                b = Bound(p, constraint.ConstraintForm(constraint.E.Lit("false")), {})
                 b.missing_required = True
                 bound.append(b)
                 continue

@@ -5,6 +5,8 @@ from __future__ import annotations
 from dataclasses import dataclass
 from typing import Sequence
 
+from pyspark.sql import functions as F
+
 from .. import expr as E
 from ..algebra import components, finalize_sql
 from ..constraint import SESSION
@@ -151,16 +153,12 @@ def _with_existence(query: QueryPlan, plan, bd: Bound, key: str, cond: E.Node):
     joined, have = None, set()
     for alias in wanted:
         have.add(alias)
-        here = [p for p in parts if {x.parts[0] for x in E.attrs(p)} - {"session"} <= have and not getattr(p, "_done", False)]
+        here = [p for p in parts if {x.parts[0] for x in E.attrs(p)} - {"session"} <= have]
         on = " and ".join(sql(p) for p in here if len({x.parts[0] for x in E.attrs(p)} - {"session"}) > 1) or "true"
-        from pyspark.sql import functions as F
-
         joined = frames[alias] if joined is None else joined.join(frames[alias], F.expr(on))
     col = b.fresh("ex")
     one = joined.where(sql(cond)).limit(1).selectExpr(f"count(1) > 0 as {col}")
     bd.__dict__.setdefault("exists_columns", {})[key] = col
-    from pyspark.sql import functions as F
-
     return b.join(plan, F.broadcast(one)._jdf.queryExecution().analyzed(), "cross")
 
 

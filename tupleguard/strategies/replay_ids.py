@@ -28,6 +28,8 @@ class _Ids(Widener):
         _, inner = self.q.names(node)
         if self.b.kind(inner) != "LogicalRelation":
             raise UnsupportedPlan(self.name, "a source without files")
+        if not inner.relation().fileFormat().getClass().getSimpleName().startswith("Parquet"):
+            raise UnsupportedPlan(self.name, "a file format without row indexes")
         rid = self.b.fresh("r")
         base = self.b.output(node)
         more = [self.b.named("struct(_metadata.file_path, _metadata.row_index)", rid)]

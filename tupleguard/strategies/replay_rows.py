@@ -195,14 +195,11 @@ def bag_values(query: QueryPlan, bound: Sequence[Bound], w, dims) -> tuple[list,
             args = [E.render(strip_one(x), name) for x in a.args]
             cover = " and ".join(f"{w.rid[i]} is not null" for i in sorted(ids))
             if ids:
-                args = [f"case when {cover} then {x} end" for x in args]
+                # constants (a percentage, say) stay as they are
+                args = [f"case when {cover} then {text} end" if E.attrs(x) or strip_one(x) != x else text for x, text in zip(a.args, args)]
             own[key] = agg(direct_sql(a, args))
         values.append(own)
 
-        def test(ids: frozenset):
-            # one monomial that covers them all, or for lineage one for each
-            return " and ".join(agg_now[i] for i in sorted(ids)) or "true"
-
         agg_now = {i: agg(f"coalesce(bool_or({w.rid[i]} is not null), false)") for i in sorted(bd.needs)}
         present.append(lambda ids, m=agg_now: " and ".join(m[i] for i in sorted(ids)) or "true")
     return more, values, present
