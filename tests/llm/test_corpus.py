@@ -453,6 +453,39 @@ def test_contamination_is_found_with_substitutions(spark):
     assert decontaminate.scan(docs, bench.limit(0)).where("contaminated").count() == 0
 
 
+def test_substitutions_in_any_place_keep_an_item_found():
+    rng = random.Random(11)
+    vocab = [f"v{i}" for i in range(5000)]
+
+    def found(n, places):
+        own = rng.sample(vocab, n)
+        laid = ["sub" if i in places else w for i, w in enumerate(own)]
+        items = decontaminate.Items([(1, " ".join(own))])
+        w, ptr = textkit.hash_words(pa.array([" ".join(rng.sample(vocab, 40) + laid + rng.sample(vocab, 40))]))
+        hits = items.hits(w, ptr)
+        m = items.verify(w, ptr, 0, 0, hits[:, 2]) if len(hits) else 0
+        return decontaminate.enough(m, n), m
+
+    assert found(24, range(10, 14)) == (True, 20)
+    assert found(25, range(4, 25, 5)) == (True, 20)
+    assert found(15, (5, 10)) == (True, 13)
+    tries = missed = 0
+    for n in (15, 18, 20, 25):
+        for k in (2, 3, 4):
+            for i in range(n - k + 1):
+                assert found(n, range(i, i + k))[0] or max(i, n - i - k) < 8
+            for _ in range(40):
+                tries += 1
+                missed += not found(n, set(rng.sample(range(n), k)))[0]
+    assert missed <= 0.1 * tries
+    # matches that are strewn over a long item are no passage
+    own = rng.sample(vocab, 400)
+    laid = [w if i % 12 == 0 or 100 <= i < 108 else "sub" for i, w in enumerate(own)]
+    items = decontaminate.Items([(1, " ".join(own))])
+    w, ptr = textkit.hash_words(pa.array([" ".join(laid)]))
+    assert not decontaminate.enough(items.verify(w, ptr, 0, 0, np.array([0])), 400)
+
+
 # -- pipeline ------------------------------------------------------------------------------
 def test_pipeline_equals_its_stages_by_brute_force(spark):
     import corpus_pipeline

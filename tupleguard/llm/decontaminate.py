@@ -33,8 +33,8 @@ MASKS = ("11101011", "110110101", "1101000111", "10110011001")
 LEAST, WORDS = 4, 13
 #: Share of an item's words, and the words at least, that make a match too.
 SHARE, FEWEST = 0.5, 8
-#: What a substituted word costs against a matching one (0.8 identity breaks even).
-PENALTY = 4
+#: What a substituted word costs against a matching one (half identity, ``SHARE``, breaks even).
+PENALTY = 1
 #: Bytes of item text that are held by every task.
 SLICE = 8 << 20
 _BITS = 22
@@ -101,21 +101,48 @@ class Items:
         return np.unique(np.concatenate(found), axis=0) if found else np.zeros((0, 3), np.int64)
 
     def verify(self, words: np.ndarray, ptr: np.ndarray, row: int, item: int, diagonals: np.ndarray) -> int:
-        """Item positions that match in the best segment of any diagonal."""
+        """Item positions that match around seeds of any diagonal, or half of the item and more on one."""
         own = self.words[item]
         covered = np.zeros(len(own), bool)
+        most = 0
         for d in diagonals:
             a = max(0, int(ptr[row] - d))
             b = min(len(own), int(ptr[row + 1] - d))
             if b <= a:
                 continue
             same = own[a:b] == words[d + a : d + b]
-            total = np.concatenate(([0], np.cumsum(np.where(same, 1, -PENALTY))))
-            low = np.minimum.accumulate(total)
-            end = int((total - low).argmax())
-            start = int(total[: end + 1].argmin())
-            covered[a + start : a + end] |= same[start:end]
-        return int(covered.sum())
+            covered[a:b] |= same & _around_seeds(same)
+            most = max(most, int(same.sum()))
+        matched = int(covered.sum())
+        return max(matched, most) if most >= SHARE * len(own) else matched
+
+
+def _around_seeds(same: np.ndarray) -> np.ndarray:
+    """Positions in the best segments (matches less penalties) that hold a seed."""
+    n = len(same)
+    starts, ends = [], []
+    for mask in MASKS if n >= len(MASKS[0]) else ("1" * n,):
+        room = n - len(mask) + 1
+        if room <= 0:
+            continue
+        hit = np.ones(room, bool)
+        for j, bit in enumerate(mask):
+            if bit == "1":
+                hit &= same[j : j + room]
+        at = np.flatnonzero(hit)
+        starts.append(at)
+        ends.append(at + len(mask))
+    edge = np.zeros(n + 1, np.int64)
+    if starts:
+        s, e = np.concatenate(starts), np.concatenate(ends)
+        total = np.concatenate(([0], np.cumsum(np.where(same, 1, -PENALTY))))
+        at = np.arange(n + 1)
+        lowest = np.maximum.accumulate(np.where(total == np.minimum.accumulate(total), at, 0))
+        back = total[::-1]
+        highest = n - np.maximum.accumulate(np.where(back == np.maximum.accumulate(back), at, 0))[::-1]
+        np.add.at(edge, lowest[s], 1)
+        np.add.at(edge, highest[e], -1)
+    return np.cumsum(edge[:-1]) > 0
 
 
 def enough(matched: int, item_words: int) -> bool:
