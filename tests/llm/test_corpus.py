@@ -398,6 +398,16 @@ def test_many_names_stay_distinct_either_way(spark):
     assert a == b and len(set(a)) == 200
 
 
+def test_hexadecimal_secrets_of_either_case(spark):
+    low, mixed = "9233a8ec" * 5, "9233a8EC" * 5
+    rows = [(1, f'TOKEN = "{low.upper()}"'), (2, f"token {low}"), (3, f"token {mixed}"), (4, "A" * 31 + " " + "G" * 40), (5, "DEADBEEFCAFE" + "A" * 30), (6, "sk-" + "aB3" * 8)]
+    out = {r["doc_id"]: r for r in pii.replace(frame(spark, rows), b"k").collect()}
+    a, b, c = re.search("[0-9A-F]{40}", out[1]["text"])[0], re.search("[0-9a-f]{40}", out[2]["text"])[0], re.search("[0-9A-Fa-f]{40}", out[3]["text"])[0]
+    assert a.lower() == b == c.lower() != low and a != a.lower() and c not in (a, b)
+    assert out[4]["text"] == rows[3][1] and re.fullmatch("[0-9A-F]{42}", out[5]["text"]) and out[5]["text"] != rows[4][1]
+    assert re.fullmatch("sk-[a-z](?:[a-z]|[A-Z]|[0-9]){23}", out[6]["text"]) and [out[i]["pii_entities"] for i in range(1, 7)] == [1, 1, 1, 0, 1, 1]
+
+
 # -- 9 language model ----------------------------------------------------------------------
 def test_kneser_ney_against_plain_python(spark):
     rng = random.Random(9)

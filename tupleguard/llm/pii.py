@@ -3,7 +3,7 @@
 Detection covers mail addresses, phone numbers, card-like and long digit runs, IPv4 addresses,
 IBANs, US social security numbers, secret tokens and names after a title. Every entity gets a
 surrogate of its own type: digits stay digits and letters stay letters of their script and
-case, card numbers keep their check digit's validity, addresses stay addresses, a titled name
+case, hexadecimal secrets stay hexadecimal in their case (one secret in either spelling), card numbers keep their check digit's validity, addresses stay addresses, a titled name
 is replaced by a name of the title's gender and the text's script.
 
 A surrogate depends only on the key, the type, the entity's canonical form and an attempt
@@ -54,7 +54,7 @@ _NAME = r"[^\W\d_a-zа-яёà-öø-ÿ][^\W\d_]+"
 _PATTERNS = (
     ("email", r"(?<![\w.+-])[\w][\w.+-]*@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)*\.[A-Za-z]{2,}"),
     ("iban", r"(?<![A-Za-z0-9])[A-Z]{2}\d{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?(?![A-Za-z0-9])"),
-    ("secret", r"(?<![A-Za-z0-9])(?:[0-9a-f]{32,128}|(?:sk|pk|ghp|gho|xox[bp]|AKIA)[-_A-Za-z0-9]{16,})(?![A-Za-z0-9])"),
+    ("secret", r"(?<![A-Za-z0-9])(?:[0-9A-Fa-f]{32,128}|(?:sk|pk|ghp|gho|xox[bp]|AKIA)[-_A-Za-z0-9]{16,})(?![A-Za-z0-9])"),
     ("ipv4", r"(?<![\d.])(?:25[0-5]|2[0-4]\d|1?\d?\d)(?:\.(?:25[0-5]|2[0-4]\d|1?\d?\d)){3}(?![\d.]*\d)"),
     ("phone", r"(?<![\w+])(?:\+\d{1,3}[ .-]?)(?:\(\d{1,4}\)[ .-]?)?\d{2,4}(?:[ .-]?\d{2,4}){1,4}(?!\w)|(?<![\w+])\(\d{3}\) ?\d{3}[ .-]\d{4}(?!\w)|(?<![\w+.-])\d{3}[.-]\d{3}[.-]\d{4}(?![\w-])"),
     ("ssn", r"(?<![\w-])\d{3}-\d{2}-\d{4}(?![\w-])"),
@@ -62,7 +62,8 @@ _PATTERNS = (
     ("name", r"(?<!\w)(?:" + "|".join(sorted(TITLES, key=len, reverse=True)) + r")\.? (" + _NAME + r"(?: " + _NAME + r"){0,2})(?!\w)"),
 )
 _FINDERS = tuple((kind, re.compile(p)) for kind, p in _PATTERNS)
-_HINT = re.compile(r"[@+\d]|" + "|".join(TITLES))
+_HEXA = re.compile(r"[0-9A-Fa-f]{32,128}\Z")
+_HINT = re.compile(r"[@+\d]|[A-Fa-f]{32}|" + "|".join(TITLES))
 
 
 def detect(text: str) -> list[tuple[int, int, str, str]]:
@@ -101,6 +102,8 @@ def canonical(kind: str, gender: str, value: str) -> str:
         return value.lower()
     if kind in ("card", "ssn", "iban", "phone"):
         return re.sub(r"[^0-9A-Za-z]", "", value).upper()
+    if kind == "secret" and _HEXA.match(value):
+        return value.lower()
     return f"{gender}|{value}" if kind == "name" else value
 
 
@@ -156,7 +159,7 @@ def surrogate(key: bytes, kind: str, gender: str, value: str, attempt: int = 0)
             pick.append(last[s.below(len(last))] + (last[s.below(len(last))].lower() if attempt else "") + ("".join(last[s.below(len(last))].lower() for _ in range(attempt // 4))))
         return " ".join(pick)
     if kind == "secret":
-        hexa = all(c in "0123456789abcdef" for c in entity)
+        hexa = bool(_HEXA.match(entity))
         head = 0 if hexa else min(4, len(entity))
         return entity[:head] + "".join("0123456789abcdef"[s.below(16)] if hexa else s.like(c) for c in entity[head:])
     if kind == "iban":
@@ -183,9 +186,24 @@ def dress(kind: str, value: str, replacement: str) -> str:
     if kind in ("card", "ssn", "iban", "phone"):
         fresh = iter(replacement)
         return "".join(next(fresh) if c.isalnum() else c for c in value)
+    if kind == "secret" and _HEXA.match(value):
+        return _cased(value, replacement)
     return replacement
 
 
+def _cased(value: str, replacement: str) -> str:
+    """Hexadecimal in the case of ``value``; where that mixes, each letter follows the value's
+    character in its place, and the last letter before it where that is a digit."""
+    upper = [c.isupper() for c in value if c.isalpha()]
+    if not any(upper):
+        return replacement
+    out, high = [], upper[0]
+    for c, r in zip(value, replacement):
+        high = c.isupper() if c.isalpha() else high
+        out.append(r.upper() if high else r)
+    return "".join(out)
+
+
 def _entities(batches):
     """Distinct entities of each batch."""
     for whole in batches:
