@@ -371,6 +371,22 @@ def test_languages_of_the_given_documents(spark):
     assert {r["lang_pred"] for r in language_id.identify(odd, untaught).collect()} == {"und"}
 
 
+def test_every_script_keeps_its_letters():
+    rng = random.Random(7)
+    scripts = {"de": (97, 26), "el": (0x3B1, 25), "ru": (0x430, 32), "uk": (0x430, 32), "ja": (0x3041, 80), "ko": (0xAC00, 600), "zh": (0x4E00, 1500), "zt": (0x4E00, 1500)}
+    vocab = {k: ["".join(chr(a + rng.randrange(n)) for _ in range(rng.randint(2, 6))) for _ in range(300)] for k, (a, n) in scripts.items()}
+    text = lambda k, n: " ".join(rng.choice(vocab[k]) for _ in range(n))
+    parser = language_id.CrossParser({k: [text(k, 1500)] for k in scripts})
+    held = [(k, text(k, 12)) for k in scripts for _ in range(20)]
+    assert parser.predict([t for _, t in held])[0] == [k for k, _ in held]
+    sym, _ = language_id.symbol_stream([text("zh", 400)], parser.lut)
+    assert len(set(sym.tolist())) > 300
+    state = 0
+    for c in language_id.symbol_stream([vocab["zh"][0]], parser.lut)[0]:
+        state = parser.tables[parser.langs.index("zh")][state, c]
+        assert state != language_id.NONE
+
+
 # -- 8 personal data -----------------------------------------------------------------------
 def test_surrogates_are_consistent_distinct_and_typed(spark):
     rows = [

@@ -6,10 +6,11 @@ training text; few phrases mean that the language explains it well. Per language
 ``phrases * log2(training length) / symbols`` estimates the cross entropy in bits per symbol;
 the smallest wins (ties: the first in code order).
 
-Texts are lower-cased, runs of non-letters become one space, and letters outside the training
-alphabet are one symbol. The automaton is completed to a dense transition table, so that tens
-of thousands of text segments of all documents step through all languages' tables in lockstep
-(a few array operations a symbol position). Whole texts are read; a document is parsed in
+Texts are lower-cased, runs of non-letters become one space, every letter of any training text
+is a symbol of its own, and letters that no training text holds are one more. The automaton is
+completed to a dense transition table of its language's commonest letters (moves by its other
+letters are found by binary search), so that tens of thousands of text segments of all documents
+step through all languages' tables in lockstep (a few array operations a symbol position). Whole texts are read; a document is parsed in
 segments of ``SEGMENT`` symbols, which costs at most one extra phrase a segment and bounds time
 and memory for very long texts.
 
@@ -35,7 +36,7 @@ from . import textkit as tk
 DOCS, TRAIN = 96, 32_000
 #: Symbols parsed in one go.
 SEGMENT = 256
-#: Symbols of the alphabet: 0 is the space, the last stands for all other letters.
+#: Columns of a dense table: 0 is the space, the last stands for letters outside of it.
 SYMBOLS = 56
 NONE = 65535
 
@@ -79,6 +80,47 @@ class SuffixAutomaton:
         return out
 
 
+class Transitions:
+    """One language's completed automaton over the symbols of all languages.
+
+    Its commonest symbols have dense columns; moves by its other ones are sorted keys, so no
+    alphabet is too large; symbols that the language lacks lead nowhere."""
+
+    def __init__(self, symbols: list[int], width: int):
+        from collections import Counter
+
+        made = SuffixAutomaton(symbols)
+        seen = [c for c, _ in sorted(Counter(symbols).items(), key=lambda x: (x[0] != 0, -x[1], x[0]))]
+        self.column = np.full(width, SYMBOLS - 1, np.uint8)
+        self.column[seen[: SYMBOLS - 1]] = np.arange(len(seen[: SYMBOLS - 1]))
+        dense = np.full((len(made.next), SYMBOLS), NONE, np.uint16)
+        rest = []
+        for s, moves in enumerate(made.next):
+            for c, t in moves.items():
+                if self.column[c] < SYMBOLS - 1:
+                    dense[s, self.column[c]] = t
+                else:
+                    rest.append((s * width + c, t))
+        self.flat, self.width = dense.ravel(), width
+        self.rare = np.zeros(width, bool)
+        self.rare[seen[SYMBOLS - 1 :]] = True
+        pairs = np.array(sorted(rest), np.int64).reshape(-1, 2)
+        self.keys, self.to = pairs[:, 0].copy(), pairs[:, 1].astype(np.uint16)
+
+    def step(self, state: np.ndarray, c: np.ndarray) -> np.ndarray:
+        out = self.flat[state * SYMBOLS + self.column[c]]
+        if len(self.keys):
+            at = np.flatnonzero(self.rare[c])
+            if len(at):
+                want = state[at] * self.width + c[at]
+                pos = np.minimum(np.searchsorted(self.keys, want), len(self.keys) - 1)
+                out[at] = np.where(self.keys[pos] == want, self.to[pos], NONE)
+        return out
+
+    def __getitem__(self, at: tuple[int, int]):
+        return self.step(np.array([at[0]], np.int64), np.array([at[1]], np.int64))[0]
+
+
 _ALPHA: np.ndarray | None = None
 
 
@@ -116,24 +158,18 @@ class CrossParser:
     """The completed automata of all languages."""
 
     def __init__(self, samples: dict[str, list[str]]):
-        from collections import Counter
-
         self.langs = sorted(samples)
-        alpha = _alpha()
-        seen: Counter = Counter()
-        for lang in self.langs:
-            seen.update(c for t in samples[lang] for c in t.lower() if c.isalpha())
-        letters = sorted(c for c, _ in sorted(seen.items(), key=lambda x: (-x[1], x[0]))[: SYMBOLS - 2])
-        self.lut = np.where(alpha, SYMBOLS - 1, 0).astype(np.uint8)
-        for i, c in enumerate(letters):
-            self.lut[ord(c)] = i + 1
-        tables, self.bits = [], []
+        letters = sorted({c for texts in samples.values() for t in texts for c in t.lower() if c.isalpha()})
+        width = len(letters) + 2
+        kind = np.min_scalar_type(width - 1)
+        self.lut = np.where(_alpha(), width - 1, 0).astype(kind)
+        self.lut[[ord(c) for c in letters]] = np.arange(1, width - 1)
+        self.tables, self.bits = [], []
         for lang in self.langs:
             sym, _ = symbol_stream([" ".join(samples[lang])], self.lut)
             sym = sym[:TRAIN]
-            tables.append(SuffixAutomaton(sym.tolist()).table(SYMBOLS))
+            self.tables.append(Transitions(sym.tolist(), width))
             self.bits.append(math.log2(max(2, len(sym))))
-        self.tables = tables
 
     def phrases(self, sym: np.ndarray, ptr: np.ndarray) -> np.ndarray:
         """Phrases of each row by each language (rows x languages)."""
@@ -152,21 +188,20 @@ class CrossParser:
         row, start, size = row[order], start[order], size[order]
         longest = int(size[0])
         active = np.searchsorted(-size, -np.arange(longest), side="left")
-        padded = np.concatenate((sym, np.zeros(SEGMENT, np.uint8)))
+        padded = np.concatenate((sym, np.zeros(SEGMENT, sym.dtype)))
         grid = np.ascontiguousarray(padded[start[:, None] + np.arange(longest)].T)
         for i, table in enumerate(self.tables):
-            flat, root = table.ravel(), table[0]
             state = np.zeros(total, np.int64)
             count = np.zeros(total, np.int64)
             for t in range(longest):
                 n = active[t]
                 c = grid[t, :n]
-                s = flat[state[:n] * SYMBOLS + c]
+                s = table.step(state[:n], c)
                 failed = np.flatnonzero(s == NONE)
                 if len(failed):
                     # the phrase ends before this symbol, which begins the next one
                     count[failed] += state[failed] != 0
-                    again = root[c[failed]]
+                    again = table.step(np.zeros(len(failed), np.int64), c[failed])
                     unknown = again == NONE
                     count[failed] += unknown
                     again[unknown] = 0
