@@ -387,6 +387,21 @@ def test_every_script_keeps_its_letters():
         assert state != language_id.NONE
 
 
+def test_training_length_is_filled_from_whole_texts(spark):
+    rng = random.Random(8)
+    made = {k: ["".join(rng.choice("abcdefghijklmnop") for _ in range(rng.randint(2, 7))) for _ in range(400)] for k in ("xa", "xb", "xc", "head")}
+    text = lambda k, n: " ".join(rng.choice(made[k]) for _ in range(n))
+    head = text("head", 800)
+    rows = [(0, head + " " + text("xa", 18_000), "xa")]
+    rows += [(i, head + " " + text("xb", 800), "xb") for i in range(1, 40)]
+    rows += [(i, text("xc", 3), "xc") for i in range(40, 4000)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    model = language_id.fit(docs)
+    assert model.langs == ["xa", "xb", "xc"] and all(2**b > 0.97 * language_id.TRAIN for b in model.bits)
+    held = [(k, text(k, 30)) for k in model.langs for _ in range(20)]
+    assert model.predict([t for _, t in held])[0] == [k for k, _ in held]
+
+
 # -- 8 personal data -----------------------------------------------------------------------
 def test_surrogates_are_consistent_distinct_and_typed(spark):
     rows = [

@@ -14,8 +14,10 @@ step through all languages' tables in lockstep (a few array operations a symbol
 segments of ``SEGMENT`` symbols, which costs at most one extra phrase a segment and bounds time
 and memory for very long texts.
 
-Training is on a bounded sample: per language at most ``DOCS`` labelled documents, the first by
-a hash of their id, and ``TRAIN`` symbols in all.
+Training is on a bounded sample: per language ``TRAIN`` symbols, or all labelled text where there
+is less, of ``DOCS`` labelled documents, the first by a hash of their id, or of more where these are
+too short. Documents share the length evenly as far as theirs allows; of a longer one, spans of at
+most ``SPAN`` symbols are taken, one at a hashed place of every part of equal length.
 
 Defined cases: null text and text without letters give ``und`` with score 0; null labels are
 not learned from; without any labelled document every text is ``und``; repeated rows are
@@ -25,15 +27,18 @@ predicted alike; null ids are allowed; other columns are ignored.
 from __future__ import annotations
 
 import math
+import zlib
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window, functions as F
 
 from . import textkit as tk
+from .state import keep
 
-#: Bounds of the training sample for each language.
+#: Bounds of the training sample for each language, and of a span of a document.
 DOCS, TRAIN = 96, 32_000
+SPAN = 256
 #: Symbols parsed in one go.
 SEGMENT = 256
 #: Columns of a dense table: 0 is the space, the last stands for letters outside of it.
@@ -227,29 +232,71 @@ class CrossParser:
         return [self.langs[b] if k else "und" for b, k in zip(best, known)], np.where(known, score, 0.0)
 
 
+def _letters(batches):
+    """Texts as the parser sees them: lower case, runs of non-letters as one space."""
+    for whole in batches:
+        for b in tk.sub_batches(whole, "text"):
+            texts = [" ".join("".join(c if c.isalpha() else " " for c in t.lower()).split()) for t in b.column("text").to_pylist()]
+            yield pa.RecordBatch.from_arrays([b.column("lang"), b.column("doc_id"), pa.array([len(t) for t in texts], pa.int64()), pa.array(texts, pa.string())], names=["lang", "doc_id", "n", "text"])
+
+
+def _share(lengths: list[int]) -> int:
+    """The most that a document may give so that all together give ``TRAIN``, or all they have."""
+    left = TRAIN
+    for i, n in enumerate(sorted(lengths)):
+        share = -(-left // (len(lengths) - i))
+        if n > share:
+            return share
+        left -= n
+    return max(lengths, default=0)
+
+
+def _spans(text: str, share: int) -> str:
+    """``share`` symbols of the text, from all over it."""
+    if len(text) <= share:
+        return text
+    k = -(-share // SPAN)
+    size, seed, out = share // k, zlib.crc32(text.encode("utf-8", "surrogatepass")), []
+    for j in range(k):
+        low, high = len(text) * j // k, len(text) * (j + 1) // k
+        at = low + zlib.crc32(f"{seed} {j}".encode()) % (high - low - size + 1)
+        out.append(text[at : at + size])
+    return " ".join(out)
+
+
 def fit(docs: DataFrame, where=None) -> CrossParser:
     """Learns from the labelled rows of ``docs`` (those of ``where``)."""
     rows = docs.where("lang is not null and text is not null and length(text) > 0")
     if where is not None:
         rows = rows.where(where)
+    rows = rows.select(F.col("lang").cast("string").alias("lang"), "doc_id", F.col("text").cast("string").alias("text"))
     order = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
-    chosen = rows.select("lang", "doc_id").withColumn("__n", F.row_number().over(order)).where(F.col("__n") <= DOCS).select("doc_id").distinct()
-    part = -(-2 * TRAIN // DOCS)
-    # whole documents are learned from where they are short; of long ones a bounded part
-    got = rows.join(F.broadcast(chosen), "doc_id", "left_semi").select("lang", "doc_id", F.substring("text", 1, 4 * part).alias("text")).collect()
     samples: dict[str, list[str]] = {}
-    for r in sorted(got, key=lambda r: (r["lang"], r["doc_id"] if r["doc_id"] is not None else -1, r["text"])):
-        have = samples.setdefault(str(r["lang"]), [])
-        if len(have) < DOCS:
-            have.append(r["text"])
-    return CrossParser({lang: _balanced(texts) for lang, texts in samples.items()})
-
-
-def _balanced(texts: list[str]) -> list[str]:
-    """Parts of all texts that fill the training length."""
-    part = -(-TRAIN // max(1, len(texts)))
-    short = sum(min(len(t), part) for t in texts)
-    return [t[: part + max(0, TRAIN - short)] for t in texts] if short < TRAIN else [t[:part] for t in texts]
+    most, open_ = DOCS, None
+    while open_ is None or open_:
+        among = rows if open_ is None else rows.where(F.col("lang").isin(open_))
+        chosen = keep(among.select("lang", "doc_id").withColumn("__n", F.row_number().over(order)).where(F.col("__n") <= most).select("lang", "doc_id"), "language-chosen")
+        full = {r["lang"] for r in chosen.groupBy("lang").count().collect() if r["count"] >= most}
+        texts = among.join(F.broadcast(chosen.distinct()), ["lang", "doc_id"], "left_semi").distinct()
+        read = keep(texts.select("lang", "doc_id", "text").mapInArrow(_letters, f"lang string, doc_id {docs.schema['doc_id'].dataType.simpleString()}, n long, text string").where("n > 0"), "language-texts")
+        lengths: dict[str, list[int]] = {}
+        for r in read.select("lang", "n").collect():
+            lengths.setdefault(r["lang"], []).append(r["n"])
+        # of documents too short to fill the length, more are read
+        open_ = [k for k in sorted(full) if sum(lengths.get(k, [])) < TRAIN and most < TRAIN]
+        shares = {k: _share(n) for k, n in lengths.items() if k not in open_}
+
+        def cut(batches, shares=shares):
+            for b in batches:
+                lang = b.column("lang").to_pylist()
+                text = [_spans(t, shares[k]) if k in shares else "" for k, t in zip(lang, b.column("text").to_pylist())]
+                yield pa.RecordBatch.from_arrays([b.column("lang"), b.column("doc_id"), pa.array(text, pa.string())], names=["lang", "doc_id", "text"])
+
+        got = read.mapInArrow(cut, read.select("lang", "doc_id", "text").schema).where("text <> ''").collect()
+        for r in sorted(got, key=lambda r: (r["lang"], r["doc_id"] if r["doc_id"] is not None else -1, r["text"])):
+            samples.setdefault(r["lang"], []).append(r["text"])
+        most *= 8
+    return CrossParser(samples)
 
 
 def identify(docs: DataFrame, model: CrossParser) -> DataFrame:
