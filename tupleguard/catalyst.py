@@ -71,6 +71,11 @@ class Bridge:
         jfirst = self.jvm.org.apache.spark.sql.functions.first(self.utils.column(attr))
         return self.session.expression(jfirst.alias(name))
 
+    def same(self, attr, like):
+        """An attribute under the name and identity of another."""
+        none = self.jvm.scala.Option.apply(None)
+        return self.jvm.org.apache.spark.sql.catalyst.expressions.Alias(attr, like.name(), like.exprId(), like.qualifier(), none, self.seq([]))
+
     def conjuncts(self, cond) -> list:
         return self.conjuncts(cond.left()) + self.conjuncts(cond.right()) if self.kind(cond) == "And" else [cond]
 

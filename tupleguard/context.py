@@ -27,7 +27,7 @@ def read_columns(spark: SparkSession, q) -> DataFrame:
                 if b.kind(node) == "Project" and b.kind(e) == "AttributeReference":
                     continue
                 used.update(b.ids(e))
-        names, inner = query.names(node)
+        _, names, inner = query.names(node)
         if not b.children(inner) and names:
             leaves.append((names[-1], b.output(node)))
             return
@@ -35,5 +35,8 @@ def read_columns(spark: SparkSession, q) -> DataFrame:
             look(c)
 
     look(query.plan)
+    for sub in b.items(query.plan.subqueriesAll()):
+        used.update(a.exprId().id() for a in b.output(sub))
+        look(sub)
     rows = sorted({(t, a.name()) for t, out in leaves for a in out if a.exprId().id() in used})
     return spark.createDataFrame(rows, "table_name string, column_name string")

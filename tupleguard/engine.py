@@ -4,10 +4,11 @@ from __future__ import annotations
 
 from typing import Sequence
 
+from py4j.java_gateway import is_instance_of
 from pyspark.sql import DataFrame, SparkSession
 
 from . import aliases, constraint, resolve
-from .errors import UnsupportedPlan
+from .errors import NonMonotonePlan, UnsupportedPlan
 from .plan import Bound, QueryPlan, alias_assignments, bind
 from .policy import OUTPUT, FlowPolicy
 from .strategies.common import check_dimensions
@@ -36,7 +37,17 @@ class Guard:
         return self
 
     def _frame(self, q) -> DataFrame:
-        return self.spark.sql(q) if isinstance(q, str) else q
+        """The query as a frame. Text must be a query: a command would run, or redefine a
+        relation that policies name, before anything could be checked."""
+        if not isinstance(q, str):
+            return q
+        plan = self.spark._jsparkSession.sessionState().sqlParser().parsePlan(q)
+        while plan.getClass().getSimpleName() == "UnresolvedWith":
+            plan = plan.child()
+        gateway = self.spark.sparkContext._gateway
+        if any(is_instance_of(gateway, plan, f"org.apache.spark.sql.catalyst.plans.logical.{kind}") for kind in ("Command", "ParsedStatement", "CompoundBody")):
+            raise UnsupportedPlan("guard", f"a statement that is no query ({plan.getClass().getSimpleName()})")
+        return self.spark.sql(q)
 
     def _columns(self, query: QueryPlan | None = None):
         def schema_of(table: str) -> list[str]:
@@ -54,6 +65,8 @@ class Guard:
         """The query and the policies that may apply to it, bound to its relation instances."""
         todo = [p for p in (self.policies if policies is None else policies) if p.sink is None or (sink is not None and p.sink.table.lower() == sink.lower())]
         query = QueryPlan(self._frame(q), [s.table for p in todo for s in p.sources])
+        if query.hidden:
+            raise NonMonotonePlan(f"subquery expressions over {', '.join(sorted(query.hidden))}")
         read = query.tables_read()
         bound: list[Bound] = []
         for p in todo:
@@ -89,10 +102,13 @@ class Guard:
             from .strategies.choose import choose_strategy
 
             strategy = choose_strategy(query, bound)
-            try:
-                return _strategies()[strategy](query, bound, **options), query, bound
-            except UnsupportedPlan:
-                strategy = "two_pass" if strategy == "inline" else "replay_rows"
+            order = dict.fromkeys([strategy, "inline", "two_pass", "replay_rows"])
+            for i, s in enumerate(order):
+                try:
+                    return _strategies()[s](query, bound, **options), query, bound
+                except UnsupportedPlan:
+                    if i + 1 == len(order):
+                        raise
         return _strategies()[strategy](query, bound, **options), query, bound
 
     def query(self, q, strategy: str = "auto", limit_mode: str = "after", two_branch: bool = False, **options) -> DataFrame:

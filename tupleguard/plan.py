@@ -7,15 +7,16 @@ import os
 from dataclasses import dataclass, field
 from typing import Iterable, Sequence
 
+from py4j.protocol import Py4JError
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 
 from . import constraint as C
 from . import expr as E
 from .algebra import Agg, components
 from .catalyst import Bridge
-from .errors import NonDeterministicPlan, NonMonotonePlan
+from .errors import NonDeterministicPlan, NonMonotonePlan, ReservedName, UnsupportedPlan
 from .policy import RESERVED, FlowPolicy
-from .errors import ReservedName
 
 _REJECT = {"Except": "EXCEPT", "UnionLoop": "recursion", "Window": "window functions", "Pivot": "pivot"}
 _OPAQUE = {"LogicalRDD", "MapInPandas", "MapInArrow", "FlatMapGroupsInPandas", "FlatMapGroupsInArrow", "ExternalRDD", "MapPartitions", "FlatMapCoGroupsInPandas"}
@@ -65,51 +66,162 @@ class QueryPlan:
         for c in df.columns:
             if c.lower().startswith(RESERVED):
                 raise ReservedName(c)
-        self.plan = self.bridge.analyzed(df)
+        self.plan = self._semi_joins_down(self.bridge.analyzed(df))
         self.wanted = {t.lower().rsplit(".", 1)[-1] for t in tables}
+        self._places = self._locations()
         self.instances: list[Instance] = []
         self._names: dict[str, tuple] = {}
+        self._tables: dict[str, tuple | None] = {}
         self._find(self.plan)
+        #: Policy tables that only subquery expressions read.
+        self.hidden: set[str] = set()
+        if self.wanted:
+            for sub in self.bridge.items(self.plan.subqueriesAll()):
+                self._look_inside(sub)
+
+    def _semi_joins_down(self, plan):
+        """Semi joins at the lowest place that shows their left columns, as the optimizer would
+        put them: there an annotated subquery still reduces what stands above."""
+        b = self.bridge
+        if "LeftSemi" not in plan.toString():
+            return plan
+
+        def sink(node, right, semi, refs: set):
+            kids = b.children(node)
+            if b.kind(node) == "Filter" and node.condition().deterministic():
+                return node.withNewChildren(b.seq([sink(kids[0], right, semi, refs)]))
+            if b.kind(node) == "Join" and b.kind(node.joinType()) in ("Inner", "Cross"):
+                for i, k in enumerate(kids):
+                    if refs and refs <= {a.exprId().id() for a in b.output(k)}:
+                        return node.withNewChildren(b.seq([sink(x, right, semi, refs) if i == j else x for j, x in enumerate(kids)]))
+            return semi.withNewChildren(b.seq([node, right]))
+
+        def walk(node):
+            kids = b.children(node)
+            new = [walk(k) for k in kids]
+            if any(x is not y for x, y in zip(kids, new)):
+                node = node.withNewChildren(b.seq(new))
+            if b.kind(node) == "Project":
+                # what decorrelation leaves behind: all columns, as they are
+                listed = b.items(node.projectList())
+                if all(b.kind(e) == "AttributeReference" for e in listed) and [e.exprId().id() for e in listed] == [a.exprId().id() for a in b.output(new[0])]:
+                    return new[0]
+            if b.kind(node) == "Join" and b.kind(node.joinType()) == "LeftSemi" and node.condition().isDefined():
+                left, right = b.children(node)
+                if b.kind(left) in ("Filter", "Join"):
+                    own = {a.exprId().id() for a in b.output(left)}
+                    return sink(left, right, node, b.ids(node.condition().get()) & own)
+            return node
+
+        return walk(plan)
 
     # -- instances
-    def names(self, node) -> tuple[list[str], object]:
-        """The names above a node, outermost first, and the node below them."""
+    def _locations(self) -> dict[str, str]:
+        """Places of the files under the policies' tables: other names of them are found too."""
+        out = {}
+        for t in self.wanted:
+            try:
+                plan = self.spark.table(t)._jdf.queryExecution().analyzed()
+            except AnalysisException:
+                continue
+            place = self._place(self._read_names(plan)[2])
+            if place:
+                out[place] = t
+        return out
+
+    def _place(self, node) -> str | None:
+        if self.bridge.kind(node) != "LogicalRelation":
+            return None
+        try:
+            return node.relation().location().rootPaths().mkString("|")
+        except Py4JError:  # relations without files have no place
+            return None
+
+    def names(self, node) -> tuple[str | None, list[str], object]:
+        """The outermost alias, the catalog's names (a query cannot choose these), and the node
+        below all names."""
         at = node._target_id
         if at not in self._names:
             self._names[at] = self._read_names(node)
         return self._names[at]
 
-    def _read_names(self, node) -> tuple[list[str], object]:
-        b, out = self.bridge, []
+    def _read_names(self, node) -> tuple[str | None, list[str], object]:
+        b, alias, out = self.bridge, None, []
         while b.kind(node) in ("SubqueryAlias", "View"):
-            if b.kind(node) == "SubqueryAlias":
-                out.append(node.alias().lower())
-            else:
+            if b.kind(node) == "View":
                 out.append(node.desc().identifier().table().lower())
+            elif alias is None:
+                alias = node.alias().lower()
             node = b.children(node)[0]
         if b.kind(node) == "LogicalRelation":
-            try:
-                out.append(os.path.basename(node.relation().location().rootPaths().apply(0).toString()).split(".")[0].lower())
-            except Exception:  # noqa: BLE001  relations without files have no such name
-                pass
-        return out, node
+            if node.catalogTable().isDefined():
+                out.append(node.catalogTable().get().identifier().table().lower())
+            else:
+                place = self._place(node)
+                if place:
+                    out.append(os.path.basename(place.split("|")[0].rstrip("/")).split(".")[0].lower())
+        return alias or (out[0] if out else None), out, node
 
     def instance_table(self, node) -> tuple[str, str] | None:
-        names, _ = self.names(node)
-        for n in names:
-            if n in self.wanted:
-                return n, names[0]
-        return None
+        """``(table, alias)`` if the node is an occurrence of a policy's table: a relation that
+        the catalog (or the files' place) names so. Aliases of the query's text never count."""
+        at = node._target_id
+        if at not in self._tables:
+            alias, names, inner = self.names(node)
+            found = list(dict.fromkeys(n for n in names if n in self.wanted))
+            place = self._place(inner) if self._places else None
+            if place in self._places and self._places[place] not in found:
+                found.append(self._places[place])
+            if len(found) > 1:
+                raise UnsupportedPlan("binding", f"{' and '.join(found)}, which are one relation")
+            self._tables[at] = (found[0], alias or found[0]) if found else None
+        return self._tables[at]
 
     def _find(self, node) -> None:
         got = self.instance_table(node)
         if got:
+            below = self.names(node)[2]
+            if self._first_below(below, got[0]):
+                raise UnsupportedPlan("binding", f"{got[0]}, a view over a policy's table")
             cols = tuple(a.name() for a in self.bridge.output(node))
             self.instances.append(Instance(len(self.instances), got[0], got[1], cols))
             return
         for c in self.bridge.children(node):
             self._find(c)
 
+    def _first_below(self, node, own: str) -> str | None:
+        """Another policy's table below the node of a view."""
+        if len(self.wanted) < 2:
+            return None
+        got = self.instance_table(node)
+        if got and got[0] != own:
+            return got[0]
+        return next((x for c in self.bridge.children(node) if (x := self._first_below(c, own))), None)
+
+    def _look_inside(self, node) -> None:
+        got = self.instance_table(node)
+        if got:
+            self.hidden.add(got[0])
+        for c in self.bridge.children(node):
+            self._look_inside(c)
+
+    def read_ids(self) -> set:
+        """Ids of the columns that some operator reads, or that the output shows."""
+        b = self.bridge
+        if not hasattr(self, "_read_ids"):
+            self._read_ids = {a.exprId().id() for a in b.output(self.plan)}
+
+            def look(node):
+                self._read_ids.update(b.ids(node))
+                if b.kind(node) in ("Union", "Distinct", "Deduplicate", "Intersect", "Except", "Expand"):
+                    self._read_ids.update(a.exprId().id() for c in b.children(node) for a in b.output(c))
+                if not self.instance_table(node):
+                    for c in b.children(node):
+                        look(c)
+
+            look(self.plan)
+        return self._read_ids
+
     def tables_read(self) -> set[str]:
         return {i.table for i in self.instances}
 
@@ -118,7 +230,7 @@ class QueryPlan:
         def look(node):
             if self.instance_table(node):
                 return
-            names, inner = self.names(node)
+            _, names, inner = self.names(node)
             if names and self.bridge.kind(inner) in ("LogicalRDD", "ExternalRDD"):
                 return  # a named in-memory relation is a scan
             k = self.bridge.kind(node)

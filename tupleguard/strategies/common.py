@@ -17,13 +17,13 @@ from ..plan import Bound, QueryPlan, all_components, keyed_dimensions
 @dataclass
 class Annotated:
     """A plan whose rows carry policy values. ``values`` gives, for each bound policy, the SQL of
-    each of its aggregates; ``mask`` is the lineage mask column, if any."""
+    each of its aggregates; ``mask`` holds the lineage mask's columns, if any."""
 
     query: QueryPlan
     plan: object
     output: list
     values: list[dict[str, str]]
-    mask: str | None = None
+    mask: tuple[str, ...] | None = None
     #: Per policy: SQL that says whether all of the given instances are present.
     present: list | None = None
 
@@ -162,14 +162,32 @@ def _with_existence(query: QueryPlan, plan, bd: Bound, key: str, cond: E.Node):
     return b.join(plan, F.broadcast(one)._jdf.queryExecution().analyzed(), "cross")
 
 
-def mask_present(mask: str | None):
+#: Instances of one word of a lineage mask.
+BITS = 62
+
+
+def mask_words(query: QueryPlan) -> int:
+    return max(1, -(-len(query.instances) // BITS))
+
+
+def mask_bits(instance: int, words: int) -> list[str]:
+    """The words of a mask that holds one instance."""
+    return [f"{1 << instance % BITS}L" if instance // BITS == w else "0L" for w in range(words)]
+
+
+def mask_present(mask: Sequence[str] | None):
+    """SQL over the mask's words that says whether all of some instances are present."""
+
     def present(ids: frozenset) -> str:
         if mask is None:
             return "true"
-        bits = sum(1 << i for i in ids)
-        return f"(coalesce({mask}, 0L) & {bits}L) = {bits}L"
+        tests = []
+        for w in sorted({i // BITS for i in ids}):
+            bits = sum(1 << i % BITS for i in ids if i // BITS == w)
+            tests.append(f"(coalesce({mask[w]}, 0L) & {bits}L) = {bits}L")
+        return "(" + " and ".join(tests or ["true"]) + ")"
 
     return present
 
 
-__all__ = ["Annotated", "all_components", "check_dimensions", "dimension_column", "join_dimensions", "keyed_dimensions", "leaf_name", "mask_present", "policy_values", "strip_one", "verdicts"]
+__all__ = ["Annotated", "all_components", "check_dimensions", "dimension_column", "join_dimensions", "keyed_dimensions", "leaf_name", "mask_bits", "mask_present", "mask_words", "policy_values", "strip_one", "verdicts"]

@@ -14,7 +14,7 @@ from .. import expr as E
 from ..algebra import merge_sql
 from ..errors import NonMonotonePlan, UnsupportedPlan
 from ..plan import Bound, QueryPlan
-from .common import Annotated, all_components, dimension_column, join_dimensions, keyed_dimensions, leaf_name, mask_present, policy_values, strip_one
+from .common import Annotated, all_components, dimension_column, join_dimensions, keyed_dimensions, leaf_name, mask_bits, mask_present, mask_words, policy_values, strip_one
 
 
 @dataclass
@@ -25,7 +25,8 @@ class State:
     #: (instance, attribute) to column, carried for arguments that span instances.
     raw: dict[tuple, str] = field(default_factory=dict)
     mult: str | None = None
-    mask: str | None = None
+    #: The words of the lineage mask.
+    mask: tuple[str, ...] | None = None
     present: frozenset = frozenset()
     #: Set components that are still single values, and those that are already counts.
     single: frozenset = frozenset()
@@ -33,7 +34,15 @@ class State:
 
     @property
     def extra(self) -> list[str]:
-        return [*self.cols.values(), *self.raw.values(), *(x for x in (self.mult, self.mask) if x)]
+        return [*self.cols.values(), *self.raw.values(), *([self.mult] if self.mult else []), *(self.mask or ())]
+
+
+class _Lost(UnsupportedPlan):
+    """A value that an argument over several relations reads does not reach the operator where
+    the relations meet."""
+
+    def __init__(self, op: str):
+        super().__init__("inline", op)
 
 
 class Annotator:
@@ -42,6 +51,7 @@ class Annotator:
         self.comps, self.holistic = all_components(bound)
         self.dims = keyed_dimensions(bound)
         self.mask = query.needs_mask() if mask is None else mask
+        self.words = mask_words(query)
         self.left_only = left_only
         self.sumlike = any(c.sumlike for c, _ in self.comps.values())
         self.count = 0
@@ -77,6 +87,9 @@ class Annotator:
         own = set(st.extra)
         return [a for a in self.b.output(st.plan) if a.name() not in own]
 
+    def fresh_mask(self) -> tuple[str, ...]:
+        return tuple(self.b.fresh("m") for _ in range(self.words))
+
     # -- dispatch
     def visit(self, node, aggregates_above: int = 0) -> State:
         if self.q.instance_table(node):
@@ -115,8 +128,8 @@ class Annotator:
             more.append(self.b.named(text, raw[i, attr]))
         mask = None
         if self.mask:
-            mask = self.b.fresh("m")
-            more.append(self.b.named(f"{1 << i}L", mask))
+            mask = self.fresh_mask()
+            more += [self.b.named(bits, m) for bits, m in zip(mask_bits(i, self.words), mask)]
         plan = self.b.project(plan, more, base) if more or plan is not node else node
         return State(plan, cols, raw, None, mask, frozenset({i}), frozenset(single))
 
@@ -143,10 +156,58 @@ class Annotator:
             return self.semi(node, left, right, up, how)
         if how not in ("Inner", "Cross", "LeftOuter", "RightOuter", "FullOuter"):
             raise NonMonotonePlan(how)
+        before = self.count
         a, b = self.visit(left, up), self.visit(right, up)
         if self.push is not None and node.equals(self.push[0]) and how in ("Inner", "Cross"):
             a, b = self.push_side(a), self.push_side(b)
-        return self.joined(self.b.with_children(node, [a.plan, b.plan]), a, b, how)
+        try:
+            return self.joined(self.b.with_children(node, [a.plan, b.plan]), a, b, how)
+        except _Lost:
+            return self.replayed(node, before)
+
+    def replayed(self, node, first: int) -> State:
+        """The subplan as one source: its derivations are replayed and merged to one row each,
+        with all components over its relations. What stands above goes on inline."""
+        from .replay_rows import Widener
+
+        self.q.check_deterministic()
+        b = self.b
+        wide = Widener(self.q, self.bound)
+        wide.count = first
+        w = wide.visit(node)
+        self.count = wide.count
+        present = frozenset(range(first, self.count))
+
+        def name(n):
+            if isinstance(n, E.Attr):
+                return w.raw[(self.dims[n.parts[0][2:]][0], n.parts[0] + "." + n.name) if n.parts[0].startswith("d:") else (int(n.parts[0][1:]), n.name)]
+            return None
+
+        cols, more = {}, []
+        for key, (c, where) in self.comps.items():
+            if where and where <= present:
+                cover = " and ".join(f"{w.rid[i]} is not null" for i in sorted(where))
+                cols[key] = b.fresh("a")
+                more.append(b.named(merge_sql(c.plus, f"case when {cover} then {E.render(strip_one(c.leaf), name)} end"), cols[key]))
+        mult = mask = None
+        if self.sumlike:
+            mult = b.fresh("x")
+            more.append(b.named("count(1)", mult))
+        if self.mask:
+            mask = self.fresh_mask()
+            for word, m in enumerate(mask):
+                own = [f"max(case when {w.rid[i]} is not null then {mask_bits(i, self.words)[word]} else 0L end)" for i in sorted(present)]
+                more.append(b.named(" + ".join(own), m))
+        keys = [b.attr(w.plan, g) for g in dict.fromkeys(w.gid)]
+        return State(self.once(w.plan, keys, wide.base(w), more), cols, {}, mult, mask, present)
+
+    def once(self, plan, keys: list, base: list, more: list):
+        """One row for each group of rows that repeat ``base``, whose columns keep their identities."""
+        names = [self.b.fresh("o") for _ in base]
+        made = self.b.aggregate(keys, [self.b.expression_first(x, n) for x, n in zip(base, names)] + more, plan)
+        own = {a.name(): a for a in self.b.output(made)}
+        kept = [a for a in self.b.output(made)[len(names) :]]
+        return self.b.project(made, kept, [self.b.same(own[n], x) for n, x in zip(names, base)])
 
     def joined(self, plan, a: State, b: State, how: str) -> State:
         st = State(plan, a.cols | b.cols, a.raw | b.raw, None, None, a.present | b.present, a.single | b.single, a.counted | b.counted)
@@ -167,8 +228,9 @@ class Annotator:
             new[mult] = " * ".join(x for x in (ma, mb) if x)
         mask = None
         if a.mask or b.mask:
-            mask = self.b.fresh("m")
-            new[mask] = " | ".join(f"coalesce({m}, 0L)" for m in (a.mask, b.mask) if m)
+            mask = self.fresh_mask()
+            for w, m in enumerate(mask):
+                new[m] = " | ".join(f"coalesce({side[w]}, 0L)" for side in (a.mask, b.mask) if side)
         st = self.add(st, new)
         st.cols, st.mult, st.mask = cols, mult, mask
         return self.spanning(self.drop_stale(st) if new else st)
@@ -192,7 +254,7 @@ class Annotator:
                 if isinstance(n, E.Attr):
                     at = (self.dims[n.parts[0][2:]][0], n.parts[0] + "." + n.name) if n.parts[0].startswith("d:") else (int(n.parts[0][1:]), n.name)
                     if at not in st.raw:
-                        raise UnsupportedPlan("inline", f"an argument over {E.render(n)}, which was aggregated away below")
+                        raise _Lost(f"an argument over {E.render(n)}, which was aggregated away below")
                     return st.raw[at]
                 return None
 
@@ -234,8 +296,8 @@ class Annotator:
             mult = self.b.fresh("x")
             more.append(self.b.named(f"sum({st.mult})" if st.mult else "count(1)", mult))
         if st.mask:
-            mask = self.b.fresh("m")
-            more.append(self.b.named(f"bit_or({st.mask})", mask))
+            mask = self.fresh_mask()
+            more += [self.b.named(f"bit_or({old})", m) for old, m in zip(st.mask, mask)]
         plan = self.b.aggregate(keys, outputs + more, st.plan)
         return State(plan, cols, {}, mult, mask, st.present, frozenset(), frozenset(counted))
 
@@ -267,13 +329,13 @@ class Annotator:
                 types[key] = self.b.attr(k.plan, col).dataType().sql()
         names = {key: self.b.fresh("a") for key in keys}
         mult = self.b.fresh("x") if any(k.mult for k in kids) else None
-        mask = self.b.fresh("m")
+        mask = self.fresh_mask()
         plans = []
         for k in kids:
             more = [self.b.named(f"cast({k.cols.get(key, 'null')} as {types[key]})", names[key]) for key in keys]
             if mult:
                 more.append(self.b.named(k.mult or "1L", mult))
-            more.append(self.b.named(f"coalesce({k.mask or '0L'}, 0L)", mask))
+            more += [self.b.named(f"coalesce({k.mask[w] if k.mask else '0L'}, 0L)", m) for w, m in enumerate(mask)]
             plans.append(self.b.project(k.plan, more, self.base(k)))
         plan = self.b.with_children(node, plans)
         single = frozenset.intersection(*[k.single | (frozenset(keys) - k.cols.keys()) for k in kids])
@@ -318,31 +380,45 @@ class Annotator:
         right_ids = {x.exprId().id() for x in base_b}
         left_ids = {x.exprId().id() for x in self.b.output(a.plan)}
         parts = self.b.conjuncts(cond) if cond is not None else []
-        used, equal = set(), True
-        tied = set()
+        used, tied, led = set(), set(), set()
         for p in parts:
             ids = self.b.ids(p)
             used |= ids & right_ids
             if self.b.kind(p) in ("EqualTo", "EqualNullSafe"):
                 l, r = self.b.ids(p.left()), self.b.ids(p.right())
-                for x, y, side in ((l, r, p.right()), (r, l, p.left())):
+                for x, y, own, side in ((l, r, p.left(), p.right()), (r, l, p.right(), p.left())):
                     if x <= left_ids and y <= right_ids and self.b.kind(side) == "AttributeReference":
                         tied |= y
+                        led |= x if self.b.kind(own) == "AttributeReference" else set()
         equal = used <= tied
         keys = [x for x in base_b if x.exprId().id() in used]
-        b = self.grouped(b, keys, list(keys), 1)
         if equal:
+            if not self.unique_by(right, used):
+                b = self.grouped(b, keys, list(keys), 1)
             plan = self.b.join(a.plan, b.plan, "inner", cond)
             st = self.joined(plan, a, b, "Inner")
-            drop = {x.exprId().id() for x in keys}
-            return replace(st, plan=self.b.project(st.plan, [], [x for x in self.b.output(st.plan) if x.exprId().id() not in drop]))
-        # several groups may match one row: pair with a row id, then merge to the row again
+            return replace(st, plan=self.b.project(st.plan, [], [x for x in self.b.output(st.plan) if x.exprId().id() not in right_ids]))
+        # several rows may match one row: pairs with a row id are merged to the row again. The
+        # join's own keys stand first in the grouping, so its partitioning serves both
+        b = replace(b, plan=self.b.project(b.plan, self.carry(b), keys))
         rid = self.b.fresh("r")
         left_base = self.base(a)
         a = replace(a, plan=self.b.project(a.plan, [self.b.named("monotonically_increasing_id()", rid)]))
         st = self.joined(self.b.join(a.plan, b.plan, "inner", cond), a, b, "Inner")
-        rows = self.grouped(st, [*left_base, self.b.attr(st.plan, rid)], list(left_base), 1)
-        return rows
+        needed = [x for x in left_base if x.exprId().id() in self.q.read_ids()]
+        lead = [x for x in left_base if x.exprId().id() in led]
+        rest = [x for x in needed if x.exprId().id() not in led]
+        return self.grouped(st, [*lead, self.b.attr(st.plan, rid), *rest], needed, 1)
+
+    def unique_by(self, node, ids: set) -> bool:
+        """Whether the node has one row at most for each value of the columns."""
+        b = self.b
+        while b.kind(node) in ("Project", "Filter", "SubqueryAlias") and not self.q.instance_table(node):
+            node = b.children(node)[0]
+        if b.kind(node) != "Aggregate":
+            return False
+        keys = b.items(node.groupingExpressions())
+        return bool(keys) and all(b.kind(k) == "AttributeReference" and k.exprId().id() in ids for k in keys)
 
 
 def inline(query: QueryPlan, bound: Sequence[Bound], left_only: bool = False) -> Annotated:

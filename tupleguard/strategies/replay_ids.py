@@ -25,7 +25,7 @@ class _Ids(Widener):
     def leaf(self, node) -> Wide:
         i = self.count
         self.count += 1
-        _, inner = self.q.names(node)
+        inner = self.q.names(node)[2]
         if self.b.kind(inner) != "LogicalRelation":
             raise UnsupportedPlan(self.name, "a source without files")
         if not inner.relation().fileFormat().getClass().getSimpleName().startswith("Parquet"):

@@ -121,8 +121,8 @@ def two_pass(query: QueryPlan, bound: Sequence[Bound], push: bool = True, left_o
         raise UnsupportedPlan("two_pass", f"aggregate {missing[0]}")
     mask = None
     if st.mask:
-        mask = b.fresh("m")
-        more.append(b.named(f"bit_or({st.mask})", mask))
+        mask = tuple(b.fresh("m") for _ in st.mask)
+        more += [b.named(f"bit_or({old})", new) for old, new in zip(st.mask, mask)]
     second = b.aggregate(keys, [b.rename(k, n) for k, n in zip(keys, other)] + more, st.plan)
     cond = " and ".join(f"{x} <=> {y}" for x, y in zip(names, other))
     plan = b.join(base, second, "left" if keys else "cross", b.sql(cond) if keys else None)
