@@ -1,20 +1,22 @@
-"""Self-joins: all assignments of policy aliases to instances, and the symmetric short cut.
+"""Self-joins: all assignments of policy aliases to instances, and their linear form.
 
-A symmetric policy over two aliases of one relation (unary parts alike, binary comparisons that
-hold under a swap) needs one clause per instance and one per neighbouring pair instead of one
-per permutation, if its comparison is transitive: equality. Other symmetric comparisons keep
-all unordered pairs."""
+A constraint holds for all assignments if each of its conjuncts holds for all instances (one
+alias), for all pairs (two), and so on. A symmetric pair needs fewer comparisons where it is
+transitive: equality takes one with a representative for each further instance, inequality one
+distinctness test, a bounded difference one spread test. Other symmetric pairs keep all
+unordered pairs, and conjuncts over more aliases all assignments of theirs."""
 
 from __future__ import annotations
 
 import itertools
 import math
+from dataclasses import replace
+from typing import Callable, Sequence
 
 from . import expr as E
-from .algebra import Agg
-from .constraint import ConstraintForm
-from .plan import Bound, Instance, alias_assignments
-from .policy import FlowPolicy
+from .constraint import analyze
+from .plan import Bound, Instance, alias_assignments, bind
+from .policy import FlowPolicy, SourceRef
 
 
 def _swap(n: E.Node, m: dict[str, str]) -> E.Node:
@@ -59,23 +61,6 @@ def permutation_count(n: int, m: int) -> int:
     return math.perm(n, m)
 
 
-def split_symmetric(p: FlowPolicy) -> tuple[list[E.Node], list[E.Node]] | None:
-    """Unary parts over the first alias and binary parts, of a two-alias symmetric policy."""
-    if len(p.sources) != 2 or p.sources[0].table.lower() != p.sources[1].table.lower() or not is_symmetric(p):
-        return None
-    a = p.sources[0].name.lower()
-    unary, binary = [], []
-    for c in E.conjuncts(_swap(p.tree, {})):
-        used = {x.qualifier for x in E.attrs(c)}
-        if len(used) > 1:
-            binary.append(c)
-        elif used == {a}:
-            unary.append(c)
-        elif not used:
-            return None
-    return unary, binary
-
-
 def _term(c: E.Node, alias: str) -> E.Node | None:
     """The side of an equality that reads the alias alone."""
     if isinstance(c, E.Op) and c.op in ("=", "!="):
@@ -86,31 +71,49 @@ def _term(c: E.Node, alias: str) -> E.Node | None:
 
 
 def linear_clauses(p: FlowPolicy, n: int) -> list[str]:
-    """Clauses over instances ``t0 .. t(n-1)``: n unary ones for each unary part, and for each
-    binary part n - 1 comparisons with one representative (equality), one distinctness test
-    (inequality), one spread test (bounded difference) or all unordered pairs."""
-    parts = split_symmetric(p)
-    if parts is None:
-        return permutation_clauses(p, n)
-    a, b = (s.name.lower() for s in p.sources)
-    put = lambda c, i, j=None: E.render(_swap(c, {a: f"t{i}", **({} if j is None else {b: f"t{j}"})}))
-    out = [put(c, i) for c in parts[0] for i in range(n)]
-    for c in parts[1]:
-        term = _term(c, a)
-        if isinstance(c, E.Op) and c.op == "=" and term is not None:
-            out += [put(c, 0, j) for j in range(1, n)]
-        elif isinstance(c, E.Op) and c.op == "!=" and term is not None:
-            every = ", ".join(put(term, i) for i in range(n))
-            nulls = " AND ".join(f"({put(term, i)} IS NOT NULL)" for i in range(n))
-            out.append(f"(size(array_distinct(array({every}))) = {n} AND {nulls})")
-        elif (spread := _spread(c)) is not None:
-            term, op, k = spread
-            every = [put(_swap(term, {b: a}), i) for i in range(n)]
-            nulls = " AND ".join(f"({x} IS NOT NULL)" for x in every)
-            out.append(f"((greatest({', '.join(every)}) - least({', '.join(every)})) {op} {k} AND {nulls})" if n > 1 else "true")
+    """Clauses of a policy over one table with the instances ``t0 .. t(n-1)``."""
+    return clauses_over(p, {s.table.lower(): [f"t{i}" for i in range(n)] for s in p.sources})
+
+
+def clauses_over(p: FlowPolicy, names: dict[str, list[str]]) -> list[str]:
+    """Clauses over the instances of each table that together say what all assignments of the
+    policy's aliases say."""
+    table = {s.name.lower(): s.table.lower() for s in p.sources}
+    out: dict[str, None] = {}
+
+    def put(c: E.Node, places: dict[str, str]) -> str:
+        return E.render(_swap(c, places))
+
+    for c in E.conjuncts(_swap(p.tree, {})):
+        used = list(dict.fromkeys(x.qualifier for x in E.attrs(c) if x.qualifier in table))
+        made: list[str] = []
+        if len(used) == 2 and len({table[u] for u in used}) == 1 and _canonical(_swap(c, dict(zip(used, reversed(used))))) == _canonical(c):
+            made = _symmetric(c, used, names[table[used[0]]], put)
         else:
-            out += [put(c, i, j) for i, j in itertools.combinations(range(n), 2)]
-    return out
+            by: dict[str, list[str]] = {}
+            for u in used:
+                by.setdefault(table[u], []).append(u)
+            ways = [[dict(zip(mine, w)) for w in itertools.permutations(names[t], len(mine))] for t, mine in by.items()]
+            made = [put(c, {k: v for part in way for k, v in part.items()}) for way in itertools.product(*ways)]
+        out |= dict.fromkeys(made)
+    return list(out)
+
+
+def _symmetric(c: E.Node, used: list[str], at: list[str], put) -> list[str]:
+    a, b = used
+    term = _term(c, a)
+    if isinstance(c, E.Op) and c.op == "=" and term is not None:
+        return [put(c, {a: at[0], b: t}) for t in at[1:]]
+    if isinstance(c, E.Op) and c.op == "!=" and term is not None:
+        every = [put(term, {a: t}) for t in at]
+        nulls = " AND ".join(f"({x} IS NOT NULL)" for x in every)
+        return [f"(size(array_distinct(array({', '.join(every)}))) = {len(at)} AND {nulls})"]
+    if (spread := _spread(c)) is not None:
+        term, op, k = spread
+        every = [put(_swap(term, {b: a}), {a: t}) for t in at]
+        nulls = " AND ".join(f"({x} IS NOT NULL)" for x in every)
+        return [f"((greatest({', '.join(every)}) - least({', '.join(every)})) {op} {k} AND {nulls})"] if len(at) > 1 else []
+    return [put(c, {a: x, b: y}) for x, y in itertools.combinations(at, 2)]
 
 
 def _spread(c: E.Node):
@@ -127,45 +130,22 @@ def permutation_clauses(p: FlowPolicy, n: int) -> list[str]:
     return [E.render(_swap(p.tree, dict(zip(names, (f"t{i}" for i in combo))))) for combo in itertools.permutations(range(n), len(names))]
 
 
-def linear_bound(p: FlowPolicy, form: ConstraintForm, instances) -> Bound | None:
-    """One bound policy that stands for all assignments of a symmetric two-alias policy."""
-    parts = split_symmetric(p)
-    here = [i for i in instances if i.table == p.sources[0].table.lower().rsplit(".", 1)[-1]] if p.sources else []
-    if parts is None or len(here) < 2:
+def linear_bound(p: FlowPolicy, instances: Sequence[Instance], schema_of: Callable[[str], list[str]]) -> Bound | None:
+    """One bound policy that stands for all assignments, or None where a part of the policy ties
+    an alias to more than its conjuncts (keyed dimensions, required sources, unqualified names)."""
+    if p.required or any(d.on for d in p.dimensions) or any(x.qualifier is None for x in E.attrs(p.tree)):
         return None
-    n = len(here)
-    clauses = [E.parse(c) for c in linear_clauses(p, n)]
-    aggs: dict[str, Agg] = {}
-
-    def lift(x: E.Node) -> E.Node:
-        if E.is_aggregate(x):
-            if x.where is not None or x.star or x.name == "unique" or x.distinct:
-                raise _Plain
-            args = tuple(_at(y, here) for y in x.args)
-            agg = Agg(x.name, args)
-            aggs[agg.key] = agg
-            return E.Slot(agg.key)
-        if isinstance(x, E.Attr):
-            raise _Plain
-        return E.rebuild(x, lift)
-
-    try:
-        residual = E.Op("and", tuple(lift(c) for c in clauses))
-    except _Plain:
-        return None
-    out = Bound(p, ConstraintForm(residual), {f"t{k}": i.id for k, i in enumerate(here)})
-    out.aggs = aggs
-    return out
-
-
-class _Plain(Exception):
-    """The constraint has a form that only permutations express."""
-
-
-def _at(n: E.Node, here: list[Instance]) -> E.Node:
-    if isinstance(n, E.Attr):
-        return E.Attr((f"i{here[int(n.qualifier[1:])].id}", n.name))
-    return E.rebuild(n, lambda x: _at(x, here))
-
-
-__all__ = ["alias_assignments", "is_symmetric", "linear_bound", "linear_clauses", "permutation_clauses", "permutation_count", "split_symmetric"]
+    here: dict[str, list[Instance]] = {}
+    for s in p.sources:
+        table = s.table.lower()
+        here[table] = [i for i in instances if i.table == table.rsplit(".", 1)[-1]]
+    clauses = clauses_over(p, {t: [f"t{i.id}" for i in own] for t, own in here.items()})
+    sources = tuple(SourceRef(t, f"t{i.id}") for t, own in here.items() for i in own)
+    spread = replace(p, sources=sources, constraint=" AND ".join(clauses))
+    form = analyze(spread, schema_of)
+    kept = {E.render(c): c for c in E.conjuncts(form.residual)}
+    form.residual = E.Op("and", tuple(kept.values())) if len(kept) > 1 else form.residual
+    return bind(spread, form, {f"t{i.id}": i.id for own in here.values() for i in own})
+
+
+__all__ = ["alias_assignments", "clauses_over", "is_symmetric", "linear_bound", "linear_clauses", "permutation_clauses", "permutation_count"]

@@ -74,21 +74,21 @@ class Guard:
             missing = [t for t in tables if t not in read]
             if any(not tables[t] for t in missing):
                 continue
-            form = constraint.analyze(p, self._columns(query))
             if missing:
                 # a required source that the query doesn't read: every row fails
                 b = Bound(p, constraint.ConstraintForm(constraint.E.Lit("false")), {})
                 b.missing_required = True
                 bound.append(b)
                 continue
+            counts = {t: (sum(i.table == t for i in query.instances), sum(s.table.lower().rsplit(".", 1)[-1] == t for s in p.sources)) for t in tables}
+            linear = self.linear and all(n >= m for n, m in counts.values()) and any(n > 1 for n, _ in counts.values()) and not query.has_alternatives()
+            if linear and (merged := aliases.linear_bound(p, query.instances, self._columns(query))) is not None:
+                bound.append(merged)
+                continue
             ways = alias_assignments(p, query.instances)
             if not ways and p.sources:
                 continue
-            if self.linear and len(ways) > 1:
-                merged = aliases.linear_bound(p, form, query.instances)
-                if merged is not None:
-                    bound.append(merged)
-                    continue
+            form = constraint.analyze(p, self._columns(query))
             bound += [bind(p, form, w) for w in (ways or [{}])]
         if self.check_keys:
             check_dimensions(query, bound)

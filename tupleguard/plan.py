@@ -263,20 +263,31 @@ class QueryPlan:
     def has(self, *kinds: str) -> bool:
         return self.bridge._has(self.plan, kinds)
 
-    def needs_mask(self) -> bool:
-        """Whether applicability differs between output tuples: unions, outer joins, and
-        aggregates without keys, whose one row may have no derivation at all."""
+    def has_alternatives(self) -> bool:
+        """Whether some output tuples derive from fewer relations than others: unions, outer joins,
+        and aggregates without keys below joins and aggregates."""
 
-        def look(node):
+        def look(node, below=False):
             k = self.bridge.kind(node)
-            if k == "Aggregate" and node.groupingExpressions().size() == 0:
-                return True
             if k == "Union" or (k == "Join" and self.bridge.kind(node.joinType()) in ("LeftOuter", "RightOuter", "FullOuter")):
                 return True
-            return any(look(c) for c in self.bridge.children(node))
+            if below and k == "Aggregate" and node.groupingExpressions().size() == 0:
+                return True
+            return any(look(c, below or k in ("Join", "Aggregate")) for c in self.bridge.children(node))
 
         return look(self.plan)
 
+    def needs_mask(self) -> bool:
+        """Whether applicability differs between output tuples: there are alternatives, or an
+        aggregate without keys, whose one row may have no derivation at all."""
+
+        def keyless(node):
+            if self.bridge.kind(node) == "Aggregate" and node.groupingExpressions().size() == 0:
+                return True
+            return any(keyless(c) for c in self.bridge.children(node))
+
+        return self.has_alternatives() or keyless(self.plan)
+
 
 def alias_assignments(policy: FlowPolicy, instances: Sequence[Instance]) -> list[dict[str, int]]:
     """All ways to bind the policy's aliases to distinct instances of their tables."""
