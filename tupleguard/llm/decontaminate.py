@@ -8,21 +8,23 @@ segment under a substitution-tolerant score is taken. A document is contaminated
 the item positions matched in such segments (on any diagonals, so insertions are bridged) are
 at least ``WORDS`` words or half of the item, and eight at least.
 
-Test sets are small beside the corpus, but their size is checked: a slice of items of at most
-``SLICE`` bytes goes to every task; more items make more slices, each an own pass over the
-documents, so nothing of unbounded size is broadcast and no item is left out.
+Test sets are small beside the corpus, but their size is checked: they go out in slices of at
+most ``SLICE`` bytes (or one longer item). A task holds one slice at a time and passes each
+chunk of its documents by all of them, keeping the best item of every row by its place, so no
+item is left out and a row's verdict depends on no other row, whatever their ids. The driver
+holds one slice at a time.
 
 Defined cases: null and wordless texts are clean; items shorter than a mask are one exact seed
 of all their words; items of fewer than four words and null items match nothing; repeated
-items and rows are allowed; ties between items go to the smaller item_id; empty tables give
-clean documents or no rows; null doc_ids are allowed; other columns are ignored.
+items and rows are allowed, rows that share an id are judged each by its own text; ties between
+items go to the smaller item_id; empty tables give clean documents or no rows; null doc_ids are
+allowed; other columns are ignored.
 """
 
 from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame, functions as F
 
 from . import textkit as tk
@@ -37,6 +39,8 @@ SHARE, FEWEST = 0.5, 8
 PENALTY = 1
 #: Bytes of item text that are held by every task.
 SLICE = 8 << 20
+#: Bytes of documents that pass by several slices together.
+CHUNK = 32 << 20
 _BITS = 22
 
 RESULT = "doc_id long, contaminated boolean, item_id long, matched int, item_words int"
@@ -151,82 +155,106 @@ def enough(matched: int, item_words: int) -> bool:
     return matched >= min(WORDS, item_words) or (matched >= FEWEST and matched >= SHARE * item_words)
 
 
-def _scan(shared):
+def _found(items: Items, b: pa.RecordBatch, best: list) -> None:
+    """Betters ``best``, one entry a row, by the items: ``(-matched, item_id, item words)``."""
+    words, ptr = tk.hash_words(b.column(b.schema.get_field_index("text")))
+    hits = items.hits(words, ptr)
+    if not len(hits):
+        return
+    cut = np.flatnonzero((np.diff(hits[:, 0]) != 0) | (np.diff(hits[:, 1]) != 0)) + 1
+    for group in np.split(hits, cut):
+        row, item = int(group[0, 0]), int(group[0, 1])
+        m = items.verify(words, ptr, row, item, group[:, 2])
+        if enough(m, len(items.words[item])):
+            got = (-m, items.ids[item], len(items.words[item]))
+            best[row] = got if best[row] is None else min(best[row], got)
+
+
+def _judged(shared: list, batches):
+    """Each sub-batch with the best item of each of its rows."""
+    held: list[pa.RecordBatch] = []
+    size = 0
+
+    def judge():
+        best = [[None] * b.num_rows for b in held]
+        for part in shared:
+            items = Items(part.value) if len(shared) > 1 else _single(part)
+            for b, own in zip(held, best):
+                _found(items, b, own)
+        yield from zip(held, best)
+
+    for whole in batches:
+        for b in tk.sub_batches(whole, "text"):
+            held.append(b)
+            size += b.nbytes
+            # one slice needs no larger chunk; several are read again for each
+            if len(shared) == 1 or size >= CHUNK:
+                yield from judge()
+                held, size = [], 0
+    if held:
+        yield from judge()
+
+
+_SINGLE: dict = {}
+
+
+def _single(part) -> Items:
+    """The seeds of an only slice, built once a worker."""
+    rows = part.value
+    if _SINGLE.get("rows") is not rows:
+        _SINGLE.update(rows=rows, items=Items(rows))
+    return _SINGLE["items"]
+
+
+def _scan(shared: list):
     def run(batches):
-        items: Items = shared.value
-        for whole in batches:
-            for b in tk.sub_batches(whole, "text"):
-                words, ptr = tk.hash_words(b.column("text"))
-                n = b.num_rows
-                best: list = [None] * n
-                hits = items.hits(words, ptr)
-                if len(hits):
-                    cut = np.flatnonzero((np.diff(hits[:, 0]) != 0) | (np.diff(hits[:, 1]) != 0)) + 1
-                    for group in np.split(hits, cut):
-                        row, item = int(group[0, 0]), int(group[0, 1])
-                        m = items.verify(words, ptr, row, item, group[:, 2])
-                        if enough(m, len(items.words[item])):
-                            got = (-m, items.ids[item], len(items.words[item]))
-                            best[row] = got if best[row] is None else min(best[row], got)
-                yield pa.RecordBatch.from_arrays(
-                    [
-                        b.column("doc_id"),
-                        pa.array([x is not None for x in best]),
-                        pa.array([x and x[1] for x in best], pa.int64()),
-                        pa.array([0 if x is None else -x[0] for x in best], pa.int32()),
-                        pa.array([x and x[2] for x in best], pa.int32()),
-                    ],
-                    names=["doc_id", "contaminated", "item_id", "matched", "item_words"],
-                )
+        for b, best in _judged(shared, batches):
+            yield pa.RecordBatch.from_arrays(
+                [
+                    b.column("doc_id"),
+                    pa.array([x is not None for x in best]),
+                    pa.array([x and x[1] for x in best], pa.int64()),
+                    pa.array([0 if x is None else -x[0] for x in best], pa.int32()),
+                    pa.array([x and x[2] for x in best], pa.int32()),
+                ],
+                names=["doc_id", "contaminated", "item_id", "matched", "item_words"],
+            )
 
     return run
 
 
-def slices(benchmark: DataFrame, most: int = SLICE) -> list[list[tuple[int, str]]]:
-    """The items in slices of bounded size; the driver holds one slice at a time."""
+def slices(benchmark: DataFrame, most: int = SLICE):
+    """The items in slices of bounded size, one after another."""
     rows = benchmark.where("item_id is not null and text is not null").select(F.col("item_id").cast("long"), F.col("text").cast("string"))
-    out, size = [[]], 0
+    held, size = [], 0
     for r in rows.orderBy("item_id").toLocalIterator():
-        n = len(r[1].encode())
-        if out[-1] and size + n > most:
-            out.append([])
-            size = 0
-        out[-1].append((r[0], r[1]))
+        n = len(r[1].encode("utf-8", "surrogatepass"))
+        if held and size + n > most:
+            yield held
+            held, size = [], 0
+        held.append((r[0], r[1]))
         size += n
-    return out
+    yield held
+
+
+def _shared(benchmark: DataFrame, most: int) -> list:
+    context = benchmark.sparkSession.sparkContext
+    return [context.broadcast(part) for part in slices(benchmark, most)]
 
 
 def scan(docs: DataFrame, benchmark: DataFrame, most: int = SLICE) -> DataFrame:
     """``(doc_id, contaminated, item_id, matched, item_words)``, a row per row of ``docs``;
     the item is the one with most matched words."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    parts = [rows.mapInArrow(_scan(docs.sparkSession.sparkContext.broadcast(Items(s))), RESULT) for s in slices(benchmark, most)]
-    if len(parts) == 1:
-        return parts[0]
-    every = parts[0]
-    for p in parts[1:]:
-        every = every.union(p)
-    # one row per document and slice: the best slice's row stays, times the document's repeats
-    ranked = every.groupBy("doc_id").agg(
-        F.max(F.struct("contaminated", "matched", (-F.col("item_id")).alias("low"), "item_words")).alias("best"), (F.count(F.lit(1)) / len(parts)).cast("int").alias("n")
-    )
-    return ranked.select("doc_id", "best.contaminated", (-F.col("best.low")).alias("item_id"), "best.matched", "best.item_words", F.explode(F.expr("sequence(1, n)")).alias("n")).drop("n")
-
-
-def clean(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
+    return rows.mapInArrow(_scan(_shared(benchmark, most)), RESULT)
+
+
+def clean(docs: DataFrame, benchmark: DataFrame, most: int = SLICE) -> DataFrame:
     """``docs`` without contaminated rows; all columns kept."""
-    spark = docs.sparkSession
-    out = docs
-    for s in slices(benchmark):
-        shared = spark.sparkContext.broadcast(Items(s))
-        inner = _scan(shared)
-
-        def run(batches, inner=inner):
-            for whole in batches:
-                for b in tk.sub_batches(whole, "text"):
-                    ids = pa.RecordBatch.from_arrays([pa.nulls(b.num_rows, pa.int64()), b.column(b.schema.get_field_index("text"))], names=["doc_id", "text"])
-                    bad = pa.concat_arrays([x.column("contaminated") for x in inner([ids])])
-                    yield b.filter(pa.compute.invert(bad))
-
-        out = out.mapInArrow(run, docs.schema)
-    return out
+    shared = _shared(benchmark, most)
+
+    def run(batches):
+        for b, best in _judged(shared, batches):
+            yield b.filter(pa.array([x is None for x in best]))
+
+    return docs.mapInArrow(run, docs.schema)
