@@ -21,6 +21,7 @@ are ignored.
 from __future__ import annotations
 
 import base64
+import itertools
 import zlib
 
 import numpy as np
@@ -32,9 +33,6 @@ from .state import keep
 
 #: Pieces that one partition packs, at most about.
 PART = 65_536
-#: Rounds of exchange at most; each needs a saved bin to be followed by another.
-ROUNDS = 4
-
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
 
@@ -165,7 +163,7 @@ def _pack(capacity: int):
     return run
 
 
-def pack(items: DataFrame, capacity: int = 1024, part: int = PART, rounds: int = ROUNDS) -> DataFrame:
+def pack(items: DataFrame, capacity: int = 1024, part: int = PART) -> DataFrame:
     """Pieces with ``sequence_id``, ``offset`` and the certificate of their partition:
     ``round``, ``bins``, ``bound``, ``gap``."""
     cols = ["doc_id", "piece", "start", "length", "ids_crc32"]
@@ -173,9 +171,10 @@ def pack(items: DataFrame, capacity: int = 1024, part: int = PART, rounds: int =
     n = todo.count()
     total = None
     done: DataFrame | None = None
-    for r in range(rounds + 1):
+    for r in itertools.count():
         parts = max(1, -(-n // part))
-        dealt = todo.withColumn("part", F.expr(f"cast(pmod(xxhash64(doc_id, piece, start, {r}), {parts}) as int)"))
+        # the place in the stored table tells rows without an id, or of one id, apart
+        dealt = todo.withColumn("part", F.expr(f"cast(pmod(xxhash64(doc_id, piece, start, monotonically_increasing_id(), {r}), {parts}) as int)"))
         packed = keep(dealt.groupBy("part").applyInArrow(_pack(capacity), PACKED), "pack-round", 4)
         packed = packed.withColumn("round", F.lit(r))
         facts = packed.groupBy("part").agg(F.first("bins").alias("bins"), F.first("bound").alias("bound")).agg(
@@ -186,7 +185,7 @@ def pack(items: DataFrame, capacity: int = 1024, part: int = PART, rounds: int =
             # the exchange saved nothing: the former packing of these pieces stays
             done = done.union(before) if done is not None else before
             return _numbered(done)
-        if not gap or r == rounds or (open_ <= 1 and parts <= 1):
+        if not gap or (open_ <= 1 and parts <= 1):
             done = done.union(packed) if done is not None else packed
             return _numbered(done)
         final = F.expr(f"bins <= bound or bin_length = {capacity}")
@@ -197,11 +196,11 @@ def pack(items: DataFrame, capacity: int = 1024, part: int = PART, rounds: int =
         total, n = left["bins"], todo.count()
         if not n:
             return _numbered(done)
-    raise AssertionError
 
 
 def _numbered(packed: DataFrame) -> DataFrame:
-    wide = F.expr("(cast(round as bigint) << 58) | (cast(part as bigint) << 32) | bin")
+    # a partition has less than 2**20 bins, and rounds end long before 2**11
+    wide = F.expr("(cast(round as bigint) << 52) | (cast(part as bigint) << 20) | bin")
     return packed.select(
         "doc_id", "piece", "start", "length", "ids_crc32", wide.alias("sequence_id"), "offset", "round", "bins", "bound", F.expr("bins - bound").alias("gap")
     )
