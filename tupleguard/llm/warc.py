@@ -1,19 +1,22 @@
 """WARC archives: a deduplicating writer and a splittable reader.
 
 Writer. Every row becomes one record, one gzip member each, so members can be decoded on their
-own. Rows with equal payloads are found by digest over narrow rows (pre-aggregated minimum);
-the smallest id is written as ``response``, the others as ``revisit`` records that carry the
+own. Rows with equal payloads are found by digest over narrow rows (pre-aggregated minimum), so
+a common payload gathers only ids in one place; payloads are dealt by page. The smallest id is written as ``response``, the others as ``revisit`` records that carry the
 full payload's digest and length and name the record they refer to. Each task writes one file
 under a name of its own attempt in the given folder (any URI that ``pyarrow.fs`` opens; by
 default the session's shared folder) and reports it in a manifest; only files of the manifest
-are read, so retried tasks leave no double records.
+are read, so retried tasks leave no double records. The manifest also marks where the first
+member at or after every ``MARK`` bytes begins.
 
 Reader. Files are cut into byte ranges, one task row each, whatever the members' borders. A
 task scans its range for the gzip magic, accepts a candidate only if it inflates to a WARC
 version line and a complete header, and owns exactly the records whose first byte lies in its
 range, reading past the range's end to finish the last. After an accepted member the next one
-starts where it ended, so magic bytes inside a payload, archives within archives included,
-are never taken for records.
+starts where it ended. The first candidate of a range must also be the member that follows from
+the manifest's mark, so magic bytes inside a payload, archives within archives included, are
+never taken for records. A foreign file has no marks: there a candidate's members are followed
+to the range's end, and a chain that breaks off is dropped as a payload's content.
 
 Defined cases: a null payload is empty; repeated rows of the smallest id are all responses;
 null ids are written and read back as null, and lose to any id; empty tables write and read
@@ -35,6 +38,8 @@ from .state import packed, shared_path
 
 #: Bytes of a read range.
 RANGE = 8 << 20
+#: Distance of the manifest's marks (8 bytes each).
+MARK = 8 << 20
 #: Tasks that read, at most.
 RANGES = 100_000
 #: Bytes fetched at once.
@@ -88,7 +93,7 @@ def gzip_member(data: bytes, level: int = 6) -> bytes:
 
 def _write(folder: str):
     def run(batches):
-        out, total, path, filesystem = None, 0, None, None
+        out, total, path, filesystem, marks = None, 0, None, None, []
         for b in batches:
             if not b.num_rows:
                 continue
@@ -100,27 +105,32 @@ def _write(folder: str):
             for page, url, html, refers in zip(*(b.column(c).to_pylist() for c in ("page_id", "url", "payload", "refers_to"))):
                 member = gzip_member(record_bytes(page, url, html or b"", refers is not None, refers))
                 out.write(member)
+                # the first member at or after each mark
+                marks += [total] * (total // MARK + 1 - len(marks))
                 total += len(member)
         if out is not None:
             out.close()
-            yield pa.RecordBatch.from_arrays([pa.array([path]), pa.array([total])], names=["file", "size"])
+            marks += [total] * (total // MARK + 1 - len(marks))
+            yield pa.RecordBatch.from_arrays([pa.array([path]), pa.array([total]), pa.array([marks], pa.list_(pa.int64()))], names=["file", "size", "marks"])
 
     return run
 
 
 def write_archives(pages: DataFrame, folder: str, payload: str = "html", least: int = 0) -> DataFrame:
-    """Writes the archives and returns their manifest ``(file, size)``: a row per file, of which
+    """Writes the archives and returns their manifest ``(file, size, marks)``: a row per file, of which
     there are as many as writing tasks; the driver holds it as it holds any commit's file list.
 
     Payloads of fewer than ``least`` bytes are never replaced by revisits."""
     rows = pages.select(
         F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.coalesce(F.col(payload).cast("binary"), F.lit(b"").cast("binary")).alias("payload")
     ).withColumn("digest", F.concat(F.sha1("payload"), F.lit(":"), F.octet_length("payload")))
-    first = rows.groupBy("digest").agg(F.min("page_id").alias("first_id"))
-    joined = rows.join(first, "digest")
-    repeat = (F.octet_length("payload") >= least) & (F.coalesce(F.col("page_id") != F.col("first_id"), F.col("first_id").isNotNull()))
-    joined = joined.select("page_id", "url", "payload", F.when(repeat, F.col("first_id")).alias("refers_to"))
-    shape = "file string, size long"
+    ids = rows.select("page_id", "digest", (F.octet_length("payload") >= least).alias("long"))
+    first = ids.groupBy("digest").agg(F.min("page_id").alias("first_id"))
+    later = F.coalesce(F.col("page_id") != F.col("first_id"), F.col("first_id").isNotNull())
+    refers = ids.join(first, "digest").where(F.col("long") & later).select(F.col("page_id").alias("__page"), F.col("digest").alias("__digest"), F.col("first_id").alias("refers_to")).distinct()
+    joined = rows.join(refers, F.col("page_id").eqNullSafe(F.col("__page")) & (F.col("digest") == F.col("__digest")), "left")
+    joined = joined.select("page_id", "url", "payload", "refers_to")
+    shape = "file string, size long, marks array<long>"
     written = packed(joined, 8).mapInArrow(_write(folder), shape).collect()
     return pages.sparkSession.createDataFrame(written, shape)
 
@@ -191,9 +201,24 @@ def parse_record(data: bytes):
     return (fields, rest[:n]) if len(rest) >= n else None
 
 
-def records_in(handle, size: int, start: int, stop: int):
-    """``(offset, fields, block)`` of the records whose first byte lies in [start, stop)."""
-    window, at, chained = _Window(handle, size, start), start, False
+def records_in(handle, size: int, start: int, stop: int, mark: int | None = None):
+    """``(offset, fields, block)`` of the records whose first byte lies in [start, stop). ``mark``
+    is where some member begins that is the first one of the range, or lies before it."""
+    window, at = _Window(handle, size, start), start
+    if mark is not None:
+        if mark >= stop:
+            return
+        # members from the mark on are stepped over; scanning starts where the first own one does
+        at = mark
+        window = _Window(handle, size, at)
+        while at < start:
+            got = _member(window, at, True)
+            if got is None:
+                break
+            at = got[1]
+            window.drop(at)
+        at = max(at, start)
+    chained = False
     while at < stop and at < size:
         if not chained:
             seen = window.need(at, FETCH)
@@ -213,8 +238,8 @@ def records_in(handle, size: int, start: int, stop: int):
                 continue
             at += 1
             continue
-        if not chained and got[1] < size and window.need(got[1], 3) == MAGIC and _member(window, got[1], False) is None:
-            at += 1  # not followed by a record: bytes of a payload
+        if not chained and mark is None and at > 0 and not _carries_on(handle, size, got[1], stop):
+            at += 1  # bytes of a payload
             continue
         yield at, *record
         at, chained = got[1], True
@@ -223,6 +248,18 @@ def records_in(handle, size: int, start: int, stop: int):
             chained = False
 
 
+def _carries_on(handle, size: int, at: int, stop: int) -> bool:
+    """Whether records follow each other from ``at`` to the end of the range or of the file."""
+    window = _Window(handle, size, at)
+    while at < stop and at < size:
+        got = _member(window, at, True) if window.need(at, 3) == MAGIC else None
+        if got is None or parse_record(got[0]) is None:
+            return False
+        at = got[1]
+        window.drop(at)
+    return at >= size or _member(window, at, False) is not None
+
+
 def _read(folder: str, with_payload: bool):
     names = ["page_id", "url", "record_type", "refers_to", "payload_bytes", "payload_digest", "payload"]
 
@@ -234,10 +271,10 @@ def _read(folder: str, with_payload: bool):
     def run(batches):
         filesystem, root = _open_fs(folder)
         for b in batches:
-            for name, size, start, stop in zip(*(b.column(c).to_pylist() for c in ("file", "size", "start", "stop"))):
+            for name, size, start, stop, mark in zip(*(b.column(c).to_pylist() for c in ("file", "size", "start", "stop", "mark"))):
                 rows, held = [], 0
                 with filesystem.open_input_file(f"{root}/{name}") as handle:
-                    for _, f, block in records_in(handle, size, start, stop):
+                    for _, f, block in records_in(handle, size, start, stop, mark):
                         revisit = f.get("warc-type") == "revisit"
                         if not revisit and f.get("warc-type") != "response":
                             continue
@@ -256,9 +293,11 @@ def _read(folder: str, with_payload: bool):
 
 
 def read_archives(spark: SparkSession, folder: str, manifest: DataFrame, span: int = RANGE, with_payload: bool = True) -> DataFrame:
-    """All records of the manifest's files, read by byte ranges of ``span``."""
-    ranges = manifest.select("file", "size", F.explode(F.expr(f"sequence(0L, greatest(size - 1, 0L), {span}L)")).alias("start"))
-    ranges = ranges.select("file", "size", "start", F.least(F.col("start") + span, "size").alias("stop"))
+    """All records of the manifest's files, read by byte ranges of ``span``. Files without marks
+    (a null, or no such column) are read by scanning alone."""
+    marks = F.col("marks") if "marks" in manifest.columns else F.lit(None).cast("array<long>")
+    ranges = manifest.select("file", "size", marks.alias("marks"), F.explode(F.expr(f"sequence(0L, greatest(size - 1, 0L), {span}L)")).alias("start"))
+    ranges = ranges.select("file", "size", "start", F.least(F.col("start") + span, "size").alias("stop"), F.expr(f"get(marks, cast(start div {MARK} as int))").alias("mark"))
     spans = manifest.agg(F.sum(F.ceil(F.col("size") / span))).first()[0]
     ranges = ranges.repartition(min(max(1, int(spans or 1)), RANGES), F.xxhash64("file", "start"))
     return ranges.mapInArrow(_read(folder, with_payload), RECORD)
