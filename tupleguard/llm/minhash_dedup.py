@@ -35,8 +35,11 @@ from .components import components
 from .state import hold, keep, packed
 
 SIDE, GROUP = 10, 2
-#: Minhashes that key tables, and all minhashes of the sketch.
-WIDTH, SKETCH = 2 * SIDE * GROUP, 128
+#: Minhashes, all of which key tables.
+WIDTH = 2 * SIDE * GROUP
+#: Places of the sketch, which takes no minhash of its own: shingle hashes fall into bins by
+#: their top bits, and each bin keeps the low byte of its smallest one (0: none).
+BINS = 128
 #: Share of sketch places by which a member is served by a leader, and by which it belongs to
 #: the leader's family: NEAR less 0.2, each less 2.3 standard deviations of the estimate.
 NEAR, FAMILY = 0.6, 0.2
@@ -46,21 +49,32 @@ BYTES = 5
 #: Shingles of a block, about.
 BLOCK = 1 << 20
 
-_A = tk.mix(np.arange(1, SKETCH + 1, dtype=np.uint64) * np.uint64(0x632BE59BD9B4E019)) | np.uint64(1)
-_B = tk.mix(np.arange(1, SKETCH + 1, dtype=np.uint64) * np.uint64(0x9FB21C651E98DF25))
+_A = tk.mix(np.arange(1, WIDTH + 1, dtype=np.uint64) * np.uint64(0x632BE59BD9B4E019)) | np.uint64(1)
+_B = tk.mix(np.arange(1, WIDTH + 1, dtype=np.uint64) * np.uint64(0x9FB21C651E98DF25))
 
 SIGNED = "doc_id long, n_shingles long, set_lo long, set_hi long, groups array<int>, sketch binary"
 
 
 def _min_rows(values: np.ndarray, ptr: np.ndarray) -> np.ndarray:
-    """Minhashes (rows x SKETCH, 32 bit) of rows that all have values."""
-    out = np.empty((len(ptr) - 1, SKETCH), np.uint32)
+    """Minhashes (rows x WIDTH, 32 bit) of rows that all have values."""
+    out = np.empty((len(ptr) - 1, WIDTH), np.uint32)
     starts = ptr[:-1]
-    for i in range(SKETCH):
+    for i in range(WIDTH):
         out[:, i] = np.minimum.reduceat(((values * _A[i] + _B[i]) >> np.uint64(32)).astype(np.uint32), starts)
     return out
 
 
+def _bin_rows(values: np.ndarray, ptr: np.ndarray) -> np.ndarray:
+    """Sketches (rows x BINS, 8 bit) of rows of sorted values."""
+    row = np.repeat(np.arange(len(ptr) - 1), np.diff(ptr))
+    place = row * BINS + (values >> np.uint64(64 - BINS.bit_length() + 1)).astype(np.int64)
+    # values are sorted within rows, so the first of a bin is its smallest
+    first = np.flatnonzero(np.concatenate(([True], place[1:] != place[:-1])))
+    out = np.zeros((len(ptr) - 1) * BINS, np.uint8)
+    out[place[first]] = (values[first] % np.uint64(255)).astype(np.uint8) + 1
+    return out.reshape(-1, BINS)
+
+
 def _sign(k: int):
     def run(batches):
         for whole in batches:
@@ -80,12 +94,12 @@ def _sign(k: int):
                     lo[full] = np.add.reduceat(tk.mix(sets + np.uint64(0x1234567)), fp[:-1]).view(np.int64)
                     hi[full] = np.add.reduceat(tk.mix(sets ^ np.uint64(0xABCDEF0123)), fp[:-1]).view(np.int64)
                     mins = _min_rows(sets, fp)
-                    pairs = mins[:, :WIDTH].reshape(len(full), 2 * SIDE, GROUP).astype(np.uint64)
+                    pairs = mins.reshape(len(full), 2 * SIDE, GROUP).astype(np.uint64)
                     g = tk.mix((pairs[:, :, 0] << np.uint64(32)) | pairs[:, :, 1])
                     for extra in range(2, GROUP):
                         g = tk.mix(g ^ pairs[:, :, extra])
                     g = (g >> np.uint64(32)).astype(np.uint32).view(np.int32)
-                    low = (mins & 0xFF).astype(np.uint8)
+                    low = _bin_rows(sets, fp)
                     for row, i in enumerate(full):
                         groups[i] = g[row]
                         sketch[i] = low[row].tobytes()
@@ -127,7 +141,8 @@ def _agree(batches):
     """Share of sketch places that agree."""
     for b in batches:
         x, y = (np.frombuffer(b"".join(b.column(c).to_pylist()), np.uint8).reshape(b.num_rows, -1) for c in ("sa", "sb"))
-        sim = (x == y).mean(axis=1) if b.num_rows else np.zeros(0)
+        # of the places that either set fills
+        sim = ((x == y) & (x != 0)).sum(axis=1) / np.maximum(((x != 0) | (y != 0)).sum(axis=1), 1) if b.num_rows else np.zeros(0)
         yield pa.RecordBatch.from_arrays([b.column("lead"), b.column("id"), pa.array(sim)], names=["lead", "id", "sim"])
 
 
