@@ -176,6 +176,8 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", where=None,
     chosen = known.groupBy("doc_id").agg((F.avg("y") >= 0.5).cast("int").alias("y")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample)
     # at most `sample` rows, so the hint has a proven bound
     rows = _rows(docs.where("text is not null")).join(F.broadcast(chosen), "doc_id").select("doc_id", "y", "text", "n_chars")
+    # an id's repeated rows are one example, so the driver never sees more than `sample`
+    rows = rows.groupBy("doc_id").agg(F.max("y").alias("y"), F.min(F.struct("text", "n_chars")).alias("row")).select("doc_id", "y", "row.text", "row.n_chars")
     table = rows.mapInArrow(_features, "doc_id long, y int, places array<int>, values array<float>").toArrow()
     order = np.argsort(table.column("doc_id").to_numpy(), kind="stable")
     y = table.column("y").to_numpy()
