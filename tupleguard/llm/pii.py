@@ -1,18 +1,22 @@
 """Personal data replaced by keyed, type-consistent surrogates.
 
 Detection covers mail addresses, phone numbers, card-like and long digit runs, IPv4 addresses,
-IBANs, US social security numbers, secret tokens and names after a title. Every entity gets a
+IBANs, US social security numbers, secret tokens and names after a title; later and earlier
+mentions of such a surname in the same text, alone or after a given name, are found too. Every entity gets a
 surrogate of its own type: digits stay digits and letters stay letters of their script and
-case, hexadecimal secrets stay hexadecimal in their case (one secret in either spelling), card numbers keep their check digit's validity, addresses stay addresses, a titled name
-is replaced by a name of the title's gender and the text's script.
+case, hexadecimal secrets stay hexadecimal in their case (one secret in either spelling), card
+numbers keep their check digit's validity, addresses stay addresses. Names are replaced word by
+word: a surname by a surname, a given name by one of the gender that its titles tell (``any``
+where they tell none or disagree anywhere in the corpus), in the text's script and case, so a
+person is the same under any title and in any form of the name.
 
 A surrogate depends only on the key, the type, the entity's canonical form and an attempt
 number, so equal entities get equal surrogates in every document (coreference). Distinctness
 is checked over the whole corpus: surrogates that two entities share, or that occur as an
 entity of the corpus themselves, are derived again with the next attempt (the smallest entity
-of a group keeps its surrogate) until none collides. Only distinct entities are shuffled; the
-attempts above 0 are few, and are held by every task while there are at most ``HELD`` of them,
-else joined.
+of a group keeps its surrogate) until none collides. Only distinct entities are shuffled; those
+with attempts above 0 and given names whose titles disagree are few, and are held by every task
+while there are at most ``HELD`` of them, else joined.
 
 Defined cases: null text stays null with no entities; clean texts are returned unchanged byte
 for byte; overlapping detections go to the earlier start, then the longer; repeated rows are
@@ -50,6 +54,8 @@ SURNAMES = ("Abel", "Brandt", "Costa", "Duval", "Eriks", "Fabre", "Garcia", "Hol
 CYRILLIC_SURNAMES = ("Абрамов", "Белов", "Волков", "Громов", "Дёмин", "Ершов", "Жуков", "Зимин")
 TITLES = {"Mr": "m", "Mrs": "f", "Ms": "f", "Miss": "f", "Sir": "m", "Herr": "m", "Frau": "f", "Monsieur": "m", "Madame": "f", "Mme": "f", "Señor": "m", "Señora": "f", "Sr": "m", "Sra": "f", "Dr": "any", "Prof": "any", "господин": "m", "госпожа": "f"}
 
+#: Ends of sentences, after which a capital tells nothing.
+_STARTS = re.compile(r"(?:^|[.!?:;\n\"“«(])\s*\Z")
 _NAME = r"[^\W\d_a-zа-яёà-öø-ÿ][^\W\d_]+"
 _PATTERNS = (
     ("email", r"(?<![\w.+-])[\w][\w.+-]*@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)*\.[A-Za-z]{2,}"),
@@ -61,6 +67,7 @@ _PATTERNS = (
     ("card", r"(?<![\w.-])(?:\d[ -]?){12,18}\d(?![\w-])"),
     ("name", r"(?<!\w)(?:" + "|".join(sorted(TITLES, key=len, reverse=True)) + r")\.? (" + _NAME + r"(?: " + _NAME + r"){0,2})(?!\w)"),
 )
+_WORD = re.compile(r"(?<!\w)" + _NAME + r"(?!\w)")
 _FINDERS = tuple((kind, re.compile(p)) for kind, p in _PATTERNS)
 _HEXA = re.compile(r"[0-9A-Fa-f]{32,128}\Z")
 _HINT = re.compile(r"[@+\d]|[A-Fa-f]{32}|" + "|".join(TITLES))
@@ -77,12 +84,17 @@ def detect(text: str) -> list[tuple[int, int, str, str]]:
             continue
         for m in finder.finditer(text):
             if kind == "name":
-                title = re.match(r"\w+", m.group(0)).group(0)
-                found.append((m.start(1), m.end(1), kind, TITLES[title]))
+                gender, at = TITLES[re.match(r"\w+", m.group(0)).group(0)], m.start(1)
+                parts = m.group(1).split(" ")
+                for i, word in enumerate(parts):
+                    found.append((at, at + len(word), "name", "") if i == len(parts) - 1 else (at, at + len(word), "given", gender))
+                    at += len(word) + 1
             elif kind == "iban" and not _iban_valid(m.group(0)):
                 continue
             else:
                 found.append((m.start(), m.end(), kind, ""))
+    if any(f[2] == "name" for f in found):
+        found += _mentioned(text, found)
     found.sort(key=lambda x: (x[0], -x[1]))
     out: list = []
     for f in found:
@@ -91,6 +103,24 @@ def detect(text: str) -> list[tuple[int, int, str, str]]:
     return out
 
 
+def _mentioned(text: str, found: list) -> list:
+    """Other mentions of the surnames found, and the given names before them."""
+    taken = {f[0] for f in found}
+    surnames = {text[s:e].lower() for s, e, kind, _ in found if kind == "name"}
+    given = {text[s:e].lower(): g for s, e, kind, g in found if kind == "given"}
+    out, last = [], None
+    for m in _WORD.finditer(text):
+        word = m.group(0)
+        if m.start() not in taken and word.lower() in surnames:
+            out.append((m.start(), m.end(), "name", ""))
+            if last is not None and last.start() not in taken and text[last.end() : m.start()] == " " and last.group(0) not in TITLES:
+                known = given.get(last.group(0).lower())
+                if known is not None or not _STARTS.search(text, max(0, last.start() - 8), last.start()):
+                    out.append((last.start(), last.end(), "given", known or "any"))
+        last = m
+    return out
+
+
 def _iban_valid(s: str) -> bool:
     s = s.replace(" ", "")
     return int("".join(str(int(c, 36)) for c in s[4:] + s[:4])) % 97 == 1
@@ -104,7 +134,7 @@ def canonical(kind: str, gender: str, value: str) -> str:
         return re.sub(r"[^0-9A-Za-z]", "", value).upper()
     if kind == "secret" and _HEXA.match(value):
         return value.lower()
-    return f"{gender}|{value}" if kind == "name" else value
+    return value.lower() if kind in ("name", "given") else value
 
 
 class Stream:
@@ -150,14 +180,14 @@ def surrogate(key: bytes, kind: str, gender: str, value: str, attempt: int = 0)
         return f"{shown}{s.below(10_000):04d}@{host}" if attempt else f"{shown}@{host}"
     if kind == "ipv4":
         return ".".join(str(s.below(256)) for _ in range(4)) if attempt > 20 else f"10.{s.below(256)}.{s.below(256)}.{s.below(256)}"
-    if kind == "name":
+    if kind in ("name", "given"):
         cyr = any("Ѐ" <= c <= "ӿ" for c in value)
-        first, last = (CYRILLIC, CYRILLIC_SURNAMES) if cyr else (NAMES, SURNAMES)
-        words = entity.split("|", 1)[1].split(" ")
-        pick = [first[gender or "any"][s.below(len(first[gender or "any"]))]] if len(words) > 1 else []
-        while len(pick) < len(words):
-            pick.append(last[s.below(len(last))] + (last[s.below(len(last))].lower() if attempt else "") + ("".join(last[s.below(len(last))].lower() for _ in range(attempt // 4))))
-        return " ".join(pick)
+        if kind == "name":
+            pool = CYRILLIC_SURNAMES if cyr else SURNAMES
+        else:
+            pool = (CYRILLIC if cyr else NAMES)[gender or "any"]
+        # later attempts give longer names: double given names, composed surnames
+        return ("-" if kind == "given" else "").join(pool[s.below(len(pool))].lower() for _ in range(1 if not attempt else 2 + attempt // 4))
     if kind == "secret":
         hexa = bool(_HEXA.match(entity))
         head = 0 if hexa else min(4, len(entity))
@@ -188,6 +218,8 @@ def dress(kind: str, value: str, replacement: str) -> str:
         return "".join(next(fresh) if c.isalnum() else c for c in value)
     if kind == "secret" and _HEXA.match(value):
         return _cased(value, replacement)
+    if kind in ("name", "given"):
+        return replacement.upper() if len(value) > 1 and value.isupper() else "-".join(x.capitalize() for x in replacement.split("-"))
     return replacement
 
 
@@ -218,8 +250,6 @@ def _entities(batches):
 
 def _value(kind: str, entity: str, plus: bool) -> str:
     """A value from which ``surrogate`` finds the canonical form again."""
-    if kind == "name":
-        return entity.split("|", 1)[1]
     return "+" + entity if plus else entity
 
 
@@ -237,11 +267,15 @@ ENTITY = "kind string, gender string, entity string, plus boolean"
 
 
 def overrides(docs: DataFrame, key: bytes) -> DataFrame:
-    """``(kind, entity, plus, attempt)`` of the entities whose first surrogate collided."""
+    """``(kind, entity, plus, attempt, gender)`` of the entities whose first surrogate collided, or
+    whose mentions tell unlike genders."""
     found = docs.select(F.col("text").cast("string").alias("text")).where("text is not null").mapInArrow(_entities, ENTITY)
     # a phone number with and without its plus sign is one string of digits with two surrogates
-    all_ = keep(found.groupBy("kind", "entity", "plus").agg(F.min("gender").alias("gender")), "pii-entities")
-    named = all_.select("kind", F.when(F.col("kind") == "name", F.element_at(F.split("entity", "\\|", 2), 2)).otherwise(F.col("entity")).alias("surrogate")).distinct()
+    told = F.when(F.col("gender") != "any", F.col("gender"))
+    gender = F.when(F.min(told) == F.max(told), F.min(told)).otherwise(F.min(F.when(told.isNull(), F.col("gender")).otherwise("any")))
+    all_ = keep(found.groupBy("kind", "entity", "plus").agg(gender.alias("gender"), (F.min("gender") != F.max("gender")).alias("unlike")), "pii-entities")
+    unlike = all_.where("unlike").select("kind", "entity", "plus")
+    named = all_.select("kind", F.col("entity").alias("surrogate")).distinct()
     shape = f"{ENTITY}, attempt int, surrogate string"
     cols = ["kind", "gender", "entity", "plus", "attempt"]
     now = keep(all_.withColumn("attempt", F.lit(0)).select(*cols).mapInArrow(_propose(key), shape), "pii-surrogates")
@@ -256,7 +290,8 @@ def overrides(docs: DataFrame, key: bytes) -> DataFrame:
         now = keep(now.join(again, ["kind", "entity", "plus"], "left_anti").select(*cols, "surrogate").union(redo), "pii-surrogates")
     else:
         raise RuntimeError("surrogates still collide")
-    return now.where("attempt > 0").select("kind", "entity", "plus", "attempt")
+    told_otherwise = now.join(unlike, ["kind", "entity", "plus"], "left_semi")
+    return now.where("attempt > 0").union(told_otherwise.select(*now.columns)).select("kind", "entity", "plus", "attempt", "gender").distinct()
 
 
 def _apply(key: bytes, held: dict, joined: bool):
@@ -269,18 +304,18 @@ def _apply(key: bytes, held: dict, joined: bool):
                 extra = b.column(b.schema.get_field_index("__attempts")).to_pylist() if joined else None
                 for row, t in enumerate(b.column(at).to_pylist()):
                     found = detect(t) if t else []
-                    own = {(x["kind"], x["entity"], x["plus"]): x["attempt"] for x in (extra[row] or [])} if joined else held
+                    own = {(x["kind"], x["entity"], x["plus"]): (x["attempt"], x["gender"]) for x in (extra[row] or [])} if joined else held
                     by: dict[str, int] = {}
                     out, last = [], 0
                     for s, e, kind, g in found:
                         value = t[s:e]
                         ident = (kind, canonical(kind, g, value), value[0] == "+")
-                        attempt = own.get(ident, 0)
+                        attempt, g = own.get(ident, (0, g))
                         if len(memo) > 100_000:
                             memo.clear()
-                        if (ident, attempt) not in memo:
-                            memo[ident, attempt] = surrogate(key, kind, g, _value(kind, ident[1], ident[2]), attempt)
-                        out += [t[last:s], dress(kind, value, memo[ident, attempt])]
+                        if (ident, attempt, g) not in memo:
+                            memo[ident, attempt, g] = surrogate(key, kind, g, _value(kind, ident[1], ident[2]), attempt)
+                        out += [t[last:s], dress(kind, value, memo[ident, attempt, g])]
                         last = e
                         by[kind] = by.get(kind, 0) + 1
                     texts.append(t if not found else "".join(out) + t[last:])
@@ -312,10 +347,10 @@ def replace(docs: DataFrame, key: bytes = b"tupleguard", held: int = HELD) -> Da
     schema = docs.withColumn("pii_entities", F.lit(0)).withColumn("pii_kinds", F.lit("")).schema
     again = keep(overrides(docs, key), "pii-overrides")
     if again.limit(held + 1).count() <= held:
-        table = {(r["kind"], r["entity"], r["plus"]): r["attempt"] for r in again.collect()}
+        table = {(r["kind"], r["entity"], r["plus"]): (r["attempt"], r["gender"]) for r in again.collect()}
         return docs.mapInArrow(_apply(key, table, False), schema)
     # many overrides: each text's own are joined to it by a fingerprint of the text
     marked = docs.withColumn("__row", F.sha2("text", 256))
     own = marked.select("__row", "text").mapInArrow(_mentions, "__row string, kind string, entity string, plus boolean").distinct().join(again, ["kind", "entity", "plus"])
-    own = own.groupBy("__row").agg(F.collect_list(F.struct("kind", "entity", "plus", "attempt")).alias("__attempts"))
+    own = own.groupBy("__row").agg(F.collect_list(F.struct("kind", "entity", "plus", "attempt", "gender")).alias("__attempts"))
     return marked.join(own, "__row", "left").select(*names, "__attempts").mapInArrow(_apply(key, {}, True), schema)
