@@ -15,7 +15,7 @@ segments of ``SEGMENT`` symbols, which costs at most one extra phrase a segment
 and memory for very long texts.
 
 Training is on a bounded sample: per language ``TRAIN`` symbols, or all labelled text where there
-is less, of ``DOCS`` labelled documents, the first by a hash of their id, or of more where these are
+is less, of ``DOCS`` labelled documents, the first by a hash of id and text, or of more where these are
 too short. Documents share the length evenly as far as theirs allows; of a longer one, spans of at
 most ``SPAN`` symbols are taken, one at a hashed place of every part of equal length.
 
@@ -269,16 +269,17 @@ def fit(docs: DataFrame, where=None) -> CrossParser:
     rows = docs.where("lang is not null and text is not null and length(text) > 0")
     if where is not None:
         rows = rows.where(where)
-    rows = rows.select(F.col("lang").cast("string").alias("lang"), "doc_id", F.col("text").cast("string").alias("text"))
-    order = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
+    # a document is known by its id and text: rows without an id count, repeated rows are one
+    rows = rows.select(F.col("lang").cast("string").alias("lang"), F.xxhash64("doc_id", F.col("text").cast("string")).alias("doc_id"), F.col("text").cast("string").alias("text"))
+    order = Window.partitionBy("lang").orderBy("doc_id")
     samples: dict[str, list[str]] = {}
     most, open_ = DOCS, None
     while open_ is None or open_:
         among = rows if open_ is None else rows.where(F.col("lang").isin(open_))
-        chosen = keep(among.select("lang", "doc_id").withColumn("__n", F.row_number().over(order)).where(F.col("__n") <= most).select("lang", "doc_id"), "language-chosen")
+        chosen = keep(among.select("lang", "doc_id").distinct().withColumn("__n", F.row_number().over(order)).where(F.col("__n") <= most).select("lang", "doc_id"), "language-chosen")
         full = {r["lang"] for r in chosen.groupBy("lang").count().collect() if r["count"] >= most}
-        texts = among.join(F.broadcast(chosen.distinct()), ["lang", "doc_id"], "left_semi").distinct()
-        read = keep(texts.select("lang", "doc_id", "text").mapInArrow(_letters, f"lang string, doc_id {docs.schema['doc_id'].dataType.simpleString()}, n long, text string").where("n > 0"), "language-texts")
+        texts = among.join(F.broadcast(chosen), ["lang", "doc_id"], "left_semi").distinct()
+        read = keep(texts.select("lang", "doc_id", "text").mapInArrow(_letters, "lang string, doc_id long, n long, text string").where("n > 0"), "language-texts")
         lengths: dict[str, list[int]] = {}
         for r in read.select("lang", "n").collect():
             lengths.setdefault(r["lang"], []).append(r["n"])
@@ -293,7 +294,7 @@ def fit(docs: DataFrame, where=None) -> CrossParser:
                 yield pa.RecordBatch.from_arrays([b.column("lang"), b.column("doc_id"), pa.array(text, pa.string())], names=["lang", "doc_id", "text"])
 
         got = read.mapInArrow(cut, read.select("lang", "doc_id", "text").schema).where("text <> ''").collect()
-        for r in sorted(got, key=lambda r: (r["lang"], r["doc_id"] if r["doc_id"] is not None else -1, r["text"])):
+        for r in sorted(got, key=lambda r: (r["lang"], r["doc_id"], r["text"])):
             samples.setdefault(r["lang"], []).append(r["text"])
         most *= 8
     return CrossParser(samples)
