@@ -445,6 +445,16 @@ def test_training_length_is_filled_from_whole_texts(spark):
     assert model.predict([t for _, t in held])[0] == [k for k, _ in held]
 
 
+def test_rows_without_ids_are_learned_from(spark):
+    rng = random.Random(3)
+    rows = [(None, " ".join(rng.choice(v) for _ in range(200)), lang) for lang, v in (("aa", ["anka", "bola", "cira"]), ("bb", ["xoxu", "yeyi", "zuzo"])) for _ in range(6)]
+    docs = spark.createDataFrame(rows + rows[:1] * 50, "doc_id long, text string, lang string")
+    model = language_id.fit(docs)
+    got = language_id.identify(docs, model).collect()
+    assert model.langs == ["aa", "bb"] and all(r["lang_pred"] == r["lang"] for r in got)
+    assert language_id.identify(docs.limit(0), model).count() == 0 and language_id.fit(docs.limit(0)).langs == []
+
+
 # -- 8 personal data -----------------------------------------------------------------------
 def test_surrogates_are_consistent_distinct_and_typed(spark):
     rows = [
@@ -465,6 +475,63 @@ def test_surrogates_are_consistent_distinct_and_typed(spark):
     assert out[5]["pii_entities"] == 0 and out[4]["pii_entities"] == 3
 
 
+def test_a_person_is_one_under_any_title_and_form(spark):
+    rows = [
+        (1, "Mr Smith wrote. Dr Smith came, and Smith left with John Smith. The smith and SMITH stayed; Smithson too."), (2, "Mrs Anna Smith and Dr Robin Lee"), (3, "Mr Robin Lee, later Robin Lee"),
+        (4, "Here Smith is unknown. Nobody else."), (5, "Yesterday Brown met Ms Brown"), (6, "госпожа Анна Иванова и Иванова"), (7, None),
+    ]
+    out = {r["doc_id"]: r["text"] for r in pii.replace(frame(spark, rows), b"k").collect()}
+    one = re.match(r"Mr (\w+) wrote\. Dr (\w+) came, and (\w+) left with (\w+) (\w+)\. The smith and (\w+) stayed; Smithson too\.$", out[1])
+    surname = one[1]
+    assert surname != "Smith" and {one[2], one[3], one[5], one[6].capitalize()} == {surname} and one[6].isupper() and one[4] != "John"
+    two, three = re.match(r"Mrs (\S+) (\w+) and Dr (\S+) (\w+)$", out[2]), re.match(r"Mr (\S+) (\w+), later (\S+) (\w+)$", out[3])
+    assert two[2] == surname and two[1].split("-")[0] in pii.NAMES["f"]
+    assert (two[3], two[4]) == (three[1], three[2]) == (three[3], three[4]) and three[1].split("-")[0] in pii.NAMES["m"]
+    assert out[4] == rows[3][1] and out[7] is None
+    five = re.match(r"Yesterday (\w+) met Ms (\w+)$", out[5])
+    assert five[1] == five[2] != "Brown"
+    six = re.match(r"госпожа (\S+) (\w+) и (\w+)$", out[6])
+    assert six[2] == six[3] != "Иванова" and six[1].split("-")[0] in pii.CYRILLIC["f"]
+    again = {r["doc_id"]: r["text"] for r in pii.replace(frame(spark, rows), b"k", held=-1).collect()}
+    assert again == out
+
+
+def test_replacement_equals_a_plain_walk(spark):
+    """Every text by the same detector, with surrogates settled by a plain loop over the corpus."""
+    rng = random.Random(8)
+    names = ["Abel", "Holm", "Stone", "Berg", "Xu", "Adam"]
+    rows = [(i, " ".join(rng.choice([f"Mr {rng.choice(names)}", f"Dr {rng.choice(names)} {rng.choice(names)}", f"u{rng.randrange(40)}@x{rng.randrange(4)}.org", f"10.{rng.randrange(3)}.0.{rng.randrange(9)}", "plain words", f"+1 {200 + rng.randrange(9)} 555 01{rng.randrange(10, 99)}"]) for _ in range(6))) for i in range(60)]
+    rows += [(60, None), (61, ""), (None, rows[0][1]), (3, rows[3][1]), (62, "x " * 200_000 + rows[1][1])]
+    key, told = b"k", defaultdict(set)
+    for _, t in rows:
+        for s, e, kind, g in pii.detect(t or ""):
+            told[kind, pii.canonical(kind, g, t[s:e]), t[s] == "+"].add(g)
+    gender = {k: (v - {"any"}).pop() if len(v - {"any"}) == 1 else ("any" if "any" in v or len(v) > 1 else min(v)) for k, v in told.items()}
+    make = lambda k, a: pii.surrogate(key, k[0], gender[k], pii._value(*k), a)
+    attempt = dict.fromkeys(told, 0)
+    real = {k[:2] for k in told}
+    for n in range(1, 41):
+        by = defaultdict(list)
+        for k in told:
+            by[k[0], make(k, attempt[k])].append((attempt[k], k[1], k[2], k))
+        again = {x[3] for g in by.values() for x in sorted(g)[1:]} | {k for k in told if (k[0], make(k, attempt[k])) in real}
+        if not again:
+            break
+        attempt |= dict.fromkeys(again, n)
+
+    def plain(t):
+        out, last = [], 0
+        for s, e, kind, g in pii.detect(t or ""):
+            k = (kind, pii.canonical(kind, g, t[s:e]), t[s] == "+")
+            out += [t[last:s], pii.dress(kind, t[s:e], make(k, attempt[k]))]
+            last = e
+        return t if t is None else "".join(out) + t[last:]
+
+    want = Counter((d, plain(t)) for d, t in rows)
+    assert Counter((r["doc_id"], r["text"]) for r in pii.replace(clashing(frame(spark, rows)), key).collect()) == want
+    assert pii.replace(frame(spark, [])).count() == 0
+
+
 def test_many_names_stay_distinct_either_way(spark):
     rows = [(i, f"Mr Person{chr(97 + i // 26)}{chr(97 + i % 26)} came") for i in range(200)]
     a = [r["text"] for r in pii.replace(frame(spark, rows), b"k").orderBy("doc_id").collect()]
