@@ -1,28 +1,39 @@
-"""Language-model scoring with an interpolated modified Kneser-Ney bigram model.
-
-Counting runs in Spark: tasks count words, and then word pairs, of their own texts with array
-sorts and ship one packed block per hash bucket (pre-aggregated, a few bytes a pair); buckets
-are merged by array sorts again. Pairs are dealt by their first word, so a context's statistics
-arise in its bucket; the few contexts that hold more than a bucket's fair share of all tokens
-(at most four per bucket) are dealt by their second word instead and their statistics summed.
-Every bucket is stored as sorted arrays of hashes and counts in the shared folder; scoring
-tasks memory-map them and look up whole batches by binary search. Nothing that grows with the
-corpus passes through the driver: it sees file names, sums, and the hot contexts' statistics.
-
-Tokens are words (A-Z lowered) and one end per text. A pair's probability is its count less a
-discount of its class (1, 2, 3 and more) over the context's count, plus the discounts' mass
-times the second word's share of distinct pairs (its continuation count, discounted the same
-way and interpolated with the uniform distribution over the known words and one unknown).
-Words are identified by 64-bit hashes in unigram counts and by 40 bits of them in pairs.
+"""Language-model scoring with an interpolated modified Kneser-Ney n-gram model of any order.
+
+Counting runs in Spark: tasks count words, and then n-grams of the order, of their own texts
+with array sorts and ship one packed block per hash bucket (distinct n-grams as ranks in the
+block's own vocabulary, compressed). Buckets are merged by array sorts again. N-grams are dealt
+by the last word of their context, so the counts of all lower orders (distinct left extensions)
+and all contexts' statistics arise in the same bucket without another shuffle. The few words
+that occur more often than a bucket holds tokens are dealt by the word before and the word
+after instead; what then arises in parts (their word pairs and contexts) is summed in the one
+further shuffle that gathers the words' own continuation counts.
+
+Every bucket is stored as one file of sorted hash arrays and counts in the shared folder, named
+by its number; scoring tasks memory-map the files that their batch needs, at most ``OPEN`` at a
+time, in order, and look up whole batches by binary search. Nothing that grows with the corpus
+passes through the driver but the list of those frequent words: it sees sums. N-grams and
+contexts are known by 32 bits of hash within their bucket of about a million, so about one in
+four thousand unseen n-grams is taken for another; words by 64 bits, and by 40 in n-grams.
+
+Tokens are words (A-Z lowered) and one end per text. An n-gram's probability is its count less a
+discount of its class (1, 2, 3 and more) over its context's count, plus the discounts' mass
+times the probability at the next lower order. Lower orders count distinct left extensions;
+n-grams at a text's beginning have none and keep their number of occurrences. The lowest order
+is interpolated with the uniform distribution over the known words and one unknown.
 
 Defined cases: null and blank texts are the end token alone; with no training text the base
-probability is that of the formula with zero counts and the model is uniform; repeated rows are
-counted and scored as often as they occur; null ids are allowed; other columns are ignored.
+probability is that of the formula with zero counts and the model is uniform; texts shorter than
+the order use the orders that they reach; repeated rows are counted and scored as often as they
+occur; null ids are allowed; other columns are ignored.
 """
 
 from __future__ import annotations
 
+import json
+import os
 import uuid
+from collections import OrderedDict
 
 import numpy as np
 import pyarrow as pa
@@ -34,9 +45,11 @@ from .warc import _open_fs
 
 U = np.uint64
 END, BEGIN = U(0x1111111111111111), U(0x2222222222222222)
-#: Text bytes of a bucket, about, and tokens that a task counts before it ships them.
-BUCKET, FLUSH = 16 << 20, 5_000_000
-_LOW = U((1 << 40) - 1)
+#: Text bytes of a bucket, about; tokens that a task counts before it ships them; mapped files.
+BUCKET, FLUSH, OPEN = 8 << 20, 5_000_000, 256
+ORDER = 3
+_SHORT_BEGIN = BEGIN >> U(24)
+_MUL = U(0x9E3779B97F4A7C15)
 
 
 def _short(h: np.ndarray) -> np.ndarray:
@@ -96,20 +109,120 @@ def _tokens(column) -> tuple[np.ndarray, np.ndarray]:
     return out, out_ptr
 
 
-def _contexts(tokens: np.ndarray, ptr: np.ndarray) -> np.ndarray:
-    before = np.empty_like(tokens)
-    before[1:] = tokens[:-1]
-    before[ptr[:-1][np.diff(ptr) > 0]] = BEGIN
-    return before
+def _contexts(short: np.ndarray, ptr: np.ndarray, n: int) -> list[np.ndarray]:
+    """The ``n`` words before each token, nearest first; 0 beyond the beginning."""
+    place = np.arange(len(short)) - np.repeat(ptr[:-1], np.diff(ptr))
+    out = []
+    for j in range(1, n + 1):
+        before = np.zeros_like(short)
+        before[j:] = short[:-j] if j < len(short) else short[:0]
+        before[place < j] = 0
+        before[place == j - 1] = _SHORT_BEGIN
+        out.append(before)
+    return out
+
+
+def _context_key(cols: list[np.ndarray]) -> np.ndarray:
+    key = tk.mix(cols[0])
+    for c in cols[1:]:
+        key = tk.mix(key * _MUL + c)
+    return key
+
+
+def _gram_key(context: np.ndarray, w: np.ndarray) -> np.ndarray:
+    return tk.mix(context * _MUL + tk.mix(w))
+
+
+def _low(key: np.ndarray) -> np.ndarray:
+    """What identifies a key within its bucket."""
+    return (key >> U(32)).astype(np.uint32)
+
 
+def _in(values: np.ndarray, sorted_: np.ndarray) -> np.ndarray:
+    if not len(sorted_):
+        return np.zeros(len(values), bool)
+    at = np.searchsorted(sorted_, values)
+    at[at == len(sorted_)] = 0
+    return sorted_[at] == values
 
-_BLOCK = pa.schema([("kind", pa.string()), ("bucket", pa.int32()), ("block", pa.binary())])
-SHAPE = "kind string, bucket int, block binary"
+
+def _spread(cols: list[np.ndarray], w: np.ndarray) -> np.ndarray:
+    """What n-grams with a frequent last context word are dealt by."""
+    if len(cols) < 2:
+        return w
+    return np.where(cols[1] == 0, w, tk.mix(cols[1] + tk.mix(w) * _MUL))
+
+
+_FIELDS = pa.schema([("kind", pa.string()), ("bucket", pa.int32()), ("block", pa.binary()), ("key", pa.int64()), ("facts", pa.list_(pa.int64()))])
+SHAPE = "kind string, bucket int, block binary, key long, facts array<long>"
 
 
 def _rows(rows: list[tuple]) -> pa.RecordBatch:
-    cols = list(zip(*rows)) if rows else [[], [], []]
-    return pa.RecordBatch.from_arrays([pa.array(list(c), f.type) for c, f in zip(cols, _BLOCK)], schema=_BLOCK)
+    """Rows ``(kind, bucket, block, key, facts)``."""
+    cols = list(zip(*rows)) if rows else [[]] * 5
+    return pa.RecordBatch.from_arrays([pa.array(list(c), f.type) for c, f in zip(cols, _FIELDS)], schema=_FIELDS)
+
+
+def _fact(kind: str, bucket: int, key: int, values) -> tuple:
+    return kind, bucket, None, key, [int(v) for v in values]
+
+
+def _pack(cols: list[np.ndarray], counts: list[np.ndarray]) -> bytes:
+    """Rows of words and counts: words as ranks by frequency, byte planes, compressed."""
+    n, k = len(cols[0]), len(cols)
+    words, rank, times = np.unique(np.concatenate(cols), return_inverse=True, return_counts=True)
+    order = np.argsort(-times, kind="stable")
+    place = np.empty(len(words), np.int64)
+    place[order] = np.arange(len(words))
+    ranks = place[rank].astype("<u4").reshape(k, n)
+    width = 1 if len(words) <= 1 << 8 else 2 if len(words) <= 1 << 16 else 3 if len(words) <= 1 << 24 else 4
+    planes = b"".join(np.ascontiguousarray(ranks[j].view(np.uint8).reshape(n, 4)[:, b]).tobytes() for j in range(k) for b in range(width))
+    body = planes + b"".join(_small(c) for c in counts)
+    return np.array([n, k, len(counts), len(words), width, len(body)], "<u8").tobytes() + _five(words[order]) + pa.compress(body, codec="zstd", asbytes=True)
+
+
+def _unpack(block: bytes) -> tuple[list[np.ndarray], list[np.ndarray]]:
+    n, k, many, v, width, size = (int(x) for x in np.frombuffer(block[:48], "<u8"))
+    words = _unfive(block[48 : 48 + 5 * v])
+    body = pa.decompress(block[48 + 5 * v :], decompressed_size=size, codec="zstd", asbytes=True)
+    cols, at = [], 0
+    for _ in range(k):
+        rank = np.zeros((n, 4), np.uint8)
+        for b in range(width):
+            rank[:, b] = np.frombuffer(body[at : at + n], np.uint8)
+            at += n
+        cols.append(words[rank.view("<u4").ravel()])
+    counts = []
+    for _ in range(many):
+        big = int(np.frombuffer(body[at : at + 8], "<u8")[0])
+        counts.append(_unsmall(body[at : at + 8 + n + 8 * big], n))
+        at += 8 + n + 8 * big
+    return cols, counts
+
+
+def _together(blocks: list[bytes]) -> tuple[list[np.ndarray], list[np.ndarray]]:
+    parts = [_unpack(b) for b in blocks]
+    return [np.concatenate(x) for x in zip(*(p[0] for p in parts))], [np.concatenate(x) for x in zip(*(p[1] for p in parts))]
+
+
+def _distinct(cols: list[np.ndarray], counts: list[np.ndarray]) -> tuple[list[np.ndarray], list[np.ndarray]]:
+    """Sorted distinct rows and the sums of their counts."""
+    order = np.lexsort(cols[::-1])
+    cols = [c[order] for c in cols]
+    new = np.zeros(len(order), bool)
+    new[:1] = True
+    for c in cols:
+        new[1:] |= c[1:] != c[:-1]
+    first = np.flatnonzero(new)
+    return [c[first] for c in cols], [np.add.reduceat(c[order], first) if len(first) else c for c in counts]
+
+
+def _blocks(kind: str, bucket: np.ndarray, cols: list[np.ndarray], counts: list[np.ndarray], key: int = 0):
+    """One packed row for each bucket."""
+    order = np.argsort(bucket, kind="stable")
+    own, first = np.unique(bucket[order], return_index=True)
+    for b, at in zip(own.tolist(), np.split(order, first[1:])):
+        yield kind, b, _pack([c[at] for c in cols], [c[at] for c in counts]), key, None
 
 
 def _count_words(buckets: int):
@@ -121,7 +234,7 @@ def _count_words(buckets: int):
         for i in range(buckets):
             at = order[cut[i] : cut[i + 1]]
             if len(at):
-                yield _rows([("w", i, np.uint64(len(at)).tobytes() + keys[at].astype("<u8").tobytes() + _small(counts[at]))])
+                yield _rows([("w", i, np.uint64(len(at)).tobytes() + keys[at].astype("<u8").tobytes() + _small(counts[at]), 0, None)])
 
     def run(batches):
         held, n = [], 0
@@ -139,145 +252,233 @@ def _count_words(buckets: int):
     return run
 
 
-def _write(folder: str, name: str, arrays: dict[str, np.ndarray]) -> str:
-    """One file: the arrays after each other; returns its description."""
+def _write(folder: str, name: str, arrays: dict[str, np.ndarray]) -> None:
+    """One file: what it holds, then the arrays. It appears under its name when it is whole; an
+    attempt that runs again writes the same."""
     filesystem, root = _open_fs(folder)
-    path = f"{name}-{uuid.uuid4().hex}.bin"
-    parts, at = [], 0
-    with filesystem.open_output_stream(f"{root}/{path}", compression=None) as out:
-        for key, a in arrays.items():
-            a = np.ascontiguousarray(a)
-            out.write(a.tobytes())
-            pad = -a.nbytes % 8
-            out.write(b"\0" * pad)
-            parts.append(f"{key}:{a.dtype.str}:{len(a)}:{at}")
-            at += a.nbytes + pad
-    return f"{path}|" + ",".join(parts)
-
-
-def _merge_words(folder: str):
+    about, at = {}, 0
+    for key, a in arrays.items():
+        about[key] = (a.dtype.str, len(a), at)
+        at += a.nbytes + -a.nbytes % 8
+    head = json.dumps(about).encode()
+    head += b" " * (-len(head) % 8)
+    mine = f"{root}/{name}.{uuid.uuid4().hex}"
+    with filesystem.open_output_stream(mine, compression=None) as out:
+        out.write(np.uint64(len(head)).tobytes() + head)
+        for a in arrays.values():
+            out.write(np.ascontiguousarray(a).tobytes() + b"\0" * (-a.nbytes % 8))
+    try:
+        filesystem.move(mine, f"{root}/{name}")
+    except OSError:
+        if filesystem.get_file_info(f"{root}/{name}").size < 0:
+            raise
+        filesystem.delete_file(mine)
+
+
+def _counted(name: str, key: np.ndarray, counts: np.ndarray) -> dict[str, np.ndarray]:
+    """Arrays of a table of counts: bytes, 255 for those listed apart."""
+    order = np.argsort(key, kind="stable")
+    key, counts = key[order], counts[order]
+    big = np.flatnonzero(counts >= 255)
+    return {name: key, f"{name}.n": np.minimum(counts, 255).astype(np.uint8), f"{name}.at": big.astype(np.uint32), f"{name}.big": counts[big].astype(U)}
+
+
+def _classed(name: str, key: np.ndarray, stats: np.ndarray) -> dict[str, np.ndarray]:
+    """Arrays of a table of contexts ``(total, n1, n2, n3+)``: one byte where all counts are 1 and
+    2 and few, 255 for those listed apart."""
+    order = np.argsort(key, kind="stable")
+    key, stats = key[order], stats[order]
+    plain = (stats[:, 3] == 0) & (stats[:, 1] < 16) & (stats[:, 2] < 15)
+    big = np.flatnonzero(~plain)
+    code = np.where(plain, stats[:, 2] * 16 + stats[:, 1], 255).astype(np.uint8)
+    code[big] = 255
+    kind = np.uint32 if not len(big) or stats[big].max() < 2**32 else U
+    return {name: key, f"{name}.n": code, f"{name}.at": big.astype(np.uint32), f"{name}.big": stats[big].astype(kind).ravel()}
+
+
+def _read_counts(a: dict, name: str, pos: np.ndarray) -> np.ndarray:
+    n = a[f"{name}.n"][pos].astype(np.int64)
+    full = np.flatnonzero(n == 255)
+    if len(full):
+        n[full] = a[f"{name}.big"][np.searchsorted(a[f"{name}.at"], pos[full].astype(np.uint32))]
+    return n
+
+
+def _read_classes(a: dict, name: str, pos: np.ndarray) -> np.ndarray:
+    code = a[f"{name}.n"][pos].astype(np.int64)
+    n1, n2 = code & 15, code >> 4
+    out = np.stack([n1 + 2 * n2, n1, n2, np.zeros_like(n1)], axis=1)
+    full = np.flatnonzero(code == 255)
+    if len(full):
+        out[full] = np.asarray(a[f"{name}.big"]).reshape(-1, 4)[np.searchsorted(a[f"{name}.at"], pos[full].astype(np.uint32))]
+    return out
+
+
+def _merge_words(folder: str, frequent: int):
     def run(key, table):
-        bucket = key[1].as_py()
+        bucket = key[0].as_py()
         keys, counts = [], []
         for block in table.column("block").to_pylist():
             n = int(np.frombuffer(block[:8], "<u8")[0])
             keys.append(np.frombuffer(block[8 : 8 + 8 * n], "<u8").astype(U))
             counts.append(_unsmall(block[8 + 8 * n :], n))
         k, c = _sum_by(np.concatenate(keys), np.concatenate(counts))
-        made = _write(folder, f"words-{bucket}", {"hash": k, "count": c.astype(np.uint32 if c.max() < 2**32 else U)})
-        top = np.argsort(-c, kind="stable")[:64]
-        facts = np.array([len(k), int(c.sum())], "<u8").tobytes()
-        return pa.Table.from_batches([_rows([("file", bucket, made.encode()), ("facts", bucket, facts), ("top", bucket, k[top].astype("<u8").tobytes() + c[top].astype("<u8").tobytes())])])
+        _write(folder, f"words-{bucket}", {"hash": k, "count": c.astype(np.uint32 if c.max() < 2**32 else U)})
+        rows = [_fact("words", bucket, 0, [len(k), c.sum()])]
+        rows += [_fact("hot", bucket, int(k[i] >> U(24)), [1]) for i in np.flatnonzero(c > frequent) if k[i] != END]
+        return pa.Table.from_batches([_rows(rows)])
 
     return run
 
 
-def _count_pairs(buckets: int, hot: np.ndarray):
-    def flush(held_c, held_w):
-        ctx, w = np.concatenate(held_c), np.concatenate(held_w)
-        names, rank = np.unique(ctx, return_inverse=True)
-        keys, counts = np.unique((rank.astype(U) << U(40)) | w, return_counts=True)
-        rank, w = (keys >> U(40)).astype(np.int64), keys & _LOW
-        ctx = names[rank]
-        b = np.where(np.isin(names, hot)[rank], _bucket_of(w, buckets), _bucket_of(ctx, buckets))
-        order = np.argsort(b, kind="stable")
-        cut = np.searchsorted(b[order], np.arange(buckets + 1))
-        for i in range(buckets):
-            at = order[cut[i] : cut[i + 1]]
-            if not len(at):
-                continue
-            first = np.flatnonzero(np.concatenate(([True], ctx[at][1:] != ctx[at][:-1])))
-            runs = np.diff(np.concatenate((first, [len(at)])))
-            head = np.array([len(first), len(at)], "<u8").tobytes()
-            yield _rows([("p", i, head + _five(ctx[at][first]) + _five(w[at]) + _small(counts[at]) + _small(runs))])
+def _count_grams(order: int, buckets: int, hot: np.ndarray):
+    def flush(held):
+        # ranks of words pack an n-gram into one number where they fit
+        words, rank = np.unique(np.concatenate([h[0] for h in held]), return_inverse=True)
+        cols, at = [], 0
+        every = np.concatenate((words, np.array([0, _SHORT_BEGIN], U)))
+        v = len(every)
+        parts = []
+        for short, ptr in held:
+            own = rank[at : at + len(short)].astype(U)
+            at += len(short)
+            place = np.arange(len(short)) - np.repeat(ptr[:-1], np.diff(ptr))
+            mine = []
+            for j in range(1, order):
+                before = np.full(len(short), v - 2, U)
+                before[j:] = own[:-j] if j < len(own) else own[:0]
+                before[place < j] = v - 2
+                before[place == j - 1] = v - 1
+                mine.append(before)
+            parts.append([*mine, own])
+        cols = [np.concatenate(x) for x in zip(*parts)]
+        del parts
+        if v.bit_length() * order <= 63:
+            packed = cols[0]
+            for c in cols[1:]:
+                packed = packed * U(v) + c
+            del cols
+            packed, counts = np.unique(packed, return_counts=True)
+            cols = []
+            for _ in range(order):
+                cols.insert(0, every[(packed % U(v)).astype(np.int64)])
+                packed //= U(v)
+        else:
+            cols, (counts,) = _distinct(cols, [np.ones(len(cols[0]), np.int64)])
+            cols = [every[c.astype(np.int64)] for c in cols]
+        *ctx, w = cols
+        b = np.where(_in(ctx[0], hot), _bucket_of(_spread(ctx, w), buckets), _bucket_of(ctx[0], buckets))
+        for row in _blocks("g", b, cols, [counts]):
+            yield _rows([row])
 
     def run(batches):
-        held_c, held_w, n = [], [], 0
+        held, n = [], 0
         for whole in batches:
             for b in tk.sub_batches(whole, "text"):
                 tokens, ptr = _tokens(b.column("text"))
-                held_c.append(_short(_contexts(tokens, ptr)))
-                held_w.append(_short(tokens))
+                held.append((_short(tokens), ptr))
                 n += len(tokens)
                 if n >= FLUSH:
-                    yield from flush(held_c, held_w)
-                    held_c, held_w, n = [], [], 0
-        if held_c:
-            yield from flush(held_c, held_w)
+                    yield from flush(held)
+                    held, n = [], 0
+        if n:
+            yield from flush(held)
 
     return run
 
 
-def pair_key(ctx: np.ndarray, w: np.ndarray) -> np.ndarray:
-    return tk.mix(ctx * U(0x9E3779B97F4A7C15) + tk.mix(w))
-
-
-def _decode(block: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    n_ctx, n = (int(x) for x in np.frombuffer(block[:16], "<u8"))
-    at = 16 + 5 * n_ctx
-    ctx, w = _unfive(block[16:at]), _unfive(block[at : at + 5 * n])
-    rest = block[at + 5 * n :]
-    big = int(np.frombuffer(rest[:8], "<u8")[0])
-    return np.repeat(ctx, _unsmall(rest[8 + n + 8 * big :], n_ctx)), w, _unsmall(rest, n)
-
-
 def _of_counts(c: np.ndarray) -> list[int]:
     return [int((c == i).sum()) for i in (1, 2, 3, 4)]
 
 
-def _merge_pairs(folder: str, buckets: int, hot: np.ndarray):
+def _context_stats(cols: list[np.ndarray], counts: np.ndarray) -> tuple[list[np.ndarray], np.ndarray]:
+    """Distinct contexts and ``(total, n1, n2, n3+)`` of each."""
+    found, stats = _distinct(cols, [counts, *((counts == i).astype(np.int64) for i in (1, 2)), (counts >= 3).astype(np.int64)])
+    return found, np.stack(stats, axis=1)
+
+
+def _merge_grams(folder: str, order: int, buckets: int, hot: np.ndarray):
     def run(key, table):
-        bucket = key[1].as_py()
-        parts = [_decode(x) for x in table.column("block").to_pylist()]
-        ctx, w, c = (np.concatenate([p[i] for p in parts]) for i in range(3))
-        del parts
-        names, rank = np.unique(ctx, return_inverse=True)
-        del ctx
-        keys, c = _sum_by((rank.astype(U) << U(40)) | w, c)
-        rank, w = (keys >> U(40)).astype(np.int64), keys & _LOW
-        del keys
-        classes = np.stack([np.bincount(rank[m], minlength=len(names)) for m in (c == 1, c == 2, c >= 3)], axis=1)
-        rows = [("facts", bucket, np.array(_of_counts(c) + [len(c)], "<u8").tobytes())]
-        is_hot = np.isin(names, hot)
-        if is_hot.any():
-            rows.append(("hot", bucket, names[is_hot].astype("<u8").tobytes() + classes[is_hot].astype("<u8").tobytes()))
-        pk = pair_key(names[rank], w)
-        order = np.argsort(pk, kind="stable")
-        pk, pc = pk[order], c[order]
-        big = np.flatnonzero(pc >= 255)
-        cold = ~is_hot
-        made = _write(
-            folder, f"pairs-{bucket}",
-            {"pair": pk, "count": np.minimum(pc, 255).astype(np.uint8), "big_at": big.astype(U), "big": pc[big].astype(U), "ctx": names[cold], "n1": classes[cold, 0].astype(np.uint32), "n2": classes[cold, 1].astype(np.uint32), "n3": classes[cold, 2].astype(np.uint32)},
-        )
-        rows.append(("file", bucket, made.encode()))
-        uw, un = _sum_by(w)
-        b = _bucket_of(uw, buckets)
-        order = np.argsort(b, kind="stable")
-        cut = np.searchsorted(b[order], np.arange(buckets + 1))
-        for i in range(buckets):
-            at = order[cut[i] : cut[i + 1]]
-            if len(at):
-                rows.append(("c", i, np.uint64(len(at)).tobytes() + _five(uw[at]) + _small(un[at])))
+        bucket = key[0].as_py()
+        cols, (counts,) = _together(table.column("block").to_pylist())
+        cols, (counts,) = _distinct(cols, [counts])
+        *ctx, w = cols
+        # the order that each row reaches: texts' beginnings have shorter contexts
+        reach = 1 + sum((c != 0).astype(np.int64) for c in ctx)
+        rows, arrays, above = [], {}, None
+        for k in range(order, 1, -1):
+            own = np.flatnonzero(reach == k)
+            grams, n = [*(c[own] for c in ctx[: k - 1]), w[own]], counts[own]
+            if above is not None:
+                # distinct left extensions of the n-grams of the order above
+                grams = [np.concatenate(x) for x in zip([*above[: k - 1], above[-1]], grams)]
+                n = np.concatenate((np.ones(len(above[-1]), np.int64), n))
+                grams, (n,) = _distinct(grams, [n])
+            above = grams
+            known = _in(grams[0], hot)
+            if k == 2:
+                break
+            rows.append(_fact("f", bucket, k, _of_counts(n)))
+            arrays |= _counted(f"g{k}", _low(_gram_key(_context_key(grams[:-1]), grams[-1])), n)
+            for which, parts in ((~known, False), (known, True)):
+                if not which.any():
+                    continue
+                found, stats = _context_stats([g[which] for g in grams[:-1]], n[which])
+                if parts:
+                    rows += _blocks("x", _bucket_of(_context_key(found), buckets), found, list(stats.T), k)
+                else:
+                    arrays |= _classed(f"x{k}", _low(_context_key(found)), stats)
+        (v, u), cold = grams, ~known
+        if known.any():
+            rows += _blocks("h", _bucket_of(u[known], buckets), [v[known], u[known]], [n[known]])
+        if cold.any():
+            rows.append(_fact("f", bucket, 2, _of_counts(n[cold])))
+            arrays |= _counted("g2", _low(_gram_key(_context_key([v[cold]]), u[cold])), n[cold])
+            found, stats = _context_stats([v[cold]], n[cold])
+            arrays |= _classed("x2", _low(_context_key(found)), stats)
+            uw, un = _sum_by(u[cold])
+            rows += _blocks("c", _bucket_of(uw, buckets), [uw], [un])
+        _write(folder, f"grams-{bucket}", arrays)
         return pa.Table.from_batches([_rows(rows)])
 
     return run
 
 
-def _merge_continuations(folder: str):
+def _merge_parts(folder: str):
     def run(key, table):
-        kind, bucket = key[0].as_py(), key[1].as_py()
-        if kind != "c":
-            return table.select(["kind", "bucket", "block"]).cast(_BLOCK)
-        keys, counts = [], []
-        for block in table.column("block").to_pylist():
-            n = int(np.frombuffer(block[:8], "<u8")[0])
-            keys.append(_unfive(block[8 : 8 + 5 * n]))
-            counts.append(_unsmall(block[8 + 5 * n :], n))
-        k, c = _sum_by(np.concatenate(keys), np.concatenate(counts))
-        made = _write(folder, f"cont-{bucket}", {"word": k, "cont": c.astype(np.uint32 if c.max() < 2**32 else U)})
-        facts = np.array(_of_counts(c) + [int((c >= 3).sum()), int(c.sum())], "<u8").tobytes()
-        return pa.Table.from_batches([_rows([("cfile", bucket, made.encode()), ("cfacts", bucket, facts)])])
+        bucket = key[0].as_py()
+        by: dict = {}
+        rows = []
+        for kind, block, number, facts in zip(*(table.column(c).to_pylist() for c in ("kind", "block", "key", "facts"))):
+            if kind == "f":
+                rows.append((kind, bucket, None, number, facts))
+            else:
+                by.setdefault((kind, number), []).append(block)
+        arrays = {}
+        words, conts = [], []
+        if ("c", 0) in by:
+            (w,), (n,) = _together(by.pop(("c", 0)))
+            words.append(w)
+            conts.append(n)
+        if ("h", 0) in by:
+            cols, counts = _together(by.pop(("h", 0)))
+            (v, w), (n,) = _distinct(cols, counts)
+            arrays |= _counted("h2", _low(_gram_key(_context_key([v]), w)), n)
+            rows.append(_fact("f", bucket, 2, _of_counts(n)))
+            (found,), stats = _context_stats([v], n)
+            rows += [_fact("hot", bucket, int(x), s) for x, s in zip(found, stats)]
+            words.append(w)
+            conts.append(np.ones(len(w), np.int64))
+        for (_, k), blocks in by.items():
+            found, stats = _distinct(*_together(blocks))
+            arrays |= _classed(f"x{k}", _low(_context_key(found)), np.stack(stats, axis=1))
+        if words:
+            w, n = _sum_by(np.concatenate(words), np.concatenate(conts))
+            arrays |= _counted("cont", _low(tk.mix(w)), n)
+            rows.append(_fact("f", bucket, 1, [*_of_counts(n), (n >= 3).sum(), n.sum()]))
+        if arrays:
+            _write(folder, f"parts-{bucket}", arrays)
+        return pa.Table.from_batches([_rows(rows)])
 
     return run
 
@@ -291,60 +492,84 @@ def discounts(n: list[int]) -> np.ndarray:
 
 
 class KneserNey:
-    """Names of the stored arrays and the model's global figures; opened by memory mapping."""
+    """Where the stored arrays are, and the model's global figures; files are memory-mapped."""
 
-    def __init__(self, folder: str, buckets: int):
-        self.folder, self.buckets = folder, buckets
-        self.words, self.pairs, self.conts = {}, {}, {}
-        self.tokens = self.distinct = self.texts = 0
+    def __init__(self, folder: str, buckets: int, order: int):
+        self.folder, self.buckets, self.order = folder, buckets, order
+        self.tokens = self.distinct = 0
+        #: Frequent words, sorted, and ``(total, n1, n2, n3+)`` of each as a context.
         self.hot = np.zeros(0, U)
-        self.hot_classes = np.zeros((0, 3), np.int64)
-        self.d_pair = self.d_uni = discounts([0, 0, 0, 0])
+        self.hot_stats = np.zeros((0, 4), np.int64)
+        self.d = {k: discounts([0, 0, 0, 0]) for k in range(1, order + 1)}
         self.uni_total, self.uni_mass = 0, 0.0
-        self._open: dict = {}
+        self._open: OrderedDict = OrderedDict()
 
     def __getstate__(self):
         return {k: v for k, v in self.__dict__.items() if k != "_open"}
 
     def __setstate__(self, state):
-        self.__dict__ = state | {"_open": {}}
-
-    def _arrays(self, made: str | None) -> dict | None:
-        if made is None:
-            return None
-        if made not in self._open:
-            path, _, parts = made.partition("|")
-            local = _local_file(self.folder, path)
-            got = {}
-            for p in parts.split(","):
-                name, kind, n, at = p.split(":")
-                got[name] = np.memmap(local, dtype=np.dtype(kind), mode="r", offset=int(at), shape=(int(n),)) if int(n) else np.zeros(0, np.dtype(kind))
-            self._open[made] = got
-        return self._open[made]
-
-    def _lookup(self, files: dict, bucket: np.ndarray, keys: np.ndarray, key_name: str, read) -> np.ndarray:
-        """``read(arrays, positions, found)`` for the keys of each bucket; zeros elsewhere."""
-        out = None
-        order = np.argsort(bucket, kind="stable")
-        cut = np.searchsorted(bucket[order], np.arange(self.buckets + 1))
-        for i in range(self.buckets):
-            at = order[cut[i] : cut[i + 1]]
-            arrays = self._arrays(files.get(i)) if len(at) else None
-            if arrays is None or not len(arrays[key_name]):
+        self.__dict__ = state | {"_open": OrderedDict()}
+
+    def _arrays(self, name: str) -> dict:
+        if name in self._open:
+            self._open.move_to_end(name)
+            return self._open[name]
+        local = _local_file(self.folder, name)
+        got = {}
+        if local is not None:
+            with open(local, "rb") as f:
+                size = int(np.frombuffer(f.read(8), "<u8")[0])
+                about = json.loads(f.read(size))
+            whole = np.memmap(local, np.uint8, "r")
+            for key, (kind, n, at) in about.items():
+                got[key] = whole[8 + size + at : 8 + size + at + n * np.dtype(kind).itemsize].view(kind)
+        self._open[name] = got
+        while len(self._open) > OPEN:
+            self._open.popitem(last=False)
+        return got
+
+    def _lookup(self, stem: str, table: str, bucket: np.ndarray, keys: np.ndarray, read, width: int = 0) -> np.ndarray:
+        """``read(arrays, table, positions)`` for the keys that their bucket holds, 0 for others."""
+        out = np.zeros((len(keys), width) if width else len(keys), np.int64)
+        order = np.lexsort((keys, bucket))
+        own, first = np.unique(bucket[order], return_index=True)
+        for b, at in zip(own.tolist(), np.split(order, first[1:])):
+            arrays = self._arrays(f"{stem}-{b}")
+            if not len(arrays.get(table, ())):
                 continue
-            q = np.sort(keys[at])
-            at = at[np.argsort(keys[at], kind="stable")]
-            pos = np.searchsorted(arrays[key_name], q)
-            pos[pos == len(arrays[key_name])] = 0
-            hit = arrays[key_name][pos] == q
-            got = read(arrays, pos[hit])
-            if out is None:
-                out = np.zeros((len(keys), *got.shape[1:]), np.float64)
-            out[at[hit]] = got
-        return np.zeros(len(keys)) if out is None else out
+            q, have = keys[at], arrays[table]
+            pos = np.searchsorted(have, q)
+            pos[pos == len(have)] = 0
+            hit = have[pos] == q
+            out[at[hit]] = read(arrays, table, pos[hit])
+        return out
 
     def counts(self, words: np.ndarray) -> np.ndarray:
-        return self._lookup(self.words, _bucket_of(_short(words), self.buckets), words, "hash", lambda a, p: a["count"][p].astype(np.float64))
+        return self._lookup("words", "hash", _bucket_of(_short(words), self.buckets), words, lambda a, _, p: a["count"][p].astype(np.int64))
+
+    def _grams(self, k: int, cols: list[np.ndarray], w: np.ndarray, key: np.ndarray, hot: np.ndarray) -> np.ndarray:
+        out = np.zeros(len(w), np.int64)
+        for which, frequent in ((np.flatnonzero(~hot), False), (np.flatnonzero(hot), True)):
+            if not len(which):
+                continue
+            if not frequent:
+                place, stem, table = cols[0][which], "grams", f"g{k}"
+            elif k == 2:
+                place, stem, table = w[which], "parts", "h2"
+            else:
+                place, stem, table = _spread([c[which] for c in cols], w[which]), "grams", f"g{k}"
+            out[which] = self._lookup(stem, table, _bucket_of(place, self.buckets), _low(key[which]), _read_counts)
+        return out
+
+    def _stats(self, k: int, cols: list[np.ndarray], key: np.ndarray, hot: np.ndarray) -> np.ndarray:
+        out = np.zeros((len(key), 4), np.int64)
+        cold, often = np.flatnonzero(~hot), np.flatnonzero(hot)
+        out[cold] = self._lookup("grams", f"x{k}", _bucket_of(cols[0][cold], self.buckets), _low(key[cold]), _read_classes, 4)
+        if k == 2:
+            out[often] = self.hot_stats[np.searchsorted(self.hot, cols[0][often])]
+        else:
+            out[often] = self._lookup("parts", f"x{k}", _bucket_of(key[often], self.buckets), _low(key[often]), _read_classes, 4)
+        return out
 
     def score(self, tokens: np.ndarray, ptr: np.ndarray):
         """Of each row: known tokens, base and model log10 probability."""
@@ -355,115 +580,90 @@ class KneserNey:
         known = np.add.reduceat((c > 0)[inv].astype(np.int64), starts)
         total = np.add.reduceat(base[inv], starts)
         short = _short(uniq)
-        cont = self._lookup(self.conts, _bucket_of(short, self.buckets), short, "word", lambda a, p: a["cont"][p].astype(np.float64))
         uni = np.full(len(uniq), 1.0 / (self.distinct + 1))
         if self.uni_total:
-            uni = np.maximum(cont - self.d_uni[np.minimum(cont, 3).astype(int)], 0) / self.uni_total + self.uni_mass / self.uni_total * uni
-        # contexts: of all tokens but the ends, and the beginning
-        ctx = _contexts(tokens, ptr)
-        cu, cinv = np.unique(ctx, return_inverse=True)
-        cc = np.where(cu == BEGIN, float(self.texts), self.counts(cu))
-        cs = _short(cu)
-        classes = self._lookup(self.pairs, _bucket_of(cs, self.buckets), cs, "ctx", lambda a, p: np.stack([a["n1"][p], a["n2"][p], a["n3"][p]], axis=1).astype(np.float64))
-        if classes.ndim == 1:
-            classes = np.zeros((len(cu), 3))
-        if len(self.hot):
-            at = np.searchsorted(self.hot, cs)
-            at[at == len(self.hot)] = 0
-            is_hot = self.hot[at] == cs
-            classes[is_hot] = self.hot_classes[at[is_hot]]
-        else:
-            is_hot = np.zeros(len(cu), bool)
-        mass = classes @ self.d_pair[1:]
-        pu, pinv = np.unique((cinv.astype(U) << U(32)) | inv.astype(U), return_inverse=True)
-        pc, pw = (pu >> U(32)).astype(np.int64), (pu & U(0xFFFFFFFF)).astype(np.int64)
-        key = pair_key(cs[pc], short[pw])
-        where = np.where(is_hot[pc], _bucket_of(short[pw], self.buckets), _bucket_of(cs[pc], self.buckets))
-
-        def read(a, p):
-            n = a["count"][p].astype(np.float64)
-            full = np.flatnonzero(n == 255)
-            if len(full):
-                n[full] = a["big"][np.searchsorted(a["big_at"], p[full].astype(U))]
-            return n
-
-        n = self._lookup(self.pairs, where, key, "pair", read)
-        seen = cc[pc] > 0
-        high = np.maximum(n - self.d_pair[np.minimum(n, 3).astype(int)], 0)
-        denom = np.maximum(cc[pc], 1)
-        p = np.where(seen, high / denom + mass[pc] / denom * uni[pw], uni[pw])
-        return known, total, np.add.reduceat(np.log10(p)[pinv], starts)
-
-
-def _local_file(folder: str, name: str) -> str:
+            cont = self._lookup("parts", "cont", _bucket_of(short, self.buckets), _low(tk.mix(short)), _read_counts)
+            uni = np.maximum(cont - self.d[1][np.minimum(cont, 3)], 0) / self.uni_total + self.uni_mass / self.uni_total * uni
+        p, word = uni[inv], short[inv]
+        before = _contexts(word, ptr, self.order - 1)
+        context = None
+        for k in range(2, self.order + 1):
+            far = before[k - 2]
+            context = tk.mix(far) if context is None else tk.mix(context * _MUL + far)
+            at = np.flatnonzero(far != 0)
+            if not len(at):
+                break
+            g, g_first, g_of = np.unique(_gram_key(context[at], word[at]), return_index=True, return_inverse=True)
+            x, x_first, x_of = np.unique(context[at], return_index=True, return_inverse=True)
+            pick = lambda first: [b[at[first]] for b in before[: k - 1]]  # noqa: E731,B023
+            cols = pick(x_first)
+            stats = self._stats(k, cols, x, _in(cols[0], self.hot))
+            cols = pick(g_first)
+            n = self._grams(k, cols, word[at[g_first]], g, _in(cols[0], self.hot))
+            high = np.maximum(n - self.d[k][np.minimum(n, 3)], 0)[g_of]
+            denom, mass = stats[x_of, 0], (stats[:, 1:] @ self.d[k][1:])[x_of]
+            p[at] = np.where(denom > 0, (high + mass * p[at]) / np.maximum(denom, 1), p[at])
+        return known, total, np.add.reduceat(np.log10(p), starts)
+
+
+def _local_file(folder: str, name: str) -> str | None:
     """A path that can be mapped: the shared file itself, or a copy where the shared folder is
-    no file system of this machine."""
-    import os
+    no file system of this machine; None where there is no such file."""
     import tempfile
 
     filesystem, root = _open_fs(folder)
     if filesystem.type_name == "local":
-        return f"{root}/{name}"
-    copy = os.path.join(tempfile.gettempdir(), name)
+        return f"{root}/{name}" if os.path.exists(f"{root}/{name}") else None
+    copy = os.path.join(tempfile.gettempdir(), f"{folder.rstrip('/').rsplit('/', 1)[-1]}-{name}")
     if not os.path.exists(copy):
-        with filesystem.open_input_stream(f"{root}/{name}") as src, open(copy + ".part", "wb") as out:
+        if filesystem.get_file_info(f"{root}/{name}").size is None:
+            return None
+        part = f"{copy}.{uuid.uuid4().hex}"
+        with filesystem.open_input_stream(f"{root}/{name}") as src, open(part, "wb") as out:
             while chunk := src.read(8 << 20):
                 out.write(chunk)
-        os.replace(copy + ".part", copy)
+        os.replace(part, copy)
     return copy
 
 
-def fit(docs: DataFrame, where=None, bucket_bytes: int = BUCKET) -> KneserNey:
-    """Counts the texts of ``docs`` (those of ``where``) and stores the model."""
+def _sums(df: DataFrame) -> list:
+    """Facts summed by kind and key, ``(kind, key, list)``: rows for sums and frequent words."""
+    wide = df.groupBy("kind", "key").agg(*[F.sum(F.expr(f"coalesce(get(facts, {i}), 0L)")).alias(f"f{i}") for i in range(6)])
+    return [(r["kind"], r["key"], [r[f"f{i}"] for i in range(6)]) for r in wide.collect()]
+
+
+def fit(docs: DataFrame, where=None, bucket_bytes: int = BUCKET, order: int = ORDER) -> KneserNey:
+    """Counts the texts of ``docs`` (those of ``where``) and stores the model of the given order
+    (2 at least)."""
     spark = docs.sparkSession
     rows = docs if where is None else docs.where(where)
     rows = rows.select(F.col("text").cast("string").alias("text"))
-    size = rows.agg(F.sum(F.octet_length("text")), F.count(F.lit(1))).first()
-    buckets = max(8, -(-int(size[0] or 0) // bucket_bytes))
+    size = rows.agg(F.sum(F.octet_length("text"))).first()[0]
+    buckets = max(8, -(-int(size or 0) // bucket_bytes))
     folder = shared_path(spark, "ngrams")
     filesystem, root = _open_fs(folder)
     filesystem.create_dir(root, recursive=True)
-    model = KneserNey(folder, buckets)
-    model.texts = int(size[1])
-    top = []
-    dealt = rows.mapInArrow(_count_words(buckets), SHAPE).repartition(buckets, "bucket")
-    for r in dealt.groupBy("kind", "bucket").applyInArrow(_merge_words(folder), SHAPE).collect():
-        if r["kind"] == "file":
-            model.words[r["bucket"]] = r["block"].decode()
-        elif r["kind"] == "facts":
-            n, total = (int(x) for x in np.frombuffer(r["block"], "<u8"))
-            model.distinct += n
-            model.tokens += total
+    model = KneserNey(folder, buckets, order)
+    # a word is frequent if its occurrences would fill a bucket (words of six bytes)
+    words = rows.mapInArrow(_count_words(buckets), SHAPE).repartition(buckets, "bucket")
+    hot = [int(_SHORT_BEGIN)]
+    for kind, key, f in _sums(words.groupBy("bucket").applyInArrow(_merge_words(folder, bucket_bytes // 6), SHAPE)):
+        if kind == "words":
+            model.distinct, model.tokens = f[:2]
+        else:
+            hot.append(key)
+    model.hot = np.unique(np.array(hot, U))
+    model.hot_stats = np.zeros((len(model.hot), 4), np.int64)
+    counted = rows.mapInArrow(_count_grams(order, buckets, model.hot), SHAPE).repartition(buckets, "bucket")
+    merged = counted.groupBy("bucket").applyInArrow(_merge_grams(folder, order, buckets, model.hot), SHAPE).repartition(buckets, "bucket")
+    for kind, key, f in _sums(merged.groupBy("bucket").applyInArrow(_merge_parts(folder), SHAPE)):
+        if kind == "hot":
+            model.hot_stats[np.searchsorted(model.hot, U(key))] = f[:4]
         else:
-            top += zip(*np.split(np.frombuffer(r["block"], "<u8"), 2))
-    # the beginning is a context of every text
-    top.append((int(BEGIN), model.texts))
-    busy = sorted(((int(c), int(h)) for h, c in top if int(h) != int(END) and c > model.tokens / (4 * buckets)), reverse=True)[: 4 * buckets]
-    hot = np.unique(_short(np.array([h for _, h in busy], U)))
-    counted = rows.mapInArrow(_count_pairs(buckets, hot), SHAPE).repartition(buckets, "bucket")
-    merged = counted.groupBy("kind", "bucket").applyInArrow(_merge_pairs(folder, buckets, hot), SHAPE).repartition(buckets, "bucket")
-    pair_n, uni_n = [0] * 5, [0] * 6
-    classes: dict[int, np.ndarray] = {}
-    for r in merged.groupBy("kind", "bucket").applyInArrow(_merge_continuations(folder), SHAPE).collect():
-        kind, block = r["kind"], r["block"]
-        if kind == "file":
-            model.pairs[r["bucket"]] = block.decode()
-        elif kind == "cfile":
-            model.conts[r["bucket"]] = block.decode()
-        elif kind == "facts":
-            pair_n = [a + int(b) for a, b in zip(pair_n, np.frombuffer(block, "<u8"))]
-        elif kind == "cfacts":
-            uni_n = [a + int(b) for a, b in zip(uni_n, np.frombuffer(block, "<u8"))]
-        elif kind == "hot":
-            v = np.frombuffer(block, "<u8")
-            k = len(v) // 4
-            for name, cl in zip(v[:k], v[k:].reshape(k, 3)):
-                classes[int(name)] = classes.get(int(name), np.zeros(3, np.int64)) + cl.astype(np.int64)
-    model.d_pair, model.d_uni = discounts(pair_n), discounts(uni_n)
-    model.uni_total = uni_n[5]
-    model.uni_mass = float(model.d_uni[1] * uni_n[0] + model.d_uni[2] * uni_n[1] + model.d_uni[3] * uni_n[4])
-    model.hot = np.array(sorted(classes), U)
-    model.hot_classes = np.array([classes[int(h)] for h in model.hot], np.int64).reshape(-1, 3)
+            model.d[key] = discounts(f)
+            if key == 1:
+                model.uni_total = f[5]
+                model.uni_mass = float(model.d[1][1] * f[0] + model.d[1][2] * f[1] + model.d[1][3] * f[4])
     return model
 
 

@@ -63,7 +63,7 @@ def op8_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_kneser_ney(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Scores of every document by a bigram model of those whose crc32 mod 7 is not 2."""
+    """Scores of every document by a trigram model of those whose crc32 mod 7 is not 2."""
     docs = _table(spark, sf_dir, "documents")
     held = textkit.crc_mod("doc_id", 7) == 2
     out = kneser_ney.score(docs, kneser_ney.fit(docs, ~held))
