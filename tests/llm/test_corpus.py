@@ -550,42 +550,67 @@ def test_hexadecimal_secrets_of_either_case(spark):
 
 
 # -- 9 language model ----------------------------------------------------------------------
-def test_kneser_ney_against_plain_python(spark):
+@pytest.mark.parametrize("order", [2, 3, 4])
+def test_kneser_ney_against_plain_python(spark, order, monkeypatch):
     rng = random.Random(9)
-    rows = [(i, " ".join(rng.choice("a b c d e f g hh ii jj".split()) for _ in range(rng.randint(0, 60)))) for i in range(80)] + [(80, None), (81, "A B never seen"), (82, "a " * 3000)]
+    rows = [(i, " ".join(rng.choice("a b c d e f g hh ii jj".split()) for _ in range(rng.randint(0, 60)))) for i in range(80)] + [(80, None), (81, "A B never seen"), (82, "a " * 3000), (83, "b"), (None, "c d c d")]
     docs = clashing(frame(spark, rows))
+    monkeypatch.setattr(kneser_ney, "OPEN", 3)
     for where, size in ((textkit.crc_mod("doc_id", 7) != 2, 500), (None, 1 << 24)):
-        model = kneser_ney.fit(docs, where, size)
+        model = kneser_ney.fit(docs, where, size, order)
+        assert (len(model.hot) > 1) == (size == 500)
         got = {r["doc_id"]: r for r in kneser_ney.score(docs, model).collect()}
         toks = {d: words(t) + ["</s>"] for d, t in rows}
-        train = [d for d, _ in rows if where is None or zlib.crc32(str(d).encode()) % 7 != 2]
-        uc, bc = Counter(), Counter()
-        for d in train:
-            uc.update(toks[d])
-            bc.update(zip(["<s>"] + toks[d][:-1], toks[d]))
+        train = [d for d, _ in rows if where is None or zlib.crc32(("" if d is None else str(d)).encode()) % 7 != 2]
+        uc = Counter(w for d in train for w in toks[d])
         n, v = sum(uc.values()), len(uc)
-        uc["<s>"] = len(train)
-        cl, cont = defaultdict(lambda: [0, 0, 0]), Counter()
-        for (a, b), c in bc.items():
-            cl[a][min(c, 3) - 1] += 1
-            cont[b] += 1
-        dp, du = (kneser_ney.discounts([sum(x == k for x in t.values()) for k in (1, 2, 3, 4)]) for t in (bc, cont))
-        total, mass = sum(cont.values()), sum(du[min(x, 3)] for x in cont.values())
-        uni = lambda w: (max(cont[w] - du[min(cont[w], 3)], 0) + mass / (v + 1)) / total
-
-        def prob(a, b):
-            return uni(b) if not uc[a] else (max(bc[a, b] - dp[min(bc[a, b], 3)], 0) + sum(x * y for x, y in zip(dp[1:], cl[a])) * uni(b)) / uc[a]
-
-        assert math.isclose(sum(prob("a", w) for w in uc if w != "<s>") + prob("a", "?"), 1)
+
+        def grams(t, order=order):
+            t = ["<s>", *t]
+            return [tuple(t[max(0, i - order + 1) : i + 1]) for i in range(1, len(t))]
+
+        level = {order: Counter()}
+        begun = defaultdict(Counter)
+        for d in train:
+            for g in grams(toks[d]):
+                (level[order] if len(g) == order else begun[len(g)])[g] += 1
+        for k in range(order - 1, 0, -1):
+            level[k] = begun[k] + Counter(g[1:] for g in level[k + 1])
+        disc = {k: kneser_ney.discounts([sum(x == c for x in level[k].values()) for c in (1, 2, 3, 4)]) for k in level}
+        ctx, classes = Counter(), defaultdict(lambda: [0, 0, 0])
+        for k in level:
+            for g, c in level[k].items():
+                ctx[k, g[:-1]] += c
+                classes[k, g[:-1]][min(c, 3) - 1] += 1
+
+        def prob(g):
+            k = len(g)
+            low = prob(g[1:]) if k > 1 else 1 / (v + 1)
+            at = (k, g[:-1])
+            if not ctx[at]:
+                return low
+            c = level[k][g]
+            return (max(c - disc[k][min(c, 3)], 0) + sum(x * y for x, y in zip(disc[k][1:], classes[at])) * low) / ctx[at]
+
+        for start in (("a",) * (order - 1), ("<s>",), ("b", "hh", "a")[-order + 1 :], ("nothing",)):
+            assert math.isclose(sum(prob((*start, w)) for w in uc) + prob((*start, "?")), 1)
         for d, t in toks.items():
             r = got[d]
             assert (r["n_tokens"], r["n_known"], r["train_tokens"]) == (len(t), sum(uc[w] > 0 for w in t), n)
             assert math.isclose(r["base_score"], sum(math.log10((uc[w] + 1) / (n + v + 1)) for w in t), rel_tol=1e-9)
-            assert math.isclose(r["score"], sum(math.log10(prob(a, b)) for a, b in zip(["<s>"] + t[:-1], t)), rel_tol=1e-9)
-    empty = kneser_ney.fit(docs.limit(0))
+            assert math.isclose(r["score"], sum(math.log10(prob(g)) for g in grams(t)), rel_tol=1e-9), (order, size, d)
+    empty = kneser_ney.fit(docs.limit(0), order=order)
     assert all(r["base_score"] == 0 and math.isfinite(r["score"]) for r in kneser_ney.score(docs, empty).collect())
 
 
+def test_ngrams_of_many_words_pack_either_way(monkeypatch):
+    rng = np.random.default_rng(1)
+    cols = [rng.integers(0, 1 << 40, 500, dtype=np.uint64) for _ in range(3)]
+    counts = [rng.integers(0, 1000, 500), np.ones(500, np.int64)]
+    back, n = kneser_ney._unpack(kneser_ney._pack(cols, counts))
+    assert all((a == b).all() for a, b in zip(cols + counts, back + n))
+
+
 # -- 10 decontamination --------------------------------------------------------------------
 def test_contamination_is_found_with_substitutions(spark):
     rng = random.Random(10)
