@@ -1,8 +1,8 @@
 """Language-model scoring with an interpolated modified Kneser-Ney n-gram model of any order.
 
 Counting runs in Spark: tasks count words, and then n-grams of the order, of their own texts
-with array sorts and ship one packed block per hash bucket (distinct n-grams as ranks in the
-block's own vocabulary, compressed). Buckets are merged by array sorts again. N-grams are dealt
+with array sorts and ship one packed block per bucket (distinct n-grams as word numbers, small for
+frequent words, in compressed byte planes). Buckets are merged by array sorts again. N-grams are dealt
 by the last word of their context, so the counts of all lower orders (distinct left extensions)
 and all contexts' statistics arise in the same bucket without another shuffle. The few words
 that occur more often than a bucket holds tokens are dealt by the word before and the word
@@ -14,7 +14,7 @@ by its number; scoring tasks memory-map the files that their batch needs, at mos
 time, in order, and look up whole batches by binary search. Nothing that grows with the corpus
 passes through the driver but the list of those frequent words: it sees sums. N-grams and
 contexts are known by 32 bits of hash within their bucket of about a million, so about one in
-four thousand unseen n-grams is taken for another; words by 64 bits, and by 40 in n-grams.
+four thousand unseen n-grams is taken for another; words are known by 64 bits.
 
 Tokens are words (A-Z lowered) and one end per text. An n-gram's probability is its count less a
 discount of its class (1, 2, 3 and more) over its context's count, plus the discounts' mass
@@ -44,12 +44,14 @@ from .state import shared_path
 from .warc import _open_fs
 
 U = np.uint64
-END, BEGIN = U(0x1111111111111111), U(0x2222222222222222)
+END = U(0x1111111111111111)
 #: Text bytes of a bucket, about; tokens that a task counts before it ships them; mapped files.
 BUCKET, FLUSH, OPEN = 8 << 20, 5_000_000, 256
 ORDER = 3
-_SHORT_BEGIN = BEGIN >> U(24)
 _MUL = U(0x9E3779B97F4A7C15)
+#: Word numbers in n-grams: nothing (beyond the beginning), the beginning, a word that the
+#: training text lacks; known words follow from 2.
+NONE, BEGUN, UNKNOWN = U(0), U(1), U((1 << 64) - 1)
 
 
 def _short(h: np.ndarray) -> np.ndarray:
@@ -60,14 +62,9 @@ def _bucket_of(short: np.ndarray, buckets: int) -> np.ndarray:
     return (short % U(buckets)).astype(np.int64)
 
 
-def _five(x: np.ndarray) -> bytes:
-    return np.ascontiguousarray(x.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :5]).tobytes()
-
-
-def _unfive(b: bytes) -> np.ndarray:
-    out = np.zeros((len(b) // 5, 8), np.uint8)
-    out[:, :5] = np.frombuffer(b, np.uint8).reshape(-1, 5)
-    return out.view("<u8").ravel().astype(U)
+def _dealt(number: np.ndarray, buckets: int) -> np.ndarray:
+    """The bucket of a word number (or of any other)."""
+    return ((number - U(2)) % U(buckets)).astype(np.int64)
 
 
 def _small(counts: np.ndarray) -> bytes:
@@ -109,15 +106,15 @@ def _tokens(column) -> tuple[np.ndarray, np.ndarray]:
     return out, out_ptr
 
 
-def _contexts(short: np.ndarray, ptr: np.ndarray, n: int) -> list[np.ndarray]:
-    """The ``n`` words before each token, nearest first; 0 beyond the beginning."""
-    place = np.arange(len(short)) - np.repeat(ptr[:-1], np.diff(ptr))
+def _contexts(word: np.ndarray, ptr: np.ndarray, n: int, nothing, begun) -> list[np.ndarray]:
+    """The ``n`` words before each token, nearest first."""
+    place = np.arange(len(word)) - np.repeat(ptr[:-1], np.diff(ptr))
     out = []
     for j in range(1, n + 1):
-        before = np.zeros_like(short)
-        before[j:] = short[:-j] if j < len(short) else short[:0]
-        before[place < j] = 0
-        before[place == j - 1] = _SHORT_BEGIN
+        before = np.full(len(word), nothing, word.dtype)
+        before[j:] = word[:-j] if j < len(word) else word[:0]
+        before[place < j] = nothing
+        before[place == j - 1] = begun
         out.append(before)
     return out
 
@@ -150,7 +147,7 @@ def _spread(cols: list[np.ndarray], w: np.ndarray) -> np.ndarray:
     """What n-grams with a frequent last context word are dealt by."""
     if len(cols) < 2:
         return w
-    return np.where(cols[1] == 0, w, tk.mix(cols[1] + tk.mix(w) * _MUL))
+    return np.where(cols[1] == NONE, w, tk.mix(cols[1] + tk.mix(w) * _MUL))
 
 
 _FIELDS = pa.schema([("kind", pa.string()), ("bucket", pa.int32()), ("block", pa.binary()), ("key", pa.int64()), ("facts", pa.list_(pa.int64()))])
@@ -167,37 +164,56 @@ def _fact(kind: str, bucket: int, key: int, values) -> tuple:
     return kind, bucket, None, key, [int(v) for v in values]
 
 
+def _planes(x: np.ndarray) -> bytes:
+    """Numbers as byte planes, as many as the largest needs."""
+    width = max(1, -(-int(x.max()).bit_length() // 8)) if len(x) else 1
+    return bytes([width]) + np.ascontiguousarray(x.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :width].T).tobytes()
+
+
+def _unplanes(b: bytes, at: int, n: int) -> tuple[np.ndarray, int]:
+    width = b[at]
+    out = np.zeros((n, 8), np.uint8)
+    out[:, :width] = np.frombuffer(b, np.uint8, width * n, at + 1).reshape(width, n).T
+    return out.view("<u8").ravel().astype(U), at + 1 + width * n
+
+
 def _pack(cols: list[np.ndarray], counts: list[np.ndarray]) -> bytes:
-    """Rows of words and counts: words as ranks by frequency, byte planes, compressed."""
-    n, k = len(cols[0]), len(cols)
-    words, rank, times = np.unique(np.concatenate(cols), return_inverse=True, return_counts=True)
-    order = np.argsort(-times, kind="stable")
-    place = np.empty(len(words), np.int64)
-    place[order] = np.arange(len(words))
-    ranks = place[rank].astype("<u4").reshape(k, n)
-    width = 1 if len(words) <= 1 << 8 else 2 if len(words) <= 1 << 16 else 3 if len(words) <= 1 << 24 else 4
-    planes = b"".join(np.ascontiguousarray(ranks[j].view(np.uint8).reshape(n, 4)[:, b]).tobytes() for j in range(k) for b in range(width))
-    body = planes + b"".join(_small(c) for c in counts)
-    return np.array([n, k, len(counts), len(words), width, len(body)], "<u8").tobytes() + _five(words[order]) + pa.compress(body, codec="zstd", asbytes=True)
+    """Sorted rows of word numbers and counts. Of each column only what differs from the row
+    before is stored, with the lengths of the runs."""
+    n = len(cols[0])
+    new, parts, sizes = np.zeros(n, bool), [], [n, len(cols), len(counts)]
+    new[:1] = True
+    for i, c in enumerate(cols):
+        if i < len(cols) - 1:
+            new[1:] |= c[1:] != c[:-1]
+            at = np.flatnonzero(new)
+            sizes.append(len(at))
+            parts += [_planes(c[at]), _small(np.diff(np.append(at, n)))]
+        else:
+            parts.append(_planes(c))
+    body = b"".join(parts + [_small(c) for c in counts])
+    head = np.array([*sizes, len(body)], "<u8").tobytes()
+    return np.uint64(len(head)).tobytes() + head + pa.compress(body, codec="zstd", asbytes=True)
 
 
 def _unpack(block: bytes) -> tuple[list[np.ndarray], list[np.ndarray]]:
-    n, k, many, v, width, size = (int(x) for x in np.frombuffer(block[:48], "<u8"))
-    words = _unfive(block[48 : 48 + 5 * v])
-    body = pa.decompress(block[48 + 5 * v :], decompressed_size=size, codec="zstd", asbytes=True)
-    cols, at = [], 0
-    for _ in range(k):
-        rank = np.zeros((n, 4), np.uint8)
-        for b in range(width):
-            rank[:, b] = np.frombuffer(body[at : at + n], np.uint8)
-            at += n
-        cols.append(words[rank.view("<u4").ravel()])
-    counts = []
-    for _ in range(many):
+    size = int(np.frombuffer(block[:8], "<u8")[0])
+    n, k, many, *runs, length = (int(x) for x in np.frombuffer(block[8 : 8 + size], "<u8"))
+    body = pa.decompress(block[8 + size :], decompressed_size=length, codec="zstd", asbytes=True)
+    at = 0
+
+    def small(m):
+        nonlocal at
         big = int(np.frombuffer(body[at : at + 8], "<u8")[0])
-        counts.append(_unsmall(body[at : at + 8 + n + 8 * big], n))
-        at += 8 + n + 8 * big
-    return cols, counts
+        out = _unsmall(body[at : at + 8 + m + 8 * big], m)
+        at += 8 + m + 8 * big
+        return out
+
+    cols = []
+    for i in range(k):
+        c, at = _unplanes(body, at, runs[i] if i < k - 1 else n)
+        cols.append(np.repeat(c, small(runs[i])) if i < k - 1 else c)
+    return cols, [small(n) for _ in range(many)]
 
 
 def _together(blocks: list[bytes]) -> tuple[list[np.ndarray], list[np.ndarray]]:
@@ -205,20 +221,32 @@ def _together(blocks: list[bytes]) -> tuple[list[np.ndarray], list[np.ndarray]]:
     return [np.concatenate(x) for x in zip(*(p[0] for p in parts))], [np.concatenate(x) for x in zip(*(p[1] for p in parts))]
 
 
+def _code(cols: list[np.ndarray]) -> np.ndarray:
+    """One number a row that orders rows as their columns do."""
+    code, size = cols[0], int(cols[0].max(initial=0)) + 1
+    for c in cols[1:]:
+        m = int(c.max(initial=0)) + 1
+        if size * m >= 1 << 63:
+            found, code = np.unique(code, return_inverse=True)
+            code, size = code.astype(U), len(found)
+            if size * m >= 1 << 63:
+                found, c = np.unique(c, return_inverse=True)
+                c, m = c.astype(U), len(found)
+        code, size = code * U(m) + c, size * m
+    return code
+
+
 def _distinct(cols: list[np.ndarray], counts: list[np.ndarray]) -> tuple[list[np.ndarray], list[np.ndarray]]:
     """Sorted distinct rows and the sums of their counts."""
-    order = np.lexsort(cols[::-1])
-    cols = [c[order] for c in cols]
-    new = np.zeros(len(order), bool)
-    new[:1] = True
-    for c in cols:
-        new[1:] |= c[1:] != c[:-1]
-    first = np.flatnonzero(new)
-    return [c[first] for c in cols], [np.add.reduceat(c[order], first) if len(first) else c for c in counts]
+    code = _code(cols)
+    order = np.argsort(code)
+    code = code[order]
+    first = np.flatnonzero(np.concatenate(([True], code[1:] != code[:-1]))) if len(code) else order
+    return [c[order[first]] for c in cols], [np.add.reduceat(c[order], first) if len(first) else c for c in counts]
 
 
 def _blocks(kind: str, bucket: np.ndarray, cols: list[np.ndarray], counts: list[np.ndarray], key: int = 0):
-    """One packed row for each bucket."""
+    """One packed row for each bucket; the rows are sorted."""
     order = np.argsort(bucket, kind="stable")
     own, first = np.unique(bucket[order], return_index=True)
     for b, at in zip(own.tolist(), np.split(order, first[1:])):
@@ -314,7 +342,12 @@ def _read_classes(a: dict, name: str, pos: np.ndarray) -> np.ndarray:
     return out
 
 
-def _merge_words(folder: str, frequent: int):
+def _number(rank, bucket, buckets: int):
+    """A word's number in n-grams; its bucket is the number's remainder, less 2."""
+    return rank * buckets + bucket + 2
+
+
+def _merge_words(folder: str, frequent: int, buckets: int):
     def run(key, table):
         bucket = key[0].as_py()
         keys, counts = [], []
@@ -323,51 +356,34 @@ def _merge_words(folder: str, frequent: int):
             keys.append(np.frombuffer(block[8 : 8 + 8 * n], "<u8").astype(U))
             counts.append(_unsmall(block[8 + 8 * n :], n))
         k, c = _sum_by(np.concatenate(keys), np.concatenate(counts))
-        _write(folder, f"words-{bucket}", {"hash": k, "count": c.astype(np.uint32 if c.max() < 2**32 else U)})
+        # frequent words have small numbers
+        rank = np.empty(len(k), np.uint32)
+        rank[np.argsort(-c, kind="stable")] = np.arange(len(k))
+        _write(folder, f"words-{bucket}", {"hash": k, "count": c.astype(np.uint32 if c.max() < 2**32 else U), "rank": rank})
         rows = [_fact("words", bucket, 0, [len(k), c.sum()])]
-        rows += [_fact("hot", bucket, int(k[i] >> U(24)), [1]) for i in np.flatnonzero(c > frequent) if k[i] != END]
+        rows += [_fact("hot", bucket, _number(int(rank[i]), bucket, buckets), [1]) for i in np.flatnonzero(c > frequent) if k[i] != END]
         return pa.Table.from_batches([_rows(rows)])
 
     return run
 
 
-def _count_grams(order: int, buckets: int, hot: np.ndarray):
+def _count_grams(model: KneserNey):
+    order, buckets, hot = model.order, model.buckets, model.hot
+
     def flush(held):
-        # ranks of words pack an n-gram into one number where they fit
         words, rank = np.unique(np.concatenate([h[0] for h in held]), return_inverse=True)
-        cols, at = [], 0
-        every = np.concatenate((words, np.array([0, _SHORT_BEGIN], U)))
-        v = len(every)
-        parts = []
-        for short, ptr in held:
-            own = rank[at : at + len(short)].astype(U)
-            at += len(short)
-            place = np.arange(len(short)) - np.repeat(ptr[:-1], np.diff(ptr))
-            mine = []
-            for j in range(1, order):
-                before = np.full(len(short), v - 2, U)
-                before[j:] = own[:-j] if j < len(own) else own[:0]
-                before[place < j] = v - 2
-                before[place == j - 1] = v - 1
-                mine.append(before)
-            parts.append([*mine, own])
+        number = np.concatenate((model.numbers(words)[1], np.array([NONE, BEGUN], U)))
+        v, at, parts = len(number), 0, []
+        for n, ptr in held:
+            own = rank[at : at + len(n)].astype(U)
+            at += len(n)
+            parts.append([*_contexts(own, ptr, order - 1, U(v - 2), U(v - 1)), own])
+        # n-grams of ranks, which fit one number more often than those of word numbers
         cols = [np.concatenate(x) for x in zip(*parts)]
-        del parts
-        if v.bit_length() * order <= 63:
-            packed = cols[0]
-            for c in cols[1:]:
-                packed = packed * U(v) + c
-            del cols
-            packed, counts = np.unique(packed, return_counts=True)
-            cols = []
-            for _ in range(order):
-                cols.insert(0, every[(packed % U(v)).astype(np.int64)])
-                packed //= U(v)
-        else:
-            cols, (counts,) = _distinct(cols, [np.ones(len(cols[0]), np.int64)])
-            cols = [every[c.astype(np.int64)] for c in cols]
+        cols, (counts,) = _distinct(cols, [np.ones(len(cols[0]), np.int64)])
+        cols, (counts,) = _distinct([number[c.astype(np.int64)] for c in cols], [counts])
         *ctx, w = cols
-        b = np.where(_in(ctx[0], hot), _bucket_of(_spread(ctx, w), buckets), _bucket_of(ctx[0], buckets))
+        b = np.where(_in(ctx[0], hot), _dealt(_spread(ctx, w), buckets), _dealt(ctx[0], buckets))
         for row in _blocks("g", b, cols, [counts]):
             yield _rows([row])
 
@@ -375,9 +391,8 @@ def _count_grams(order: int, buckets: int, hot: np.ndarray):
         held, n = [], 0
         for whole in batches:
             for b in tk.sub_batches(whole, "text"):
-                tokens, ptr = _tokens(b.column("text"))
-                held.append((_short(tokens), ptr))
-                n += len(tokens)
+                held.append(_tokens(b.column("text")))
+                n += len(held[-1][0])
                 if n >= FLUSH:
                     yield from flush(held)
                     held, n = [], 0
@@ -404,7 +419,7 @@ def _merge_grams(folder: str, order: int, buckets: int, hot: np.ndarray):
         cols, (counts,) = _distinct(cols, [counts])
         *ctx, w = cols
         # the order that each row reaches: texts' beginnings have shorter contexts
-        reach = 1 + sum((c != 0).astype(np.int64) for c in ctx)
+        reach = 1 + sum((c != NONE).astype(np.int64) for c in ctx)
         rows, arrays, above = [], {}, None
         for k in range(order, 1, -1):
             own = np.flatnonzero(reach == k)
@@ -425,19 +440,19 @@ def _merge_grams(folder: str, order: int, buckets: int, hot: np.ndarray):
                     continue
                 found, stats = _context_stats([g[which] for g in grams[:-1]], n[which])
                 if parts:
-                    rows += _blocks("x", _bucket_of(_context_key(found), buckets), found, list(stats.T), k)
+                    rows += _blocks("x", _dealt(_context_key(found), buckets), found, list(stats.T), k)
                 else:
                     arrays |= _classed(f"x{k}", _low(_context_key(found)), stats)
         (v, u), cold = grams, ~known
         if known.any():
-            rows += _blocks("h", _bucket_of(u[known], buckets), [v[known], u[known]], [n[known]])
+            rows += _blocks("h", _dealt(u[known], buckets), [v[known], u[known]], [n[known]])
         if cold.any():
             rows.append(_fact("f", bucket, 2, _of_counts(n[cold])))
             arrays |= _counted("g2", _low(_gram_key(_context_key([v[cold]]), u[cold])), n[cold])
             found, stats = _context_stats([v[cold]], n[cold])
             arrays |= _classed("x2", _low(_context_key(found)), stats)
             uw, un = _sum_by(u[cold])
-            rows += _blocks("c", _bucket_of(uw, buckets), [uw], [un])
+            rows += _blocks("c", _dealt(uw, buckets), [uw], [un])
         _write(folder, f"grams-{bucket}", arrays)
         return pa.Table.from_batches([_rows(rows)])
 
@@ -528,13 +543,21 @@ class KneserNey:
             self._open.popitem(last=False)
         return got
 
-    def _lookup(self, stem: str, table: str, bucket: np.ndarray, keys: np.ndarray, read, width: int = 0) -> np.ndarray:
-        """``read(arrays, table, positions)`` for the keys that their bucket holds, 0 for others."""
+    def _lookup(self, tables: tuple, which, bucket: np.ndarray, keys: np.ndarray, read, width: int = 0) -> np.ndarray:
+        """``read(arrays, table, positions)`` for the keys that their bucket holds, 0 for others;
+        ``which`` of the tables ``(file stem, table)`` each key is sought in."""
         out = np.zeros((len(keys), width) if width else len(keys), np.int64)
-        order = np.lexsort((keys, bucket))
-        own, first = np.unique(bucket[order], return_index=True)
-        for b, at in zip(own.tolist(), np.split(order, first[1:])):
-            arrays = self._arrays(f"{stem}-{b}")
+        # keys of 32 bits sort together with their bucket in one go
+        file = bucket + self.buckets * np.asarray(which, np.int64)
+        if keys.dtype == np.uint32 and 2 * self.buckets < 1 << 31:
+            order = np.argsort((file << 32) | keys)
+        else:
+            order = np.lexsort((keys, file))
+        file = file[order]
+        first = np.flatnonzero(np.concatenate(([True], file[1:] != file[:-1]))) if len(file) else file
+        for f, at in zip(file[first].tolist(), np.split(order, first[1:])):
+            stem, table = tables[f // self.buckets]
+            arrays = self._arrays(f"{stem}-{f % self.buckets}")
             if not len(arrays.get(table, ())):
                 continue
             q, have = keys[at], arrays[table]
@@ -544,65 +567,67 @@ class KneserNey:
             out[at[hit]] = read(arrays, table, pos[hit])
         return out
 
-    def counts(self, words: np.ndarray) -> np.ndarray:
-        return self._lookup("words", "hash", _bucket_of(_short(words), self.buckets), words, lambda a, _, p: a["count"][p].astype(np.int64))
+    def numbers(self, words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Counts and numbers of words by their hashes."""
+        bucket = _bucket_of(_short(words), self.buckets)
+        got = self._lookup((("words", "hash"),), 0, bucket, words, lambda a, _, p: np.stack([a["count"][p].astype(np.int64), a["rank"][p].astype(np.int64)], axis=1), 2)
+        return got[:, 0], np.where(got[:, 0] > 0, _number(got[:, 1], bucket, self.buckets).astype(U), UNKNOWN)
 
     def _grams(self, k: int, cols: list[np.ndarray], w: np.ndarray, key: np.ndarray, hot: np.ndarray) -> np.ndarray:
-        out = np.zeros(len(w), np.int64)
-        for which, frequent in ((np.flatnonzero(~hot), False), (np.flatnonzero(hot), True)):
-            if not len(which):
-                continue
-            if not frequent:
-                place, stem, table = cols[0][which], "grams", f"g{k}"
-            elif k == 2:
-                place, stem, table = w[which], "parts", "h2"
-            else:
-                place, stem, table = _spread([c[which] for c in cols], w[which]), "grams", f"g{k}"
-            out[which] = self._lookup(stem, table, _bucket_of(place, self.buckets), _low(key[which]), _read_counts)
-        return out
+        """Counts of n-grams of order ``k``."""
+        often = w if k == 2 else _spread(cols, w)
+        place = _dealt(np.where(hot, often, cols[0]), self.buckets)
+        return self._lookup((("grams", f"g{k}"), ("parts", "h2")), hot if k == 2 else 0, place, _low(key), _read_counts)
 
     def _stats(self, k: int, cols: list[np.ndarray], key: np.ndarray, hot: np.ndarray) -> np.ndarray:
+        """``(total, n1, n2, n3+)`` of contexts of ``k - 1`` words."""
+        if k > 2:
+            place = _dealt(np.where(hot, key, cols[0]), self.buckets)
+            return self._lookup((("grams", f"x{k}"), ("parts", f"x{k}")), hot, place, _low(key), _read_classes, 4)
         out = np.zeros((len(key), 4), np.int64)
         cold, often = np.flatnonzero(~hot), np.flatnonzero(hot)
-        out[cold] = self._lookup("grams", f"x{k}", _bucket_of(cols[0][cold], self.buckets), _low(key[cold]), _read_classes, 4)
-        if k == 2:
-            out[often] = self.hot_stats[np.searchsorted(self.hot, cols[0][often])]
-        else:
-            out[often] = self._lookup("parts", f"x{k}", _bucket_of(key[often], self.buckets), _low(key[often]), _read_classes, 4)
+        # words repeat: each is sought once
+        found, of = np.unique(cols[0][cold], return_inverse=True)
+        out[cold] = self._lookup((("grams", "x2"),), 0, _dealt(found, self.buckets), _low(_context_key([found])), _read_classes, 4)[of]
+        out[often] = self.hot_stats[np.searchsorted(self.hot, cols[0][often])]
         return out
 
     def score(self, tokens: np.ndarray, ptr: np.ndarray):
         """Of each row: known tokens, base and model log10 probability."""
         uniq, inv = np.unique(tokens, return_inverse=True)
-        c = self.counts(uniq)
+        c, number = self.numbers(uniq)
         base = np.log10((c + 1) / (self.tokens + 1.0 * (self.distinct + 1)))
         starts = ptr[:-1]
         known = np.add.reduceat((c > 0)[inv].astype(np.int64), starts)
         total = np.add.reduceat(base[inv], starts)
-        short = _short(uniq)
         uni = np.full(len(uniq), 1.0 / (self.distinct + 1))
         if self.uni_total:
-            cont = self._lookup("parts", "cont", _bucket_of(short, self.buckets), _low(tk.mix(short)), _read_counts)
+            cont = self._lookup((("parts", "cont"),), 0, _dealt(number, self.buckets), _low(tk.mix(number)), _read_counts)
+            cont[c == 0] = 0
             uni = np.maximum(cont - self.d[1][np.minimum(cont, 3)], 0) / self.uni_total + self.uni_mass / self.uni_total * uni
-        p, word = uni[inv], short[inv]
-        before = _contexts(word, ptr, self.order - 1)
-        context = None
+        p, word = uni[inv], number[inv]
+        before = _contexts(word, ptr, self.order - 1, NONE, BEGUN)
+        # rows whose context reaches so far and is of known words
+        at, context = np.arange(len(word)), None
         for k in range(2, self.order + 1):
-            far = before[k - 2]
-            context = tk.mix(far) if context is None else tk.mix(context * _MUL + far)
-            at = np.flatnonzero(far != 0)
+            far = before[k - 2][at]
+            here = (far != NONE) & (far != UNKNOWN)
+            at, far = at[here], far[here]
             if not len(at):
                 break
-            g, g_first, g_of = np.unique(_gram_key(context[at], word[at]), return_index=True, return_inverse=True)
-            x, x_first, x_of = np.unique(context[at], return_index=True, return_inverse=True)
-            pick = lambda first: [b[at[first]] for b in before[: k - 1]]  # noqa: E731,B023
-            cols = pick(x_first)
-            stats = self._stats(k, cols, x, _in(cols[0], self.hot))
-            cols = pick(g_first)
-            n = self._grams(k, cols, word[at[g_first]], g, _in(cols[0], self.hot))
-            high = np.maximum(n - self.d[k][np.minimum(n, 3)], 0)[g_of]
-            denom, mass = stats[x_of, 0], (stats[:, 1:] @ self.d[k][1:])[x_of]
+            context = tk.mix(far) if context is None else tk.mix(context[here] * _MUL + far)
+            cols = [b[at] for b in before[: k - 1]]
+            hot = _in(cols[0], self.hot)
+            stats = self._stats(k, cols, context, hot)
+            n = np.zeros(len(at), np.int64)
+            # an n-gram of an unseen context is unseen
+            own = np.flatnonzero((word[at] != UNKNOWN) & (stats[:, 0] > 0))
+            n[own] = self._grams(k, [b[own] for b in cols], word[at[own]], _gram_key(context[own], word[at[own]]), hot[own])
+            high, denom, mass = np.maximum(n - self.d[k][np.minimum(n, 3)], 0), stats[:, 0], stats[:, 1:] @ self.d[k][1:]
             p[at] = np.where(denom > 0, (high + mass * p[at]) / np.maximum(denom, 1), p[at])
+            # contexts beyond an unseen one are unseen too
+            seen = denom > 0
+            at, context = at[seen], context[seen]
         return known, total, np.add.reduceat(np.log10(p), starts)
 
 
@@ -646,15 +671,15 @@ def fit(docs: DataFrame, where=None, bucket_bytes: int = BUCKET, order: int = OR
     model = KneserNey(folder, buckets, order)
     # a word is frequent if its occurrences would fill a bucket (words of six bytes)
     words = rows.mapInArrow(_count_words(buckets), SHAPE).repartition(buckets, "bucket")
-    hot = [int(_SHORT_BEGIN)]
-    for kind, key, f in _sums(words.groupBy("bucket").applyInArrow(_merge_words(folder, bucket_bytes // 6), SHAPE)):
+    hot = [int(BEGUN)]
+    for kind, key, f in _sums(words.groupBy("bucket").applyInArrow(_merge_words(folder, bucket_bytes // 6, buckets), SHAPE)):
         if kind == "words":
             model.distinct, model.tokens = f[:2]
         else:
             hot.append(key)
     model.hot = np.unique(np.array(hot, U))
     model.hot_stats = np.zeros((len(model.hot), 4), np.int64)
-    counted = rows.mapInArrow(_count_grams(order, buckets, model.hot), SHAPE).repartition(buckets, "bucket")
+    counted = rows.mapInArrow(_count_grams(model), SHAPE).repartition(buckets, "bucket")
     merged = counted.groupBy("bucket").applyInArrow(_merge_grams(folder, order, buckets, model.hot), SHAPE).repartition(buckets, "bucket")
     for kind, key, f in _sums(merged.groupBy("bucket").applyInArrow(_merge_parts(folder), SHAPE)):
         if kind == "hot":
