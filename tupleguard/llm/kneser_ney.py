@@ -46,7 +46,7 @@ from .warc import _open_fs
 U = np.uint64
 END = U(0x1111111111111111)
 #: Text bytes of a bucket, about; tokens that a task counts before it ships them; mapped files.
-BUCKET, FLUSH, OPEN = 8 << 20, 5_000_000, 256
+BUCKET, FLUSH, OPEN = 8 << 20, 3_000_000, 256
 ORDER = 3
 _MUL = U(0x9E3779B97F4A7C15)
 #: Word numbers in n-grams: nothing (beyond the beginning), the beginning, a word that the
@@ -372,16 +372,39 @@ def _count_grams(model: KneserNey):
 
     def flush(held):
         words, rank = np.unique(np.concatenate([h[0] for h in held]), return_inverse=True)
-        number = np.concatenate((model.numbers(words)[1], np.array([NONE, BEGUN], U)))
-        v, at, parts = len(number), 0, []
-        for n, ptr in held:
-            own = rank[at : at + len(n)].astype(U)
-            at += len(n)
-            parts.append([*_contexts(own, ptr, order - 1, U(v - 2), U(v - 1)), own])
-        # n-grams of ranks, which fit one number more often than those of word numbers
-        cols = [np.concatenate(x) for x in zip(*parts)]
-        cols, (counts,) = _distinct(cols, [np.ones(len(cols[0]), np.int64)])
-        cols, (counts,) = _distinct([number[c.astype(np.int64)] for c in cols], [counts])
+        # n-grams of places in the order of word numbers pack into one number where they fit
+        number = np.concatenate((np.array([NONE, BEGUN], U), model.numbers(words)[1]))
+        sort = np.argsort(number)
+        place = np.empty(len(sort), U)
+        place[sort] = np.arange(len(sort), dtype=U)
+        number, rank = number[sort], place[2:][rank]
+        fits, at, parts = len(number).bit_length() * order <= 63, 0, []
+        for tokens, ptr in held:
+            own = rank[at : at + len(tokens)]
+            at += len(tokens)
+            cols = [*_contexts(own, ptr, order - 1, U(0), U(1)), own]
+            if fits:
+                code = cols[0]
+                for c in cols[1:]:
+                    code = code * U(len(number)) + c
+                parts.append(code)
+            else:
+                parts.append(cols)
+        held.clear()
+        del rank, place, sort, words, own, cols
+        if fits:
+            code = np.concatenate(parts)
+            parts.clear()
+            code.sort()
+            first = np.flatnonzero(np.concatenate(([True], code[1:] != code[:-1])))
+            counts, code, cols = np.diff(np.append(first, len(code))), code[first], []
+            for _ in range(order):
+                cols.insert(0, number[(code % U(len(number))).astype(np.int64)])
+                code //= U(len(number))
+        else:
+            cols = [np.concatenate(x) for x in zip(*parts)]
+            cols, (counts,) = _distinct(cols, [np.ones(len(cols[0]), np.int64)])
+            cols = [number[c.astype(np.int64)] for c in cols]
         *ctx, w = cols
         b = np.where(_in(ctx[0], hot), _dealt(_spread(ctx, w), buckets), _dealt(ctx[0], buckets))
         for row in _blocks("g", b, cols, [counts]):
@@ -396,7 +419,7 @@ def _count_grams(model: KneserNey):
                 if n >= FLUSH:
                     yield from flush(held)
                     held, n = [], 0
-        if n:
+        if held:
             yield from flush(held)
 
     return run
