@@ -46,7 +46,7 @@ from .warc import _open_fs
 U = np.uint64
 END = U(0x1111111111111111)
 #: Text bytes of a bucket, about; tokens that a task counts before it ships them; mapped files.
-BUCKET, FLUSH, OPEN = 8 << 20, 3_000_000, 256
+BUCKET, FLUSH, OPEN = 8 << 20, 3_000_000, 32
 ORDER = 3
 _MUL = U(0x9E3779B97F4A7C15)
 #: Word numbers in n-grams: nothing (beyond the beginning), the beginning, a word that the
@@ -692,10 +692,10 @@ def fit(docs: DataFrame, where=None, bucket_bytes: int = BUCKET, order: int = OR
     filesystem, root = _open_fs(folder)
     filesystem.create_dir(root, recursive=True)
     model = KneserNey(folder, buckets, order)
-    # a word is frequent if its occurrences would fill a bucket (words of six bytes)
+    # a word is frequent if its occurrences would fill a good third of a bucket (words of six bytes)
     words = rows.mapInArrow(_count_words(buckets), SHAPE).repartition(buckets, "bucket")
     hot = [int(BEGUN)]
-    for kind, key, f in _sums(words.groupBy("bucket").applyInArrow(_merge_words(folder, bucket_bytes // 6, buckets), SHAPE)):
+    for kind, key, f in _sums(words.groupBy("bucket").applyInArrow(_merge_words(folder, bucket_bytes // 16, buckets), SHAPE)):
         if kind == "words":
             model.distinct, model.tokens = f[:2]
         else:
