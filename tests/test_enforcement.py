@@ -79,28 +79,28 @@ def test_worked_join_keeps_its_verdict_in_either_plan(spark):
 
 
 def test_accounting_case(spark):
-    spark.createDataFrame([(1, 7, "pen", "office", 200), (3, 7, "lunch", "meal", 2500)], "id long, uid long, item string, cat string, cost long").createOrReplaceTempView("receipts")
-    privacy = FlowPolicy("privacy", "NOT UNIQUE receipts.uid OR (CURRENT_USER = u.id AND u.boss)", (SourceRef("receipts"),), dimensions=(Dimension("people", "u"),))
-    ground = FlowPolicy("ground", "receipts.id = expenses.id", (SourceRef("receipts", None, True),), SinkRef("expenses"), on_fail=KILL)
-    law = FlowPolicy("law", "expenses.biz_use <= 50 OR receipts.cat != 'meal'", (SourceRef("receipts"),), SinkRef("expenses"))
+    spark.createDataFrame([(1, 7, "pen", "office", 200), (3, 7, "lunch", "meal", 2500)], "id long, uid long, item string, cat string, cost long").createOrReplaceTempView("bills")
+    privacy = FlowPolicy("privacy", "NOT UNIQUE bills.uid OR (CURRENT_USER = u.id AND u.boss)", (SourceRef("bills"),), dimensions=(Dimension("people", "u"),))
+    ground = FlowPolicy("ground", "bills.id = claims.id", (SourceRef("bills", None, True),), SinkRef("claims"), on_fail=KILL)
+    law = FlowPolicy("law", "claims.work_share <= 50 OR bills.cat != 'meal'", (SourceRef("bills"),), SinkRef("claims"))
     user = spark.sql("select current_user()").first()[0]
     spark.createDataFrame([(user, True)], "id string, boss boolean").createOrReplaceTempView("people")
-    sql = "select id, item, cost, 80 as biz_use from receipts where id = 3"
+    sql = "select id, item, cost, 80 as work_share from bills where id = 3"
     from tupleguard.workloads.catalog import _folder
 
     empty = spark.sql(sql).limit(0)
-    table = VersionedTable(spark, "expenses", _folder(spark, "acc")).create(empty)
+    table = VersionedTable(spark, "claims", _folder(spark, "acc")).create(empty)
     report = Guard(spark, [privacy, ground, law]).insert_into(table, spark.sql(sql))
     assert (report.rows_written, report.violations) == (0, {"privacy": 0, "ground": 0, "law": 1})
     Guard(spark, [privacy, ground, law]).insert_into(table, spark.sql(sql.replace("id = 3", "id = 1")))
     assert table.read().count() == 1
     # fabricated, and copied from another receipt
-    for bad in ("select 99L as id, item, cost, 1 as biz_use from receipts where id = 1", "select 1L as id, 'x' as item, 1L as cost, 1 as biz_use"):
+    for bad in ("select 99L as id, item, cost, 1 as work_share from bills where id = 1", "select 1L as id, 'x' as item, 1L as cost, 1 as work_share"):
         with pytest.raises(PolicyViolation):
             Guard(spark, [ground]).insert_into(table, spark.sql(bad))
     assert table.read().count() == 1
     spark.createDataFrame([(user, False)], "id string, boss boolean").createOrReplaceTempView("people")
-    assert Guard(spark, [privacy]).query("select id from receipts", strategy="inline").count() == 0
+    assert Guard(spark, [privacy]).query("select id from bills", strategy="inline").count() == 0
 
 
 def test_null_constraints_violate_and_empty_bags_are_skipped(spark):
@@ -204,7 +204,10 @@ def test_conjunction_is_intersection(tables):
 
 
 def test_state_machine_and_experiments(tables):
-    assert experiments.state_machine(tables, 200, 400)["wrong"] == 0
+    from tupleguard.workloads.catalog import _folder
+
+    got = experiments.state_machine(tables, _folder(tables, "machine"), 200, 400, 2)
+    assert got["wrong"] == 0 == got["wrong_folded"] and got["rounds_as_expected"] and got["invalid_stopped"] == 400 - got["valid"] > 0
     f1 = experiments.judge_experiment(tables, ("q1",), (4,))
     assert next(r["f1"] for r in f1 if r["who"] == "engine") == 1.0 and min(r["f1"] for r in f1) < 1.0
     assert [r["clauses"] for r in experiments.template_scaling(tables, (1, 500), 1, 1)] == [1, 1]
@@ -256,7 +259,8 @@ def test_experiments_run_small(tables):
     by = {(r["query"], r["strategy"]): r for r in got}
     assert by["q1", "replay_rows"]["widest_rows"] >= by["q1", "inline"]["widest_rows"]
     assert len(experiments.engine_axes(tables, ("q6",), 1)) == 12
-    assert {r["kind"] for r in experiments.microbenchmarks(tables, (1000,), (10,), 1)} == {"simple", "join", "grouped_10"}
+    assert {r["kind"] for r in experiments.microbenchmarks(tables, (1000,), (10,), 2000, (50,), 3000, 1)} == {"simple", "join_50", "grouped_10"}
+    assert [r["instances"] for r in experiments.self_join_times(tables, (2, 3), 2)] == [2, 3]
     assert len(experiments.width_grid(tables, (2, 8), (2,), 500, 1)) == 4
     assert [r["sources"] for r in experiments.source_scaling(tables, (1, 3), 1)] == [1, 3]
 

@@ -40,10 +40,10 @@ def test_guards_of_whole_orders(spark):
     con = duckdb.connect()
     for t in TABLES:
         con.execute(f"create view {t} as select * from '{d}/{t}.parquet'")
-    for name in ("consent_join_all", "sink_update_state_all"):
+    for name in ("balance_join", "sink_update_state"):
         assert "< 400" not in catalog.ORACLES[name] and "< 1000" not in catalog.ORACLES[name]
         df = catalog.QUERIES[name](spark, d)
         cols = sorted(df.columns)
         want = con.execute(f"select {', '.join(cols)} from ({catalog.ORACLES[name]})").fetchall()
         assert sorted(map(tuple, (tuple(r[c] for c in cols) for r in df.collect()))) == sorted(want), name
-    assert con.execute(f"select count(*) from ({catalog.ORACLES['sink_update_state_all']})").fetchone() == con.execute("select count(*) from orders").fetchone()
+    assert con.execute(f"select count(*) from ({catalog.ORACLES['sink_update_state']})").fetchone() == con.execute("select count(*) from orders").fetchone()

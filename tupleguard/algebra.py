@@ -33,7 +33,7 @@ class Component:
 VARIANCE = {"var_samp", "var_pop", "stddev_samp", "stddev_pop"}
 PAIRS = {"covar_samp", "covar_pop", "corr", "regr_slope"}
 ALIASES = {"mean": "avg", "stddev": "stddev_samp", "variance": "var_samp", "every": "bool_and", "some": "bool_or", "any": "bool_or"}
-SIMPLE = {"min", "max", "count", "sum", "avg", "bool_and", "bool_or", "distinct"} | VARIANCE | PAIRS
+SIMPLE = {"min", "max", "count", "sum", "avg", "bool_and", "bool_or", "distinct", "approx_distinct"} | VARIANCE | PAIRS
 #: Kinds without a constant-size annotation.
 HOLISTIC = {"approx_count_distinct", "percentile", "median", "collect_list", "collect_set", "mode"}
 
@@ -91,21 +91,26 @@ def components(agg: Agg) -> list[Component]:
         return [cnt, part("su", u), part("sv", v), part("suu", E.Op("*", (u, u))), part("svv", E.Op("*", (v, v))), part("suv", E.Op("*", (u, v)))]
     if k == "distinct":
         return [Component(f"set[{text}]", E.Call("array_compact", (E.Call("array", (x,)),)), "set", False)]
+    if k == "approx_distinct":
+        # values until the first aggregate, sketches of bounded size from there on
+        return [Component(f"hll[{text}]", E.Call("string", (x,)), "hll", False)]
     if (own := custom(k)) is not None:
         lift, plus, _, sumlike = own
         return [Component(f"{k}[{text}]", E.parse(lift.replace("{x}", E.render(x))), plus, sumlike)]
     return []
 
 
-def merge_sql(plus: str, column: str) -> str:
-    """SQL of the aggregate that merges a component's column."""
+def merge_sql(plus: str, column: str, single: bool = False) -> str:
+    """SQL of the aggregate that merges a component's column (``single``: of values, not sketches)."""
     if plus == "set":
         return f"array_distinct(flatten(collect_set({column})))"
+    if plus == "hll":
+        return f"hll_sketch_agg({column})" if single else f"hll_union_agg({column})"
     return f"{plus}({column})"
 
 
-def finalize_sql(agg: Agg, cols: list[str]) -> str:
-    """The aggregate's value from its components' columns."""
+def finalize_sql(agg: Agg, cols: list[str], single: bool = False) -> str:
+    """The aggregate's value from its components' columns (``single``: not aggregated yet)."""
     k = agg.kind
     if k in ("min", "max", "bool_and", "bool_or", "sum"):
         return cols[0]
@@ -115,6 +120,8 @@ def finalize_sql(agg: Agg, cols: list[str]) -> str:
         return f"({cols[0]} / nullif({cols[1]}, 0L))"
     if k == "distinct":
         return f"coalesce(cast(size({cols[0]}) as bigint), 0L)"
+    if k == "approx_distinct":
+        return f"if({cols[0]} is null, 0L, 1L)" if single else f"coalesce(hll_sketch_estimate({cols[0]}), 0L)"
     if k in VARIANCE:
         n, s, ss = cols
         pop = k.endswith("pop")
@@ -144,6 +151,8 @@ def direct_sql(agg: Agg, args: list[str]) -> str:
     """The aggregate over a bag that is present row by row."""
     if agg.kind == "distinct":
         return f"count(distinct {args[0]})"
+    if agg.kind == "approx_distinct":
+        return f"coalesce(hll_sketch_estimate(hll_sketch_agg(string({args[0]}))), 0L)"
     if agg.kind == "count" and not args:
         return "count(1)"
     if agg.kind in ("corr", "regr_slope"):
@@ -164,7 +173,7 @@ def scalar_sql(agg: Agg, args: list[str]) -> str | None:
         return args[0]
     if k == "count":
         return f"if({' and '.join(f'{a} is not null' for a in args)}, 1L, 0L)" if args else "1L"
-    if k in ("distinct", "approx_count_distinct"):
+    if k in ("distinct", "approx_count_distinct", "approx_distinct"):
         return f"if({args[0]} is null, 0L, 1L)"
     if k in ("var_pop", "stddev_pop"):
         return f"if({args[0]} is null, null, 0D)"

@@ -158,10 +158,15 @@ class Guard:
 
         return insert_into(self, table, self._frame(df), mode, strategy)
 
-    def update(self, table, key: str, set_: dict, where=None):
+    def update(self, table, key: str, set_: dict | None = None, where=None, changes=None):
         from .sinks import update
 
-        return update(self, table, key, set_, where)
+        return update(self, table, key, set_, where, changes)
+
+    def update_each(self, table, key: str, requests: DataFrame, column: str):
+        from .sinks import update_each
+
+        return update_each(self, table, key, requests, column)
 
     def stream(self, df: DataFrame, build) -> DataFrame:
         from .streaming import guard_stream

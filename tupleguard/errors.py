@@ -43,3 +43,7 @@ class PolicyViolation(RuntimeError):
     def __init__(self, policy: str, count: int):
         super().__init__(f"{policy}: {count} violating rows")
         self.policy, self.count = policy, count
+
+
+class ConcurrentWrite(RuntimeError):
+    pass

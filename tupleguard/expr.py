@@ -70,7 +70,7 @@ class Slot(Node):
 
 AGGREGATES = {
     "count", "sum", "avg", "mean", "min", "max", "stddev", "stddev_samp", "stddev_pop", "variance", "var_samp", "var_pop", "covar_samp", "covar_pop", "corr", "regr_slope",
-    "bool_and", "every", "bool_or", "some", "any", "unique", "approx_count_distinct", "percentile", "median", "collect_list", "collect_set", "mode",
+    "bool_and", "every", "bool_or", "some", "any", "unique", "approx_count_distinct", "approx_distinct", "percentile", "median", "collect_list", "collect_set", "mode",
 }
 _COMPARE = {"=", "==", "<>", "!=", "<", "<=", ">", ">=", "<=>"}
 _TOKEN = re.compile(

@@ -1,18 +1,20 @@
 """Guarded writes: staged files, a verdict, then publication.
 
-A target is a directory of versions with a pointer file; the write of a version is complete
-before the pointer moves, so an aborted write leaves the target as it was. Paths go through
-Hadoop's file system, so any store that Spark writes works."""
+A target is a directory of versions with numbered pointer files, of which the last one counts;
+the write of a version is complete before its pointer appears under its own name, so an aborted
+write, at whatever moment, leaves the target as it was, and of two writers at once one fails.
+Paths go through Hadoop's file system, so any store that Spark writes works."""
 
 from __future__ import annotations
 
 import uuid
 from dataclasses import dataclass
 
-from pyspark.sql import Column, DataFrame, SparkSession, functions as F
+from pyspark.sql import Column, DataFrame, SparkSession, Window, functions as F
 
 from . import resolve
-from .errors import PolicyViolation, SchemaMismatch
+from . import expr as E
+from .errors import ConcurrentWrite, PolicyViolation, SchemaMismatch
 
 
 @dataclass
@@ -35,12 +37,22 @@ class VersionedTable:
         p = self.spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
         return p.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()), p
 
+    def _pointers(self) -> list[str]:
+        fs, p = self._fs(f"{self.root}/POINTER-*")
+        found = fs.globStatus(p)
+        return sorted(x.getPath().getName() for x in found) if found is not None else []
+
     def current(self) -> list[str]:
-        fs, p = self._fs(f"{self.root}/CURRENT")
-        if not fs.exists(p):
+        last = self._pointers()[-1:]
+        if not last:
             return []
-        rows = self.spark.read.text(f"{self.root}/CURRENT").collect()
-        return [r[0] for r in rows if r[0]]
+        fs, p = self._fs(f"{self.root}/{last[0]}")
+        stream = fs.open(p)
+        try:
+            text = self.spark.sparkContext._jvm.org.apache.commons.io.IOUtils.toString(stream, "UTF-8")
+        finally:
+            stream.close()
+        return [x for x in text.split("\n") if x]
 
     def stage(self, df: DataFrame) -> str:
         version = uuid.uuid4().hex
@@ -48,13 +60,16 @@ class VersionedTable:
         return version
 
     def publish(self, versions: list[str]) -> None:
+        last = self._pointers()[-1:]
+        number = int(last[0].rpartition("-")[2]) + 1 if last else 0
         fs, new = self._fs(f"{self.root}/NEXT-{uuid.uuid4().hex}")
         out = fs.create(new)
         out.write(bytearray(("\n".join(versions) + "\n").encode()))
         out.close()
-        _, old = self._fs(f"{self.root}/CURRENT")
-        fs.delete(old, False)
-        fs.rename(new, old)
+        _, named = self._fs(f"{self.root}/POINTER-{number:012d}")
+        if fs.exists(named) or not fs.rename(new, named):
+            fs.delete(new, False)
+            raise ConcurrentWrite(f"{self.name}: another write was published meanwhile")
 
     def discard(self, version: str) -> None:
         fs, p = self._fs(f"{self.root}/{version}")
@@ -103,16 +118,21 @@ def insert_into(guard, table: VersionedTable, df: DataFrame, mode: str = "append
     return WriteReport(table.name, written if rows_in is None else rows_in, written, violations, version)
 
 
-def update(guard, table: VersionedTable, key: str, set_: dict[str, Column | str], where: Column | str | None = None) -> WriteReport:
+def update(guard, table: VersionedTable, key: str, set_: dict[str, Column | str] | None = None, where: Column | str | None = None, changes: DataFrame | None = None) -> WriteReport:
     """Copy-on-write update. The policies see the old version as the source ``<table>`` and the
-    new one as the sink; under REMOVE a row whose change violates keeps its old version."""
+    new one as the sink; under REMOVE a row whose change violates keeps its old version. New
+    values are expressions, or come from ``changes``: rows of a key each, with columns to set."""
     spark = guard.spark
     old = table.read()
     names = old.columns
     old.createOrReplaceTempView(table.name)
     cond = F.lit(True) if where is None else (F.expr(where) if isinstance(where, str) else where)
-    put = {c: (F.expr(v) if isinstance(v, str) else v) for c, v in set_.items()}
-    changed = spark.table(table.name).where(cond).select(*[put.get(c, F.col(c)).alias(c) for c in names])
+    put = {c: (F.expr(v) if isinstance(v, str) else v) for c, v in (set_ or {}).items()}
+    rows = spark.table(table.name).where(cond)
+    if changes is not None:
+        rows = rows.join(changes.toDF(*[f"__c_{c}" for c in changes.columns]), F.col(key) == F.col(f"__c_{key}"))
+        put |= {c: F.col(f"__c_{c}") for c in changes.columns if c != key}
+    changed = rows.select(*[put.get(c, F.col(c)).alias(c) for c in names])
     a, query, bound = guard.annotate(changed, "inline", sink=table.name)
     violations: dict[str, int] = {}
     passed = changed
@@ -131,12 +151,32 @@ def update(guard, table: VersionedTable, key: str, set_: dict[str, Column | str]
     return WriteReport(table.name, total, total, violations, version)
 
 
+def update_each(guard, table: VersionedTable, key: str, requests: DataFrame, column: str) -> list[WriteReport]:
+    """Guarded updates ``(seq, key, column)`` as if each were one statement, in order. A statement
+    touches one key, so the n-th requests of all keys are one update: as many as the key with
+    most requests has. Returns a report for each."""
+    order = Window.partitionBy(key).orderBy("seq")
+    dealt = f"requests-{uuid.uuid4().hex}"
+    path = f"{table.root}/{dealt}"
+    requests.select(key, column, F.row_number().over(order).alias("__round")).write.partitionBy("__round").parquet(path)
+    kept = guard.spark.read.parquet(path)
+    rounds = kept.agg(F.max("__round")).first()[0] or 0
+    out = [update(guard, table, key, changes=kept.where(F.col("__round") == n).select(key, column)) for n in range(1, rounds + 1)]
+    table.discard(dealt)
+    return out
+
+
 def fold_transitions(state: DataFrame, requests: DataFrame, legal: str, key: str = "id", column: str = "state") -> DataFrame:
-    """The state after all requests ``(seq, key, new_state)`` in order, each applied only if the
-    move is legal: ``legal`` is SQL over ``old`` and ``new``. One pass per key, equal to applying
-    the requests one statement at a time, as a move touches one key."""
+    """The state after all requests ``(seq, key, new_<column>)`` in order, each applied only if
+    the move is legal: ``legal`` is a constraint over the names ``old`` and ``new``. One pass per
+    key, equal to applying the requests one statement at a time, as a move touches one key; a
+    plain check of what ``update_each`` does, without policies."""
+
+    def put(n: E.Node) -> E.Node:
+        return E.Attr(({"old": "s", "new": "m"}[n.name.lower()],)) if isinstance(n, E.Attr) and n.qualifier is None and n.name.lower() in ("old", "new") else E.rebuild(n, put)
+
     per = requests.groupBy(key).agg(F.expr(f"transform(array_sort(collect_list(struct(seq, new_{column}))), x -> x.new_{column})").alias("__moves"))
-    step = legal.replace("old", "s").replace("new", "m")
+    step = E.render(put(E.parse(legal)))
     folded = F.expr(f"aggregate(coalesce(__moves, array()), {column}, (s, m) -> if(coalesce({step}, false), m, s))")
     return state.join(per, key, "left").select(key, folded.alias(column))
 

@@ -63,9 +63,11 @@ def join_dimensions(query: QueryPlan, plan, instance: int, dims: dict):
             continue
         table = query.spark.table(d.table)
         dim = table.toDF(*[f"__tg_d_{alias}_{c}".lower() for c in table.columns])
+        # its own instances of relations, which the query may read too
+        dim = b.children(b.join(dim._jdf.queryExecution().analyzed(), dim._jdf.queryExecution().analyzed(), "cross"))[1]
         cond = E.parse(d.on)
         text = E.render(cond, lambda n, a=alias: (dimension_column(f"d:{a}.{n.name}") if n.qualifier and n.qualifier.lower() == a else E.quote(n.name)) if isinstance(n, E.Attr) else None)
-        plan = b.join(plan, dim._jdf.queryExecution().analyzed(), "left", b.sql(text))
+        plan = b.join(plan, dim, "left", b.sql(text))
     return plan
 
 
@@ -76,7 +78,7 @@ def strip_one(n: E.Node) -> E.Node:
     return E.rebuild(n, strip_one)
 
 
-def policy_values(query: QueryPlan, bound: Sequence[Bound], columns: dict[str, str], final: set[str] = frozenset(), more: dict[str, str] | None = None) -> list[dict[str, str]]:
+def policy_values(query: QueryPlan, bound: Sequence[Bound], columns: dict[str, str], final: set[str] = frozenset(), more: dict[str, str] | None = None, single: frozenset = frozenset()) -> list[dict[str, str]]:
     """SQL of each policy's aggregates from component columns."""
     out = []
     for b in bound:
@@ -90,7 +92,7 @@ def policy_values(query: QueryPlan, bound: Sequence[Bound], columns: dict[str, s
             elif agg.kind == "distinct" and comps[0].key in final:
                 own[key] = f"coalesce({columns[comps[0].key]}, 0L)"
             else:
-                own[key] = finalize_sql(agg, [columns[c.key] for c in comps])
+                own[key] = finalize_sql(agg, [columns[c.key] for c in comps], comps[0].key in single)
         out.append(own)
     return out
 

@@ -120,7 +120,7 @@ class Annotator:
             if where == {i}:
                 cols[key] = self.b.fresh("a")
                 more.append(self.b.named(E.render(strip_one(c.leaf), name), cols[key]))
-                if c.plus == "set":
+                if c.plus in ("set", "hll"):
                     single.add(key)
         for attr in sorted(self.raw_needs.get(i, ())):
             raw[i, attr] = self.b.fresh("v")
@@ -188,7 +188,7 @@ class Annotator:
             if where and where <= present:
                 cover = " and ".join(f"{w.rid[i]} is not null" for i in sorted(where))
                 cols[key] = b.fresh("a")
-                more.append(b.named(merge_sql(c.plus, f"case when {cover} then {E.render(strip_one(c.leaf), name)} end"), cols[key]))
+                more.append(b.named(merge_sql(c.plus, f"case when {cover} then {E.render(strip_one(c.leaf), name)} end", True), cols[key]))
         mult = mask = None
         if self.sumlike:
             mult = b.fresh("x")
@@ -265,7 +265,7 @@ class Annotator:
                 text = f"({text}) * {st.mult}"
             cols[key] = self.b.fresh("a")
             new[cols[key]] = text
-            if c.plus == "set":
+            if c.plus in ("set", "hll"):
                 st.single = st.single | {key}
         st = self.add(st, new)
         st.cols = st.cols | cols
@@ -286,7 +286,7 @@ class Annotator:
         for key, col in st.cols.items():
             plus = self.comps[key][0].plus
             cols[key] = self.b.fresh("a")
-            text = merge_sql(plus, col)
+            text = merge_sql(plus, col, key in st.single)
             if plus == "set" and up == 0 and key in st.single:
                 text = f"count(distinct get({col}, 0))"
                 counted.add(key)
@@ -326,6 +326,8 @@ class Annotator:
         types, keys = {}, list(dict.fromkeys(key for k in kids for key in k.cols))
         for k in kids:
             for key, col in k.cols.items():
+                if self.comps[key][0].plus == "hll" and (key in k.single) != all(key in o.single for o in kids if key in o.cols):
+                    raise UnsupportedPlan("inline", "a sketch beside plain values in a union")
                 types[key] = self.b.attr(k.plan, col).dataType().sql()
         names = {key: self.b.fresh("a") for key in keys}
         mult = self.b.fresh("x") if any(k.mult for k in kids) else None
@@ -428,5 +430,5 @@ def inline(query: QueryPlan, bound: Sequence[Bound], left_only: bool = False) ->
     for key, (c, where) in an.comps.items():
         if key not in st.cols:
             raise UnsupportedPlan("inline", f"aggregate {key}")
-    values = policy_values(query, bound, st.cols, st.counted)
+    values = policy_values(query, bound, st.cols, st.counted, single=st.single)
     return Annotated(query, st.plan, an.base(st), values, st.mask, [mask_present(st.mask)] * len(bound))

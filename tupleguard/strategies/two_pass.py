@@ -100,7 +100,7 @@ def two_pass(query: QueryPlan, bound: Sequence[Bound], push: bool = True, left_o
     for key, col in st.cols.items():
         plus = an.comps[key][0].plus
         cols[key] = b.fresh("a")
-        text = merge_sql(plus, col)
+        text = merge_sql(plus, col, key in st.single)
         if plus == "set" and key in st.single:
             text = f"count(distinct get({col}, 0))"
             counted.add(key)

@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame, functions as F
 
 from ..plan import QueryPlan, bind, alias_assignments
 from .. import constraint, resolve
+from ..errors import NonMonotonePlan, UnsupportedPlan
 from ..strategies.inline import Annotator
 from ..strategies.common import Annotated, mask_present, policy_values
 
@@ -25,7 +26,13 @@ def guard_stream(guard, source: DataFrame, build) -> DataFrame:
     for p in policies:
         form = constraint.analyze(p, lambda t: list(next(i.columns for i in query.instances if i.table == t.lower())))
         bound += [bind(p, form, w) for w in alias_assignments(p, query.instances)]
+    query.check_monotone()
+    if query.hidden:
+        raise NonMonotonePlan(f"subquery expressions over {', '.join(sorted(query.hidden))}")
     an = Annotator(query, bound)
+    # without aggregates below joins all multiplicities are 1 and need no streaming count
+    if an.sumlike and _aggregate_below_join(query):
+        raise UnsupportedPlan("stream", "sums over a join with an aggregate")
     an.sumlike = False
     st = an.visit(query.plan)
     values = policy_values(query, bound, st.cols, st.counted)
@@ -33,6 +40,18 @@ def guard_stream(guard, source: DataFrame, build) -> DataFrame:
     return resolve.apply(a, bound)
 
 
+def _aggregate_below_join(query: QueryPlan) -> bool:
+    b = query.bridge
+
+    def look(node, below: bool) -> bool:
+        k = b.kind(node)
+        if below and k in ("Aggregate", "Distinct", "Deduplicate", "Intersect"):
+            return True
+        return any(look(c, below or k in ("Join", "Intersect")) for c in b.children(node))
+
+    return look(query.plan, False)
+
+
 def transition_stream(requests: DataFrame, legal: dict[str, tuple[str, ...]], start: str) -> DataFrame:
     """Stateful moves per key: rows ``(id, seq, old_state, new_state, accepted)``. Illegal requests
     leave the state and come out with ``accepted`` false (for a quarantine)."""

@@ -164,7 +164,10 @@ class TemplateIndex:
         for r in eq.toLocalIterator():
             for k in {r["low"], r["high"]}:
                 out.add(PolicyTemplate(r["agg"], r["expr"], "=").bind(k))
-        for r in df.where("op = '!='").select("agg", "expr", "k").distinct().toLocalIterator():
+        # exclusions that the bounds decide already stay in Spark
+        edge = df.where("op in ('<','<=','>','>=')").groupBy("agg", "expr").agg(F.max(F.when(F.col("op").isin(">", ">="), F.col("k"))).alias("above"), F.min(F.when(F.col("op").isin("<", "<="), F.col("k"))).alias("below"))
+        other = df.where("op = '!='").select("agg", "expr", "k").distinct().join(edge, ["agg", "expr"], "left").where("(above is null or k >= above) and (below is null or k <= below)")
+        for r in other.select("agg", "expr", "k").toLocalIterator():
             out.add(PolicyTemplate(r["agg"], r["expr"], "!=").bind(r["k"]))
         return out
 

@@ -34,6 +34,10 @@ SPLITS = {
 }
 
 
+#: Bounds that keep the one row of the queries without keys.
+KEPT = {"q6": "max(l_quantity) < 24", "q14": "max(l_quantity) <= 50", "q19": "max(l_quantity) <= 45"}
+
+
 def passing() -> FlowPolicy:
     """The policy that no row breaks."""
     return FlowPolicy("min_qty", "max(l_quantity) >= 1", _L)
@@ -43,6 +47,10 @@ def splitting(q: str) -> FlowPolicy:
     return FlowPolicy(f"split_{q}", SPLITS[q], _L)
 
 
+def keeping(q: str) -> FlowPolicy:
+    return FlowPolicy(f"keep_{q}", KEPT[q], _L)
+
+
 def many(n: int, q: str = "q1") -> list[FlowPolicy]:
     """``n`` threshold policies on lineitem, about half of them violated."""
     out = []
