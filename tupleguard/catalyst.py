@@ -113,9 +113,10 @@ class Bridge:
         turned into semi and anti joins (Catalyst's own decorrelation)."""
         plan = df._jdf.queryExecution().analyzed()
         opt = self.jvm.org.apache.spark.sql.catalyst.optimizer
-        if self._has(plan, ("WithCTE", "CTERelationRef")):
+        text = plan.toString()
+        if "CTE" in text and self._has(plan, ("WithCTE", "CTERelationRef")):
             plan = opt.InlineCTE(True, False).apply(plan)
-        if self._has_subquery(plan):
+        if self._has_subquery(plan, text):
             plan = opt.PullupCorrelatedPredicates.apply(plan)
             plan = opt.RewritePredicateSubquery.apply(plan)
         return plan
@@ -123,9 +124,9 @@ class Bridge:
     def _has(self, plan, kinds: tuple) -> bool:
         return self.kind(plan) in kinds or any(self._has(c, kinds) for c in self.children(plan))
 
-    def _has_subquery(self, plan) -> bool:
+    def _has_subquery(self, plan, text: str) -> bool:
         # the plan's text names subquery expressions; only then are expressions walked
-        if not self._mentions(plan, ("exists#", "list#", "lateral-subquery#")):
+        if "more fields" not in text and not any(m in text for m in ("exists#", "list#", "lateral-subquery#")):
             return False
         return self._subquery_below(plan)
 

@@ -8,6 +8,7 @@ from py4j.java_gateway import is_instance_of
 from pyspark.sql import DataFrame, SparkSession
 
 from . import aliases, constraint, resolve
+from .catalyst import Bridge
 from .errors import NonMonotonePlan, UnsupportedPlan
 from .plan import Bound, QueryPlan, alias_assignments, bind
 from .policy import OUTPUT, FlowPolicy
@@ -41,13 +42,13 @@ class Guard:
         relation that policies name, before anything could be checked."""
         if not isinstance(q, str):
             return q
-        plan = self.spark._jsparkSession.sessionState().sqlParser().parsePlan(q)
+        parsed = plan = self.spark._jsparkSession.sessionState().sqlParser().parsePlan(q)
         while plan.getClass().getSimpleName() == "UnresolvedWith":
             plan = plan.child()
         gateway = self.spark.sparkContext._gateway
         if any(is_instance_of(gateway, plan, f"org.apache.spark.sql.catalyst.plans.logical.{kind}") for kind in ("Command", "ParsedStatement", "CompoundBody")):
             raise UnsupportedPlan("guard", f"a statement that is no query ({plan.getClass().getSimpleName()})")
-        return self.spark.sql(q)
+        return Bridge(self.spark).frame(parsed)
 
     def _columns(self, query: QueryPlan | None = None):
         def schema_of(table: str) -> list[str]:

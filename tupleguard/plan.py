@@ -119,9 +119,11 @@ class QueryPlan:
     def _locations(self) -> dict[str, str]:
         """Places of the files under the policies' tables: other names of them are found too."""
         out = {}
+        catalog = self.bridge.session.sessionState().catalog()
         for t in self.wanted:
             try:
-                plan = self.spark.table(t)._jdf.queryExecution().analyzed()
+                view = catalog.getTempView(t)
+                plan = view.get().child() if view.isDefined() else self.spark.table(t)._jdf.queryExecution().analyzed()
             except AnalysisException:
                 continue
             place = self._place(self._read_names(plan)[2])

@@ -36,10 +36,16 @@ def annotated_frame(a: Annotated, bound: Sequence[Bound], sink_columns=None) ->
 def apply(a: Annotated, bound: Sequence[Bound], sink_columns=None, two_branch: bool = False) -> DataFrame:
     if not bound:
         return a.query.bridge.frame(a.plan)
-    df, names, ok, _ = annotated_frame(a, bound, sink_columns)
     by_policy = {b.policy.name: b.policy for b in bound}
     order = list(by_policy)
     kinds = {n: by_policy[n].on_fail for n in order}
+    if all(k.kind == "remove" for k in kinds.values()):
+        # one filter and one projection on the plan
+        bridge = a.query.bridge
+        plan, cols = verdicts(a, bound, sink_columns)
+        plan = bridge.filter(plan, " and ".join(f"coalesce({fine}, false)" for fine, _ in cols))
+        return bridge.frame(bridge.project(plan, [], a.output))
+    df, names, ok, _ = annotated_frame(a, bound, sink_columns)
     schema = a.query.df.schema
     # positions, as names of an output may repeat
     width = len(names)
