@@ -46,7 +46,7 @@ from .warc import _open_fs
 U = np.uint64
 END = U(0x1111111111111111)
 #: Text bytes of a bucket, about; tokens that a task counts before it ships them; mapped files.
-BUCKET, FLUSH, OPEN = 8 << 20, 3_000_000, 32
+BUCKET, FLUSH, OPEN = 8 << 20, 2_000_000, 32
 ORDER = 3
 _MUL = U(0x9E3779B97F4A7C15)
 #: Word numbers in n-grams: nothing (beyond the beginning), the beginning, a word that the
