@@ -354,6 +354,18 @@ def test_archives_within_archives_are_payload_at_any_range(spark, tmp_path):
             assert not phantoms or marks is None, (marks, span)
 
 
+def test_tables_go_when_nothing_reads_them(spark, awkward):
+    import glob
+
+    from tupleguard.llm.state import shared_root
+
+    root = shared_root(spark).replace("file:", "").replace("//", "/")
+    before = set(glob.glob(f"{root}/*"))
+    assert minhash_dedup.near_duplicates(frame(spark, awkward), 5, 80).count() == len(awkward)
+    left = {x.rsplit("/", 1)[1].rsplit("-", 1)[0] for x in set(glob.glob(f"{root}/*")) - before}
+    assert left == {"near-groups"}, left
+
+
 def test_the_writer_marks_members(spark, monkeypatch):
     monkeypatch.setattr(warc, "MARK", 512)
     rows = [(i, "u", "x%d " % i * (i * 37 % 900)) for i in range(50)] + [(50, "u", random.Random(1).randbytes(40_000).hex())]
@@ -629,6 +641,49 @@ def test_contamination_is_found_with_substitutions(spark):
     assert decontaminate.scan(docs, bench.limit(0)).where("contaminated").count() == 0
 
 
+def test_rows_that_share_an_id_are_judged_by_their_own_text(spark):
+    rng = random.Random(12)
+    items = [(i, sentence(rng, 30)) for i in range(6)]
+    rows = [(7, items[5][1]), (7, sentence(rng, 80)), (7, f"{items[0][1]} {items[4][1]} {sentence(rng, 5)}"), (None, sentence(rng, 9)), (8, f"{items[3][1]} {items[2][1]}")]
+    docs, bench = frame(spark, rows), spark.createDataFrame(items, "item_id long, text string")
+    want = Counter([(7, True, 5, 30), (7, False, None, 0), (7, True, 0, 30), (None, False, None, 0), (8, True, 2, 30)])
+    for most in (1 << 20, 300, 1):
+        got = decontaminate.scan(docs, bench, most).collect()
+        assert Counter((r["doc_id"], r["contaminated"], r["item_id"], r["matched"]) for r in got) == want
+        assert Counter(r["text"] for r in decontaminate.clean(docs, bench, most).collect()) == Counter([rows[1][1], rows[3][1]])
+    assert decontaminate.scan(frame(spark, []), bench).count() == 0 == decontaminate.clean(frame(spark, []), bench).count()
+
+
+def test_contamination_equals_a_plain_comparison(spark):
+    """Passages of items with substitutions, and noise, against all alignments of plain word lists."""
+    rng = random.Random(13)
+    items = [(i, sentence(rng, rng.choice((15, 20, 30, 60)))) for i in range(20)]
+    rows = []
+    for i in range(120):
+        w = words(rng.choice(items)[1])
+        part = w[: rng.choice((5, 9, 14, len(w)))]
+        for _ in range(rng.choice((0, 0, 1, 3))):
+            part[rng.randrange(len(part))] = "other"
+        rows.append((i, " ".join(words(sentence(rng, rng.randrange(40))) + part + words(sentence(rng, rng.randrange(40))))))
+    sure, never = set(), set()
+    for d, t in rows:
+        doc, best, runs = words(t), 0, 0
+        for _, text in items:
+            own = words(text)
+            need = min(13, len(own), max(8, -(-len(own) // 2)))
+            for at in range(-len(own) + 1, len(doc)):
+                same = [0 <= at + k < len(doc) and doc[at + k] == x for k, x in enumerate(own)]
+                if sum(same) < 4:
+                    continue
+                best = max(best, sum(same) / need)
+                longest = max(len(list(g)) for v, g in itertools.groupby(same) if v)
+                if sum(same) >= need and longest >= 11:
+                    runs = 1
+        (sure if runs else never if best < 1 else set()).add(d)
+    got = {r["doc_id"] for r in decontaminate.scan(frame(spark, rows), spark.createDataFrame(items, "item_id long, text string")).collect() if r["contaminated"]}
+    assert len(sure) > 30 and len(never) > 20 and sure <= got and not never & got
+
+
 def test_substitutions_in_any_place_keep_an_item_found():
     rng = random.Random(11)
     vocab = [f"v{i}" for i in range(5000)]

@@ -8,7 +8,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, functions as F
 
-from .state import keep
+from .state import keep, release
 
 MAX_ROUNDS = 60
 
@@ -20,6 +20,7 @@ def components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     both = links.select(F.col(a).alias("u"), F.col(b).alias("v")).where("u <> v")
     edges = keep(both.union(both.select(F.col("v"), F.col("u"))).toDF("u", "v").distinct(), "cc-links")
     labels = keep(edges.groupBy("u").agg(F.min("v").alias("m")).select(F.col("u").alias("id"), F.least("u", "m").alias("label")), "cc-labels")
+    kept = labels
     for _ in range(MAX_ROUNDS):
         # what the neighbours offer; the smallest offer goes to the vertex and to its present root
         offer = edges.join(labels.withColumnRenamed("id", "v"), "v").groupBy("u").agg(F.min("label").alias("offer"))
@@ -29,7 +30,11 @@ def components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
         moved = labels.join(hooked, "id").join(jump, "hook", "left").select("id", F.col("label").alias("old"), F.least("hook", F.coalesce("jump", "hook")).alias("label"))
         moved = keep(moved, "cc-labels")
         changed = moved.where("label < old").limit(1).count()
-        labels = moved.select("id", "label")
+        release(kept)
+        kept, labels = moved, moved.select("id", "label")
         if not changed:
-            return labels.withColumnRenamed("label", "component")
+            release(edges)
+            out = labels.withColumnRenamed("label", "component")
+            out.kept_path = kept.kept_path
+            return out
     raise RuntimeError("components did not settle")

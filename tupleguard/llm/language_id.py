@@ -34,7 +34,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window, functions as F
 
 from . import textkit as tk
-from .state import keep
+from .state import keep, release
 
 #: Bounds of the training sample for each language, and of a span of a document.
 DOCS, TRAIN = 96, 32_000
@@ -296,6 +296,7 @@ def fit(docs: DataFrame, where=None) -> CrossParser:
         got = read.mapInArrow(cut, read.select("lang", "doc_id", "text").schema).where("text <> ''").collect()
         for r in sorted(got, key=lambda r: (r["lang"], r["doc_id"], r["text"])):
             samples.setdefault(r["lang"], []).append(r["text"])
+        release(chosen, read)
         most *= 8
     return CrossParser(samples)
 

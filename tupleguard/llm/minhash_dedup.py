@@ -32,7 +32,7 @@ from pyspark.sql import DataFrame, Window, functions as F
 
 from . import textkit as tk
 from .components import components
-from .state import hold, keep, packed
+from .state import hold, keep, release
 
 SIDE, GROUP = 10, 2
 #: Minhashes, all of which key tables.
@@ -214,7 +214,9 @@ def families(classes: DataFrame) -> DataFrame:
     open_ = rows.where("id <> lead").join(found.where(F.col("sim") >= NEAR).select("lead", "id"), ["lead", "id"], "left_anti").select("key", "id")
     rest = open_.select("key", "id", members).where("members > 1")
     out = led.select(F.lit(0).alias("kind"), "lead", "id").union(rest.select(F.lit(1), F.col("key"), "id"))
-    return keep(out, "near-families")
+    out = keep(out, "near-families")
+    release(rows, found)
+    return out
 
 
 def class_links(docs: DataFrame, classes: DataFrame, k: int, percent: int) -> DataFrame:
@@ -225,27 +227,35 @@ def class_links(docs: DataFrame, classes: DataFrame, k: int, percent: int) -> Da
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(wanted.hint("shuffle_hash"), "doc_id", "left_semi")
     sets = hold(texts.mapInArrow(_sets(k), "doc_id long, n long, shingles binary").withColumnRenamed("doc_id", "id"))
     room = member.join(sets.select("id", "n"), "id").groupBy("kind", "lead").agg(F.ceil(F.sum("n") / BLOCK).cast("int").alias("blocks")).where("blocks > 1")
-    work = member.join(sets.select("id", "shingles"), "id").join(keep(room, "near-blocks"), ["kind", "lead"], "left").withColumn("blocks", F.coalesce("blocks", F.lit(1)))
+    room = keep(room, "near-blocks")
+    work = member.join(sets.select("id", "shingles"), "id").join(room, ["kind", "lead"], "left").withColumn("blocks", F.coalesce("blocks", F.lit(1)))
     work = work.withColumn("block", F.expr("cast(pmod(xxhash64(id), blocks) as int)"))
     work = work.withColumn("other", F.explode(F.expr("sequence(0, blocks - 1)")))
     work = work.select(
         "kind", "lead", F.least("block", "other").alias("x"), F.greatest("block", "other").alias("y"), "id", "shingles",
         F.expr("case when block = other then 2 when block < other then 0 else 1 end").alias("side"),
     )
-    return keep(work.groupBy("kind", "lead", "x", "y").applyInArrow(_family_links(percent), "a long, b long").distinct(), "near-links")
+    links = keep(work.groupBy("kind", "lead", "x", "y").applyInArrow(_family_links(percent), "a long, b long").distinct(), "near-links")
+    release(sets, member, room)
+    return links
 
 
 def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     """``(doc_id, n_shingles, class_id, component_id, kept)``, a row per row of ``docs``."""
     signed = hold(signatures(docs, k))
     classes = keep(classes_of(signed), "near-classes")
-    found = components(class_links(docs, classes, k, percent))
+    links = class_links(docs, classes, k, percent)
+    found = components(links)
+    release(links)
     roots = classes.select("set_lo", "set_hi", "n_shingles", F.col("id").alias("class_id")).join(found.withColumnRenamed("id", "class_id"), "class_id", "left")
     roots = roots.select("set_lo", "set_hi", "n_shingles", "class_id", F.coalesce("component", "class_id").alias("component"))
     out = signed.select("doc_id", "n_shingles", "set_lo", "set_hi").join(roots, ["set_lo", "set_hi", "n_shingles"], "left")
     own = F.when((F.col("n_shingles") > 0) & F.col("doc_id").isNotNull(), F.col("component")).otherwise(F.col("doc_id"))
-    out = packed(out)
-    return out.select("doc_id", "n_shingles", F.coalesce("class_id", "doc_id").alias("class_id"), own.alias("component_id"), F.coalesce(own == F.col("doc_id"), F.lit(False)).alias("kept"))
+    out = out.select("doc_id", "n_shingles", F.coalesce("class_id", "doc_id").alias("class_id"), own.alias("component_id"), F.coalesce(own == F.col("doc_id"), F.lit(False)).alias("kept"))
+    # narrow rows: written, so that all that they were made of can go
+    out = keep(out, "near-groups")
+    release(signed, classes, found)
+    return out
 
 
 def keep_one(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:

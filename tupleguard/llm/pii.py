@@ -34,7 +34,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from . import textkit as tk
-from .state import keep
+from .state import keep, release
 
 #: Overrides that tasks hold at most, and attempts at most.
 HELD, ATTEMPTS = 50_000, 40
@@ -285,13 +285,17 @@ def overrides(docs: DataFrame, key: bytes) -> DataFrame:
         real = now.join(named, ["kind", "surrogate"], "left_semi").select("kind", "entity", "plus")
         again = keep(shared.union(real).distinct(), "pii-again")
         if not again.limit(1).count():
+            release(again)
             break
         redo = now.join(again, ["kind", "entity", "plus"], "left_semi").withColumn("attempt", F.lit(attempt)).select(*cols).mapInArrow(_propose(key), shape)
-        now = keep(now.join(again, ["kind", "entity", "plus"], "left_anti").select(*cols, "surrogate").union(redo), "pii-surrogates")
+        before, now = now, keep(now.join(again, ["kind", "entity", "plus"], "left_anti").select(*cols, "surrogate").union(redo), "pii-surrogates")
+        release(before, again)
     else:
         raise RuntimeError("surrogates still collide")
     told_otherwise = now.join(unlike, ["kind", "entity", "plus"], "left_semi")
-    return now.where("attempt > 0").union(told_otherwise.select(*now.columns)).select("kind", "entity", "plus", "attempt", "gender").distinct()
+    out = keep(now.where("attempt > 0").union(told_otherwise.select(*now.columns)).select("kind", "entity", "plus", "attempt", "gender").distinct(), "pii-overrides")
+    release(all_, now)
+    return out
 
 
 def _apply(key: bytes, held: dict, joined: bool):
@@ -345,7 +349,7 @@ def replace(docs: DataFrame, key: bytes = b"tupleguard", held: int = HELD) -> Da
     names = [c for c in docs.columns if c not in ("pii_entities", "pii_kinds")]
     docs = docs.select(*[F.col(c).cast("string").alias(c) if c == "text" else F.col(c) for c in names])
     schema = docs.withColumn("pii_entities", F.lit(0)).withColumn("pii_kinds", F.lit("")).schema
-    again = keep(overrides(docs, key), "pii-overrides")
+    again = overrides(docs, key)
     if again.limit(held + 1).count() <= held:
         table = {(r["kind"], r["entity"], r["plus"]): (r["attempt"], r["gender"]) for r in again.collect()}
         return docs.mapInArrow(_apply(key, table, False), schema)

@@ -53,7 +53,19 @@ def keep(df: DataFrame, name: str = "stage", a_core: int | None = FILES_A_CORE)
     an executor costs nothing but the tasks that it was running."""
     path = shared_path(df.sparkSession, name)
     (df if a_core is None else packed(df, a_core)).write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out.kept_path = path
+    return out
+
+
+def release(*frames: DataFrame) -> None:
+    """Removes kept tables and held blocks that nothing reads any more (the frames that ``keep``
+    and ``hold`` returned, not ones derived from them)."""
+    for df in frames:
+        if hasattr(df, "kept_path"):
+            remove(df.sparkSession, df.kept_path)
+        else:
+            df.unpersist()
 
 
 def hold(df: DataFrame) -> DataFrame:

@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from .components import components
-from .state import keep
+from .state import keep, release
 
 #: Vectors, at most, that pivots are taken from, and vectors that a cell is meant to hold. A
 #: sampled label keeps at least ``SPARE`` sampled vectors for each of its pivots.
@@ -193,7 +193,8 @@ def vector_groups(vectors: DataFrame, cosine: float = 0.93, vec: str = "embeddin
             radii.setdefault(k, np.zeros(len(p)))
     r = math.sqrt(2 - 2 * cosine) + EPS
     shape = f"class long, id long, label {label_type}, vec array<double>, copies long, cell int, reach array<int>"
-    at = keep(classes.select("class", "id", "label", "vec", "copies").mapInArrow(_place(pivots, radii, r), shape), "vec-placed").withColumn("dim", F.size("vec"))
+    placed = keep(classes.select("class", "id", "label", "vec", "copies").mapInArrow(_place(pivots, radii, r), shape), "vec-placed")
+    at = placed.withColumn("dim", F.size("vec"))
     hosts = at.groupBy("label", "dim", "cell").agg(F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("hosts"))
     guests = at.select("label", "dim", F.explode("reach").alias("cell")).groupBy("label", "dim", "cell").agg(F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("guests"))
     layout = keep(hosts.join(guests, ["label", "dim", "cell"], "left").na.fill(0, ["guests"]), "vec-layout")
@@ -216,4 +217,7 @@ def vector_groups(vectors: DataFrame, cosine: float = 0.93, vec: str = "embeddin
     member = rows.withColumn("ok", usable).join(named.withColumn("ok", F.lit(True)), ["label", "vec", "ok"], "left").select("id", "class", "copies")
     out = member.join(counts, "class", "left").join(comp, "id", "left")
     component = F.coalesce("component", "id")
-    return out.select(F.col("id").alias("vec_id"), F.coalesce(F.coalesce("n", F.lit(0)) + F.col("copies") - 1, F.lit(0)).alias("n_links"), component.alias("component_id"), F.coalesce(component == F.col("id"), F.lit(False)).alias("kept"))
+    out = out.select(F.col("id").alias("vec_id"), F.coalesce(F.coalesce("n", F.lit(0)) + F.col("copies") - 1, F.lit(0)).alias("n_links"), component.alias("component_id"), F.coalesce(component == F.col("id"), F.lit(False)).alias("kept"))
+    out = keep(out, "vec-groups")
+    release(classes, placed, layout, found, comp)
+    return out
