@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from tupleguard.llm import decontaminate, language_id, minhash_dedup, packing, pii
-from tupleguard.llm.state import keep
+from tupleguard.llm.state import keep, release
 from tupleguard.shipping import ship
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
@@ -66,5 +66,7 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for name, stage in STAGES:
-        docs = keep(stage(spark, docs, sf_dir), f"pipeline-{name}", None)
+        before, docs = docs, keep(stage(spark, docs, sf_dir), f"pipeline-{name}", None)
+        if hasattr(before, "kept_path"):
+            release(before)
     return docs
