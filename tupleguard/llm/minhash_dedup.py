@@ -28,7 +28,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window, functions as F
+from pyspark.sql import DataFrame, functions as F
 
 from . import textkit as tk
 from .components import components
@@ -196,6 +196,11 @@ def classes_of(signed: DataFrame) -> DataFrame:
     return full.groupBy("set_lo", "set_hi", "n_shingles").agg(F.min("doc_id").alias("id"), F.first("groups").alias("groups"), F.first("sketch").alias("sketch"))
 
 
+def _shared(spread: DataFrame) -> DataFrame:
+    """Buckets of more than one member, and the smallest id of each."""
+    return spread.groupBy("key").agg(F.min("id").alias("lead"), F.max("id").alias("top")).where("lead < top").select("key", "lead")
+
+
 def families(classes: DataFrame) -> DataFrame:
     """``(kind, lead, id)``: the members of every family: of a leader (kind 0, the leader
     included), or of a bucket's unserved members (kind 1, ``lead`` is the bucket's key)."""
@@ -203,16 +208,15 @@ def families(classes: DataFrame) -> DataFrame:
     # the table's number stands in the low bits of its keys
     keys = F.expr(f"transform(sequence(0, {SIDE * SIDE - 1}), p -> (xxhash64(p, groups[cast(p / {SIDE} as int)], groups[{SIDE} + p % {SIDE}]) & ~1023L) | p)")
     spread = classes.select("id", "groups").repartition(parts, "id").select(F.explode(keys).alias("key"), "id")
-    bucket = Window.partitionBy("key")
-    lead, members = F.min("id").over(bucket).alias("lead"), F.count(F.lit(1)).over(bucket).alias("members")
-    rows = hold(spread.select("key", "id", lead, members).where("members > 1").drop("members"))
+    # leaders by a pre-aggregated minimum and a join, so that no task holds a whole bucket
+    rows = hold(spread.join(_shared(spread), "key"))
     pairs = rows.where("id <> lead").select("lead", "id").distinct()
     sketches = classes.select("id", "sketch")
     both = pairs.join(sketches.withColumnRenamed("sketch", "sb"), "id").join(sketches.select(F.col("id").alias("lead"), F.col("sketch").alias("sa")), "lead")
     found = keep(both.select("lead", "id", "sa", "sb").mapInArrow(_agree, "lead long, id long, sim double").where(F.col("sim") >= FAMILY), "near-sims")
     led = found.select("lead", "id").union(found.select("lead", F.col("lead"))).toDF("lead", "id").distinct()
     open_ = rows.where("id <> lead").join(found.where(F.col("sim") >= NEAR).select("lead", "id"), ["lead", "id"], "left_anti").select("key", "id")
-    rest = open_.select("key", "id", members).where("members > 1")
+    rest = open_.join(_shared(open_), "key", "left_semi")
     out = led.select(F.lit(0).alias("kind"), "lead", "id").union(rest.select(F.lit(1), F.col("key"), "id"))
     out = keep(out, "near-families")
     release(rows, found)
