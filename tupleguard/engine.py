@@ -159,6 +159,11 @@ class Guard:
 
         return insert_into(self, table, self._frame(df), mode, strategy)
 
+    def merge(self, table, key: str, df, matched: str = "update", not_matched: str = "insert", strategy: str = "auto"):
+        from .sinks import merge_into
+
+        return merge_into(self, table, key, self._frame(df), matched, not_matched, strategy)
+
     def update(self, table, key: str, set_: dict | None = None, where=None, changes=None):
         from .sinks import update
 

@@ -228,7 +228,7 @@ class QueryPlan:
         return {i.table for i in self.instances}
 
     # -- checks
-    def check_monotone(self, left_only: bool = False) -> None:
+    def check_monotone(self, left_only: bool = False, windows: bool = False) -> None:
         def look(node):
             if self.instance_table(node):
                 return
@@ -236,7 +236,7 @@ class QueryPlan:
             if names and self.bridge.kind(inner) in ("LogicalRDD", "ExternalRDD"):
                 return  # a named in-memory relation is a scan
             k = self.bridge.kind(node)
-            if k in _REJECT:
+            if k in _REJECT and not (windows and k == "Window"):
                 raise NonMonotonePlan(_REJECT[k])
             if k == "Join":
                 how = self.bridge.kind(node.joinType())

@@ -96,6 +96,16 @@ def insert_into(guard, table: VersionedTable, df: DataFrame, mode: str = "append
     """Writes what the policies of the sink let through. Columns map by position to the
     target's. KILL leaves the target as it was."""
     target = table.read().schema if table.current() else df.schema
+    out, violations, rows_in = _let_through(guard, table, df, target, strategy)
+    version = table.stage(out)
+    written = table.version(version).count()
+    table.publish(([] if mode == "overwrite" else table.current()) + [version])
+    return WriteReport(table.name, written if rows_in is None else rows_in, written, violations, version)
+
+
+def _let_through(guard, table: VersionedTable, df: DataFrame, target, strategy: str):
+    """The rows that the sink's policies let through, as the target's columns (by position), the
+    violations, and the number of rows before; KILL raises."""
     if len(target) != len(df.columns):
         raise SchemaMismatch(f"{table.name} has {len(target)} columns, the rows have {len(df.columns)}")
     by_sink = {f.name.lower(): c for f, c in zip(target, df.columns)}
@@ -109,13 +119,43 @@ def insert_into(guard, table: VersionedTable, df: DataFrame, mode: str = "append
         for b in bound:
             if b.policy.on_fail.kind == "kill" and violations.get(b.policy.name):
                 raise PolicyViolation(b.policy.name, violations[b.policy.name])
-        out = resolve.apply(a, [b for b in bound], by_sink)
+        out = resolve.apply(a, list(bound), by_sink)
     out = out.toDF(*target.names)
-    out = out.select(*[F.col(f.name).cast(f.dataType) for f in target])
-    version = table.stage(out)
-    written = table.version(version).count()
-    table.publish(([] if mode == "overwrite" else table.current()) + [version])
-    return WriteReport(table.name, written if rows_in is None else rows_in, written, violations, version)
+    return out.select(*[F.col(f.name).cast(f.dataType) for f in target]), violations, rows_in
+
+
+def merge_into(guard, table: VersionedTable, key: str, df: DataFrame, matched: str = "update", not_matched: str = "insert", strategy: str = "auto") -> WriteReport:
+    """Copy-on-write merge of what the sink's policies let through. A row whose key the table
+    holds updates or deletes it, or is passed over (``matched``: update, delete, keep); another
+    row is added or passed over (``not_matched``: insert, skip). Null keys match nothing. Two rows
+    of one key that the table holds are refused, as in SQL, unless they are passed over."""
+    if matched not in ("update", "delete", "keep") or not_matched not in ("insert", "skip"):
+        raise ValueError(f"merge: {matched}, {not_matched}")
+    old = table.read()
+    target = old.schema
+    out, violations, rows_in = _let_through(guard, table, df, target, strategy)
+    staged = table.stage(out)
+    fresh = table.version(staged)
+    known = old.select(F.col(key).alias("__k")).where("__k is not null").distinct()
+    if matched != "keep":
+        twice = fresh.join(known, F.col(key) == F.col("__k"), "left_semi").groupBy(key).count().where("count > 1").limit(1).collect()
+        if twice:
+            table.discard(staged)
+            raise ConcurrentWrite(f"{table.name}: two rows of the source match key {twice[0][0]!r}")
+    taken = fresh.select(F.col(key).alias("__k")).where("__k is not null").distinct()
+    parts = [old if matched == "keep" else old.join(taken, F.col(key) == F.col("__k"), "left_anti")]
+    if matched == "update":
+        parts.append(fresh.join(known, F.col(key) == F.col("__k"), "left_semi"))
+    if not_matched == "insert":
+        parts.append(fresh.join(known, F.col(key) == F.col("__k"), "left_anti"))
+    merged = parts[0]
+    for p in parts[1:]:
+        merged = merged.unionByName(p)
+    version = table.stage(merged)
+    taken_in = fresh.count()
+    table.publish([version])
+    table.discard(staged)
+    return WriteReport(table.name, taken_in if rows_in is None else rows_in, taken_in, violations, version)
 
 
 def update(guard, table: VersionedTable, key: str, set_: dict[str, Column | str] | None = None, where: Column | str | None = None, changes: DataFrame | None = None) -> WriteReport:

@@ -309,6 +309,76 @@ class Annotator:
             raise UnsupportedPlan("inline", "an aggregate without constant-size annotation")
         return self.grouped(st, self.b.items(node.groupingExpressions()), self.b.items(node.aggregateExpressions()), up)
 
+    def on_Window(self, node, up):
+        """Allowed on demand only (``windows=True``): a row derives from itself and the rows of its
+        frame, where all functions share a frame that starts with the partition and reaches the
+        row; else from its whole partition, which holds every frame. Functions over unlike
+        partitions are refused."""
+        # functions of unlike orders stand in nodes on top of each other
+        chain = [node]
+        while self.b.kind(self.b.children(chain[-1])[0]) == "Window":
+            chain.append(self.b.children(chain[-1])[0])
+        st = self.visit(self.b.children(chain[-1])[0], up + 1)
+        if st.raw:
+            raise UnsupportedPlan("inline", "an argument over several relations across a window")
+        if self.holistic and any(w & st.present for _, w in self.holistic.values()):
+            raise UnsupportedPlan("inline", "an aggregate without constant-size annotation over a window")
+        plan, cols, more = st.plan, {}, []
+        mult = mask = None
+        if st.present or st.mult:
+            spec = self.window_spec(chain)
+            make, none = self.b.jvm.org.apache.spark.sql.catalyst.expressions, self.b.jvm.scala.Option.apply(None)
+
+            own = set(st.extra)
+
+            def over(text: str, name: str) -> str:
+                more.append(make.Alias(make.WindowExpression(self.b.sql(text), spec), name, make.NamedExpression.newExprId(), self.b.seq([]), none, self.b.seq([])))
+                return name
+
+            sets = []
+            for key, col in st.cols.items():
+                plus = self.comps[key][0].plus
+                cols[key] = self.b.fresh("a")
+                if plus == "set":
+                    # only a bare aggregate stands over a window
+                    gathered = over(f"collect_set({col})", self.b.fresh("s"))
+                    own.add(gathered)
+                    sets.append(self.b.named(f"array_distinct(flatten({gathered}))", cols[key]))
+                else:
+                    over(merge_sql(plus, col, key in st.single), cols[key])
+            mult = over(f"sum({st.mult})" if st.mult else "count(1)", self.b.fresh("x")) if self.sumlike else None
+            mask = tuple(over(f"bit_or({m})", self.b.fresh("m")) for m in st.mask) if st.mask else None
+            plan = self.b.project(plan, more)
+            plan = self.b.project(plan, sets, [a for a in self.b.output(plan) if a.name() not in own])
+        # the query's own functions stay as they are, above
+        for n in reversed(chain):
+            plan = self.b.with_children(n, [plan])
+        return State(plan, cols, {}, mult, mask, st.present)
+
+    def window_spec(self, chain: list):
+        """The partition, order and frame by which the annotations are merged."""
+        b, make = self.b, self.b.jvm.org.apache.spark.sql.catalyst.expressions
+        specs = {}
+
+        def look(e):
+            if b.kind(e) == "WindowExpression":
+                specs[e.windowSpec().toString()] = e.windowSpec()
+            for c in b.items(e.children()):
+                look(c)
+
+        for n in chain:
+            for e in b.items(n.windowExpressions()):
+                look(e)
+        if len({n.partitionSpec().toString() for n in chain}) > 1:
+            raise UnsupportedPlan("inline", "window functions over unlike partitions")
+        if len(specs) == 1:
+            (spec,) = specs.values()
+            frame = spec.frameSpecification()
+            if b.kind(frame) == "SpecifiedWindowFrame" and b.kind(frame.lower()) == "UnboundedPreceding" and b.kind(frame.upper()) in ("CurrentRow", "UnboundedFollowing"):
+                return spec
+        whole = make.__getattr__("UnspecifiedFrame$").__getattr__("MODULE$")
+        return make.WindowSpecDefinition(chain[0].partitionSpec(), b.seq([]), whole)
+
     def on_Distinct(self, node, up):
         st = self.visit(self.b.children(node)[0], up + 1)
         keys = self.base(st)
@@ -423,8 +493,8 @@ class Annotator:
         return bool(keys) and all(b.kind(k) == "AttributeReference" and k.exprId().id() in ids for k in keys)
 
 
-def inline(query: QueryPlan, bound: Sequence[Bound], left_only: bool = False) -> Annotated:
-    query.check_monotone(left_only)
+def inline(query: QueryPlan, bound: Sequence[Bound], left_only: bool = False, windows: bool = False) -> Annotated:
+    query.check_monotone(left_only, windows)
     an = Annotator(query, bound, left_only=left_only)
     st = an.visit(query.plan)
     for key, (c, where) in an.comps.items():
