@@ -66,3 +66,9 @@ def test_what_the_text_cannot_hold_is_refused(tables):
     for constraint, sources in (("count(distinct l_suppkey) > 3", (L,)), ("median(l_tax) > 0", (L,)), ("max(o_totalprice + l_tax) > 0", (O, L))):
         with pytest.raises(UnsupportedPlan):
             write_sql(NESTED, [FlowPolicy("p", constraint, sources)], schema_of)
+
+
+def test_the_other_engine_is_timed(tables):
+    from tupleguard.workloads.experiments import other_engine
+
+    assert [r["query"] for r in other_engine(tables, "/root/testdata/sf0.001", runs=1)] == ["grouped", "join", "nested", "semi"]

@@ -97,3 +97,12 @@ def test_merges_that_fail_leave_the_table_as_it_was(merged, spark):
     # unknown keys may repeat, as nothing is matched
     guard.merge(table, "id", "select 9 as id, 'q' as state union all select 9, 'r'")
     assert table.read().where("id = 9").count() == 2
+
+
+def test_sets_below_aggregates_hold_no_more_than_their_bounds_ask(tables):
+    sql = "select c_nationkey, sum(x.n) as n from (select o_custkey, count(*) as n from orders join lineitem on o_orderkey = l_orderkey group by o_custkey) x join customer on c_custkey = x.o_custkey group by c_nationkey"
+    flat = "select c_nationkey, count(*) as n from orders, lineitem, customer where o_orderkey = l_orderkey and c_custkey = o_custkey group by c_nationkey having "
+    for constraint in ("count(distinct l_suppkey) > 9", "count(distinct l_suppkey) = 10 or count(distinct l_linenumber) <= 6.5", "count(distinct l_partkey) - 100 > count(distinct l_suppkey)", "6 < count(distinct l_linenumber)"):
+        guarded = Guard(tables, [FlowPolicy("p", constraint, (SourceRef("lineitem"),))]).query(sql, strategy="inline")
+        assert ("slice(" in guarded._jdf.queryExecution().optimizedPlan().toString()) == ("- 100" not in constraint)
+        assert sorted(map(tuple, guarded.collect())) == sorted(map(tuple, tables.sql(flat + constraint).collect()))

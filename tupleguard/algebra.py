@@ -5,6 +5,7 @@ with the other side's multiplicity at joins (sum-like) or not (idempotent)."""
 
 from __future__ import annotations
 
+import math
 from dataclasses import dataclass
 
 from . import expr as E
@@ -100,10 +101,12 @@ def components(agg: Agg) -> list[Component]:
     return []
 
 
-def merge_sql(plus: str, column: str, single: bool = False) -> str:
-    """SQL of the aggregate that merges a component's column (``single``: of values, not sketches)."""
+def merge_sql(plus: str, column: str, single: bool = False, cap: int | None = None) -> str:
+    """SQL of the aggregate that merges a component's column (``single``: of values, not sketches;
+    ``cap``: the number of elements that a set needs at most)."""
     if plus == "set":
-        return f"array_distinct(flatten(collect_set({column})))"
+        whole = f"array_distinct(flatten(collect_set({column})))"
+        return whole if cap is None else f"slice({whole}, 1, {cap})"
     if plus == "hll":
         return f"hll_sketch_agg({column})" if single else f"hll_union_agg({column})"
     return f"{plus}({column})"
@@ -180,6 +183,30 @@ def scalar_sql(agg: Agg, args: list[str]) -> str | None:
     return None
 
 
+def set_caps(residual: E.Node, keys: dict[str, str]) -> dict[str, int | None]:
+    """How many elements each distinct count's set needs (``keys``: slot to component): one above
+    the largest number that it is compared with, or all (None) where it is used otherwise."""
+    caps: dict[str, int | None] = {}
+
+    def note(key: str, cap: int | None) -> None:
+        old = caps.get(key, 0)
+        caps[key] = None if cap is None or old is None else max(old, cap)
+
+    def look(n: E.Node) -> None:
+        if isinstance(n, E.Op) and n.op in ("=", "!=", "<", "<=", ">", ">="):
+            for a, b in (n.args, n.args[::-1]):
+                if isinstance(a, E.Slot) and a.key in keys and (k := E.number(b)) is not None:
+                    note(keys[a.key], max(0, math.floor(k)) + 1)
+                    return
+        if isinstance(n, E.Slot) and n.key in keys:
+            note(keys[n.key], None)
+        for c in E.children(n):
+            look(c)
+
+    look(residual)
+    return caps
+
+
 def bounded_distinct(op: str, k: float) -> str | None:
     """A constant-size form of ``count(distinct x) op k`` over min and max, if there is one."""
     if (op, k) in ((">", 1), (">=", 2)):

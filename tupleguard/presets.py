@@ -46,3 +46,25 @@ def transition(name: str, table: str, key: str, state: str, moves: dict[str, tup
     """An update of the table moves its state only along the given edges."""
     whens = " ".join(f"WHEN old.{state} = '{a}' THEN new.{state} IN ({', '.join(repr(b) for b in bs)})" for a, bs in moves.items())
     return FlowPolicy(name, f"old.{key} = new.{key} AND CASE {whens} ELSE false END", (SourceRef(table, "old"),), SinkRef(table, "new"), on_fail=on_fail)
+
+
+def covers(name: str, table: str, column: str, values: tuple, on_fail: Resolution = REMOVE) -> FlowPolicy:
+    """Every output row draws on each of the column's listed classes."""
+    return FlowPolicy(name, " AND ".join(f"bool_or({table}.{column} = {v!r})" for v in values), (SourceRef(table),), on_fail=on_fail)
+
+
+def within(name: str, table: str, column: str, values: tuple, on_fail: Resolution = REMOVE) -> FlowPolicy:
+    """All contributing rows are of the listed classes."""
+    return FlowPolicy(name, f"bool_and(coalesce({table}.{column} IN ({', '.join(map(repr, values))}), false))", (SourceRef(table),), on_fail=on_fail)
+
+
+def apart(name: str, one: str, other: str, on_fail: Resolution = REMOVE) -> FlowPolicy:
+    """Each table may be read, but no output row may derive from both."""
+    return FlowPolicy(name, "false", (SourceRef(one), SourceRef(other)), on_fail=on_fail)
+
+
+def consented(name: str, one: str, other: str, key: str, consents: str, consent_key: str, given: str, on_fail: Resolution = REMOVE) -> FlowPolicy:
+    """Rows of two tables meet only where a consent for ``one``'s key is on record and given."""
+    return FlowPolicy(
+        name, f"bool_and(coalesce(cs.{given}, false))", (SourceRef(one), SourceRef(other)), dimensions=(Dimension(consents, "cs", f"{one}.{key} = cs.{consent_key}"),), on_fail=on_fail
+    )

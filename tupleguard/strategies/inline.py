@@ -11,7 +11,7 @@ from dataclasses import dataclass, field, replace
 from typing import Sequence
 
 from .. import expr as E
-from ..algebra import merge_sql
+from ..algebra import components, merge_sql, set_caps
 from ..errors import NonMonotonePlan, UnsupportedPlan
 from ..plan import Bound, QueryPlan
 from .common import Annotated, all_components, dimension_column, join_dimensions, keyed_dimensions, leaf_name, mask_bits, mask_present, mask_words, policy_values, strip_one
@@ -53,6 +53,13 @@ class Annotator:
         self.mask = query.needs_mask() if mask is None else mask
         self.words = mask_words(query)
         self.left_only = left_only
+        #: Elements that a set needs at most, over all policies that read it.
+        self.caps: dict[str, int | None] = {}
+        for bd in bound:
+            sets = {key: components(agg)[0].key for key, agg in bd.aggs.items() if agg.kind == "distinct"}
+            for key, cap in set_caps(bd.form.residual, sets).items():
+                old = self.caps.get(key, 0)
+                self.caps[key] = None if cap is None or old is None else max(old, cap)
         self.sumlike = any(c.sumlike for c, _ in self.comps.values())
         self.count = 0
         self.raw_needs: dict[int, set] = {}
@@ -188,7 +195,7 @@ class Annotator:
             if where and where <= present:
                 cover = " and ".join(f"{w.rid[i]} is not null" for i in sorted(where))
                 cols[key] = b.fresh("a")
-                more.append(b.named(merge_sql(c.plus, f"case when {cover} then {E.render(strip_one(c.leaf), name)} end", True), cols[key]))
+                more.append(b.named(merge_sql(c.plus, f"case when {cover} then {E.render(strip_one(c.leaf), name)} end", True, self.caps.get(key)), cols[key]))
         mult = mask = None
         if self.sumlike:
             mult = b.fresh("x")
@@ -286,7 +293,7 @@ class Annotator:
         for key, col in st.cols.items():
             plus = self.comps[key][0].plus
             cols[key] = self.b.fresh("a")
-            text = merge_sql(plus, col, key in st.single)
+            text = merge_sql(plus, col, key in st.single, self.caps.get(key))
             if plus == "set" and up == 0 and key in st.single:
                 text = f"count(distinct get({col}, 0))"
                 counted.add(key)

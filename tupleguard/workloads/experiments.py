@@ -6,6 +6,8 @@ and the tests call them with small parameters. Times go through the noop sink: m
 
 from __future__ import annotations
 
+import time
+
 from pyspark.sql import SparkSession, functions as F
 
 from .. import aliases, metrics, templates
@@ -56,6 +58,40 @@ def engine_axes(spark: SparkSession, queries=("q1", "q3", "q6"), runs: int = 3)
     return out
 
 
+def other_engine(spark: SparkSession, sf_dir: str, runs: int = 3) -> list[dict]:
+    """The overhead of the portable text in DuckDB, if that is installed: the same policies,
+    annotations and guard in an engine of another make."""
+    try:
+        import duckdb
+    except ImportError:
+        return [{"engine": "duckdb", "unsupported": "not installed"}]
+    from ..emit import Block, From, write_sql
+
+    con = duckdb.connect()
+    for t in ("lineitem", "orders", "customer"):
+        con.execute(f"create view {t} as select * from read_parquet('{sf_dir}/{t}.parquet')")
+    lines, orders = From("lineitem", "l"), From("lineitem", "l", on="l.l_orderkey = o.o_orderkey")
+    per_order = Block((("l.l_orderkey", "k"), ("count(*)", "n")), (lines,), None, ("l.l_orderkey",))
+    queries = {
+        "grouped": Block((("l.l_returnflag", "f"), ("l.l_linestatus", "s"), ("sum(l.l_quantity)", "q")), (lines,), None, ("l.l_returnflag", "l.l_linestatus")),
+        "join": Block((("o.o_orderpriority", "p"), ("sum(l.l_quantity)", "q")), (From("orders", "o"), orders), None, ("o.o_orderpriority",)),
+        "nested": Block((("o.o_orderpriority", "p"), ("sum(x.n)", "n")), (From("orders", "o"), From(per_order, "x", on="o.o_orderkey = x.k")), None, ("o.o_orderpriority",)),
+        "semi": Block((("o.o_orderpriority", "p"), ("count(*)", "n")), (From("orders", "o"), From("lineitem", "l", "semi", "o.o_orderkey", "l_orderkey")), None, ("o.o_orderpriority",)),
+    }
+    out = []
+    for name, q in queries.items():
+        base, guarded = (write_sql(q, p, lambda t: spark.table(t).columns) for p in ([], [FlowPolicy("p", "max(l_quantity) <= 1000", (SourceRef("lineitem"),))]))
+        took = []
+        for sql in (base, guarded):
+            con.execute(sql).fetchall()
+            start = time.perf_counter()
+            for _ in range(runs):
+                con.execute(sql).fetchall()
+            took.append((time.perf_counter() - start) / runs)
+        out.append({"engine": "duckdb", "query": name, "base_s": took[0], "inline_s": took[1], "overhead": took[1] / took[0] - 1})
+    return out
+
+
 def replicated(spark: SparkSession, rows: int):
     """``rows`` rows of lineitem's columns, by repetition."""
     base = spark.table("lineitem").select("l_orderkey", "l_quantity", "l_tax", "l_extendedprice")
